@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles
 
-MODULES = ("op1_ngram_jaccard",)
+MODULES = ("op1_ngram_jaccard", "op3_chat_format", "op5_quality_rules", "op6_license_scan")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
