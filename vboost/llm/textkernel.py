@@ -28,6 +28,9 @@ _BYTE = np.random.Generator(np.random.PCG64(20240607)).integers(1, 2**64 - 1, si
 _BYTE[65:91] = _BYTE[97:123]
 _GAP = np.zeros(256, dtype=bool)
 _GAP[[0x20, *range(0x09, 0x0E)]] = True
+#: All ASCII but letters and digits, for words without their punctuation.
+BREAKS = np.r_[np.ones(128, dtype=bool), np.zeros(128, dtype=bool)]
+BREAKS[[*range(48, 58), *range(65, 91), *range(97, 123)]] = False
 _POWER = _odd_powers(_BASE, PIECE + 1)
 _INVERSE = _odd_powers(pow(_BASE, -1, 2**64), PIECE + 1)
 
@@ -75,13 +78,18 @@ def _cuts(data: np.ndarray, gap: np.ndarray, first: np.ndarray) -> Iterator[tupl
         at = to
 
 
-def hash_words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Start, end, text number and hash of every word of the texts laid end to end."""
-    gap = _GAP[data]
+def hash_words(data: np.ndarray, offsets: np.ndarray, gaps: np.ndarray = _GAP, prefixes: tuple[int, ...] = ()) -> tuple[np.ndarray, ...]:
+    """Start, end, text number and hash of every word of the texts laid end to end.
+
+    gaps: flags of the bytes between words. For each of `prefixes` follows the hash of a word's first so many bytes,
+    0 for shorter words.
+    """
+    gap = gaps[data]
     first = np.zeros(len(data) + 1, dtype=bool)
     first[offsets] = True
     first = first[: len(data)]
     starts, ends, hashes = [], [], []
+    heads: list[list[np.ndarray]] = [[] for _ in prefixes]
     for lo, hi in _cuts(data, gap, first):
         word = ~gap[lo:hi]
         opens = word.copy()
@@ -99,13 +107,16 @@ def hash_words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
         total = np.zeros(size + 1, dtype=np.uint64)
         np.cumsum(_BYTE[data[lo:hi]] * power, out=total[1:])
         hashes.append(mix((total[b] - total[a]) * inverse[a] ^ (b - a).astype(np.uint64)))
+        for out, length in zip(heads, prefixes):
+            to = np.minimum(a + length, b)
+            out.append(np.where(b - a >= length, mix((total[to] - total[a]) * inverse[a] ^ _U(1000 + length)), _U(0)))
         starts.append(a + lo)
         ends.append(b + lo)
     if not starts:
         none = np.zeros(0, np.int64)
-        return none, none, none, np.zeros(0, np.uint64)
+        return none, none, none, *[np.zeros(0, np.uint64)] * (1 + len(prefixes))
     start = np.concatenate(starts)
-    return start, np.concatenate(ends), np.searchsorted(offsets, start, side="right") - 1, np.concatenate(hashes)
+    return start, np.concatenate(ends), np.searchsorted(offsets, start, side="right") - 1, np.concatenate(hashes), *map(np.concatenate, heads)
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int = 5) -> list[np.ndarray]:
