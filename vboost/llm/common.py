@@ -27,13 +27,26 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialise(df: DataFrame) -> DataFrame:
-    """Write a frame to the shared folder and read it back: later reads survive the loss of any executor."""
+    """Write a frame to the shared folder and read it back: later reads survive the loss of any executor.
+
+    What the finished job shuffled is needed no more; a collection of the driver's garbage lets Spark remove it.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/work-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    spark.sparkContext._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(df: DataFrame) -> None:
+    """Delete the files of a materialised frame that nothing reads any more."""
+    spark = df.sparkSession
+    for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        if "/work-" in name:
+            path = spark._jvm.org.apache.hadoop.fs.Path(name)
+            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """Evaluate a value once and use it many times inside a lambda, where Catalyst would inline it."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -4,6 +4,7 @@
    is one node from here on.
 2. A third of the shingle space, chosen by hash, is counted over all sets. A shingle of one set alone is shared with
    none, so a set with more lone shingles than the threshold allows has no partner and leaves. Exact for any share.
+   All shingles of the sets that stay are then counted in the same way.
 3. For the sets that stay, all shingles are counted, and each set is listed under the rarest shingles that any
    partner must share one of (prefix filter). Sets listed together, directly or through others, form a candidate
    group; groups are found by distributed components, and each set goes to its group's task once.
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import materialise, shuffle_partitions, table
+from .common import materialise, release, shuffle_partitions, table
 from .components import connected_components
 from .signature_tree import dual_join
 
@@ -65,6 +66,19 @@ def _floor_share(n, percent: int):
     return F.col(n) - F.floor((F.col(n) * percent + 99) / 100)
 
 
+def _without_partners(shingles: DataFrame, percent: int) -> DataFrame:
+    """Nodes that too many lone shingles of `shingles` (node, n, h) keep from any partner: one shuffle of the rows."""
+    return (
+        shingles.groupBy("h")
+        .agg(F.min("node").alias("node"), F.max("node").alias("top"), F.min("n").alias("n"))
+        .where("node = top")
+        .groupBy("node", "n")
+        .agg(F.count("*").alias("u"))
+        .where(F.col("u") > _floor_share("n", percent))
+        .select("node")
+    )
+
+
 def _tree_task(percent: int):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pairs: list[tuple[int, int]] = []
@@ -156,23 +170,19 @@ def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     linked with nothing: the first are their own component, the second have none. Repeated rows stay, each with the
     same result. Other columns are ignored. An empty table gives no rows.
     """
-    sig = materialise(shingle_table(docs, id_col, text_col, width, whole=False))
+    sampled = materialise(shingle_table(docs, id_col, text_col, width, whole=False))
+    sig = materialise(sampled.drop("h"))
     named = sig.where("n > 0 AND doc_id IS NOT NULL")
-    lone = (
-        named.select("node", "n", F.explode("h").alias("h"))
-        .groupBy("h")
-        .agg(F.min("node").alias("node"), F.max("node").alias("top"), F.min("n").alias("n"))
-        .where("node = top")
-        .groupBy("node", "n")
-        .agg(F.count("*").alias("u"))
-        .where(F.col("u") > _floor_share("n", percent))
-        .select("node")
-    )
-    # one text of each set that may have partners
-    stay = named.join(lone, "node", "left_anti").groupBy("node").agg(F.min("doc_id").alias(id_col))
-    kept = docs.select(id_col, text_col).where(F.col(id_col).isNotNull())
-    again = shingle_table(kept.join(stay.select(id_col), id_col, "left_semi"), id_col, text_col, width)
-    sets = materialise(again.where("n > 0").dropDuplicates(["node"]).select("node", "n", "h"))
+    counted = sampled.where("n > 0 AND doc_id IS NOT NULL").select("node", "n", F.explode("h").alias("h"))
+    lone = materialise(_without_partners(counted, percent))
+    release(sampled)
+    # one text of each set that may have partners; joined alike at every size, so no broadcast
+    stay = materialise(named.join(lone, "node", "left_anti").groupBy("node").agg(F.min("doc_id").alias(id_col)))
+    kept = docs.select(id_col, text_col).where(F.col(id_col).isNotNull()).join(stay.select(id_col).hint("merge"), id_col, "left_semi")
+    whole = materialise(shingle_table(kept, id_col, text_col, width).where("n > 0").dropDuplicates(["node"]).select("node", "n", "h"))
+    lone = materialise(_without_partners(whole.select("node", "n", F.explode("h").alias("h")), percent))
+    sets = materialise(whole.join(lone.hint("merge"), "node", "left_anti"))
+    release(whole)
     roots = connected_components(jaccard_links(sets, percent, block))
     grouped = named.select("doc_id", "node").join(roots, "node", "left").select("doc_id", "node", F.coalesce("root", "node").alias("root"))
     first = grouped.groupBy("root").agg(F.min("doc_id").alias("component_id"))
@@ -182,6 +192,16 @@ def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     return sig.select("doc_id", F.col("n").alias("n_shingles"), "n", "node").join(classes, "node", "left").select("doc_id", "n_shingles", own.alias("component_id"))
 
 
+def keep_representatives(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of docs, with all their columns, whose doc_id is their component's smallest; repeated rows once.
+
+    Rows without an id are in no component and stay.
+    """
+    found = ngram_jaccard_components(docs, "doc_id", "text", width, percent)
+    kept = found.where("doc_id = component_id").select("doc_id").distinct()
+    return docs.join(kept.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]).unionByName(docs.where("doc_id IS NULL"))
+
+
 def op1_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, n_shingles, component_id for every document: five-word shingles, similarity of 0.8 or more."""
     return ngram_jaccard_components(table(spark, sf_dir, "documents"))
