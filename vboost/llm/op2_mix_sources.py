@@ -143,6 +143,19 @@ def mix_sources(
     )
 
 
+def apply_mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, low: float = 1.0, high: float = 8.0) -> DataFrame:
+    """The rows of docs, with all their columns, as often as their fitted number of copies.
+
+    With `low` of 1 or more no document is dropped: domains are brought to their weights by repeating documents.
+    """
+    rated = mix_sources(docs, labelled, targets, low, high, grow=low > 0)
+    copies = rated.groupBy(F.col("doc_id").alias("rated_id")).agg(F.max("copies").alias("copies_of_row"))
+    joined = docs.join(copies.hint("merge"), docs["doc_id"].eqNullSafe(copies["rated_id"]), "left")
+    times = F.coalesce("copies_of_row", F.lit(1))
+    again = F.explode(F.when(times > 0, F.sequence(F.lit(1), times)).otherwise(F.array().cast("array<int>")))
+    return joined.withColumn("copy_of_row", again).drop("rated_id", "copies_of_row", "copy_of_row")
+
+
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rates of all documents for the target weights of the three domains of `labels`."""
     labelled = table(spark, sf_dir, "labels").select("doc_id", domain_of_labels().alias("domain"))

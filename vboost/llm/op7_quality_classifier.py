@@ -223,8 +223,8 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int
 def _scorer(model: AdditiveModel):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = batch_features(batch.column(batch.num_columns - 1))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(model.scores(x))], names=[*batch.schema.names[:-1], "score"])
+            x = batch_features(batch.column("text"))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(model.scores(x))], names=["doc_id", "score"])
 
     return run
 
@@ -234,6 +234,20 @@ def score_quality(docs: DataFrame, model: AdditiveModel) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_scorer(model), "doc_id long, score double")
 
 
+def _selector(model: AdditiveModel, least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = batch_features(batch.column(batch.schema.get_field_index("text")).cast(pa.string()))
+            yield batch.filter(pa.array(model.scores(x) >= least))
+
+    return run
+
+
+def keep_quality(docs: DataFrame, model: AdditiveModel, least: float = 0.3) -> DataFrame:
+    """The rows of docs, with all their columns, that score `least` or more: a filter without a shuffle."""
+    return docs.mapInArrow(_selector(model, least), docs.schema)
+
+
 def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Quality score of every document, learned from four fifths of the labels."""
     docs = table(spark, sf_dir, "documents")

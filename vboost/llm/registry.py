@@ -9,7 +9,18 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles
 
-MODULES = ("op1_ngram_jaccard", "op3_chat_format", "op5_quality_rules", "op6_license_scan")
+MODULES = (
+    "op1_ngram_jaccard",
+    "op2_mix_sources",
+    "op3_chat_format",
+    "op4_html_extract",
+    "op5_quality_rules",
+    "op6_license_scan",
+    "op7_quality_classifier",
+    "op8_token_output",
+    "op9_decontaminate",
+    "op10_toxicity",
+)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
