@@ -231,11 +231,19 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
             out.nodes[left] = Node(left, row["cnt_l"], gl, hl)
             out.nodes[right] = Node(right, row["cnt_t"] - row["cnt_l"], [a - b for a, b in zip(g, gl)], [a - b for a, b in zip(h, hl)])
             after += [left, right]
-        for name in eligible[1:] if eligible[0] == spec.parties[0].name else eligible:
-            splits = len(layer_nodes) * sum(1 for _ in range(*spec.span(name))) * (params.max_bin - 1)
-            infos = len(layer_nodes) * -(-splits // len(layer_nodes) // budget.slots) if params.compress and budget and classes == 1 and params.packing else splits * per_row
+        for name in eligible:
+            if name == spec.parties[0].name:
+                continue
+            first, end = spec.span(name)
+            splits = len(layer_nodes) * (end - first) * (params.max_bin - 1)
+            infos = splits * per_row
+            if params.compress and params.packing and budget and classes == 1:
+                infos = len(layer_nodes) * -(-splits // len(layer_nodes) // budget.slots)
+                ledger.send(tree, layer, name, name, "shifts", splits - infos)
+            folded = sum(out.nodes[n].count for n in small if n in out.nodes)
             ledger.send(tree, layer, name, spec.parties[0].name, "split_info", infos, (2 * params.key_bits + 7) // 8)
-            ledger.send(tree, layer, name, spec.parties[0].name, "rows_folded", 0)
+            ledger.send(tree, layer, name, name, "rows_folded", folded * (end - first) * per_row)
+            ledger.send(tree, layer, name, name, "prefix_adds", splits * per_row)
         layer_nodes = after
         if not after:
             break

@@ -111,6 +111,10 @@ class Ledger:
     def send(self, tree: int, layer: int, sender: str, receiver: str, kind: str, items: int, size: int = 0) -> None:
         self.rows.append({"tree": tree, "layer": layer, "sender": sender, "receiver": receiver, "kind": kind, "n_items": items, "n_bytes": items * size})
 
+    def operations(self) -> dict[str, int]:
+        """Counts under the names that costs.price knows; every info item is one decryption."""
+        return {"enc": self.items("enc_gh"), "dec": self.items("split_info"), "adds": self.items("rows_folded"), "prefix": self.items("prefix_adds"), "shifts": self.items("shifts")}
+
     def items(self, kind: str | None = None) -> int:
         return sum(r["n_items"] for r in self.rows if kind in (None, r["kind"]))
 

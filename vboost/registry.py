@@ -351,7 +351,7 @@ def base_equals_lean(spark, sf_dir):
 
 
 def experiment(spark, sf_dir, variants: tuple[str, ...], names: tuple[str, ...], trees: int = 2) -> DataFrame:
-    """Quality on test rows, mean seconds a tree, trees, and items sent, for each workload and variant."""
+    """Quality on test rows, mean seconds a tree, trees, items sent, and the priced cipher seconds of a tree."""
     out = []
     for name in names:
         w = workloads.ALL[name]
@@ -362,8 +362,8 @@ def experiment(spark, sf_dir, variants: tuple[str, ...], names: tuple[str, ...],
             scored = m.predict(test, ["inst_id", "y"])
             q = (metrics.accuracy(scored, metrics.argmax()) if w.classes > 1 else metrics.auc(scored)).first()[0]
             seconds = [h["seconds"] for h in m.history]
-            out.append((name, v, len(m.trees), q, sum(seconds) / max(1, len(m.trees)), sum(seconds), m.ledger.items("enc_gh"), m.ledger.items("split_info")))
-    return spark.createDataFrame(out, "workload string, variant string, trees int, quality double, tree_seconds double, total_seconds double, enc_items long, info_items long")
+            out.append((name, v, len(m.trees), q, sum(seconds) / max(1, len(m.trees)), sum(seconds), m.ledger.items("enc_gh"), m.ledger.items("split_info"), costs.price(m.ledger.operations()) / max(1, len(m.trees))))
+    return spark.createDataFrame(out, "workload string, variant string, trees int, quality double, tree_seconds double, total_seconds double, enc_items long, info_items long, cipher_seconds_a_tree double")
 
 
 def ablation(spark, sf_dir):
