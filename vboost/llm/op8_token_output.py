@@ -5,9 +5,9 @@ ids and compresses each by replacing frequent pairs of symbols by nonterminals.
 (pairs), the length that each rule expands to, the symbol sequence, and for each document its first symbol and its
 number of ids, so one document is decoded without the others. No pair spans two documents.
 
-Encoding is by the tokenizers library. A text is cut before single spaces that stand before a letter, mark or digit:
-there the pre-tokenizer cuts too, so the pieces' ids laid end to end are the text's ids, and each distinct piece is
-encoded once for each worker while it stays in a bounded cache. Any other text is encoded whole.
+Encoding is by the tokenizers library. A text of ASCII and Latin letters is cut into the tokenizer's pre-tokens, whose
+ids laid end to end are the text's ids; the library encodes each distinct one once for each worker while it stays in a
+bounded cache. Any other text is encoded whole.
 """
 
 from __future__ import annotations
@@ -17,6 +17,7 @@ import re
 import uuid
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -29,12 +30,29 @@ from .common import shared_dir, shuffle_partitions, table
 END_ID = 0
 SHARD_TOKENS = 1 << 19
 ROUNDS, RULES_A_ROUND, LEAST = 4, 512, 16
-CACHE_PIECES = 400_000
-_UNSAFE = re.compile("(?:^ | (?![!-~À-߿])| $)")
+CACHE_PIECES = 800_000
+#: The tokenizer's own pre-token pattern, for texts of ASCII and Latin letters; other texts are encoded whole.
+_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
+_OTHER = re.compile(f"[^\\n -~{_LETTERS}]")
+_PRE_TOKEN = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\s0-9{_LETTERS}]+|\s+(?!\S)|\s+")
 _ENCODERS: dict[str, "PieceEncoder"] = {}
 
 
+class _Numbered(dict):
+    """Numbers new keys as they are looked up, and lists them."""
+
+    def __init__(self) -> None:
+        self.fresh: list[str] = []
+
+    def __missing__(self, key: str) -> int:
+        self.fresh.append(key)
+        self[key] = n = len(self)
+        return n
+
+
 class PieceEncoder:
+    """Ids of texts; the ids of each distinct pre-token are asked of the library once while the cache holds them."""
+
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -44,39 +62,49 @@ class PieceEncoder:
         self.clear()
 
     def clear(self) -> None:
-        self.known: dict[str, int] = {}
-        self.start, self.size, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint16)
-
-    def learn(self, pieces: list[str]) -> None:
-        found = [np.array(e.ids, dtype=np.uint16) for e in self.tokenizer.encode_batch_fast([" " + p for p in pieces], add_special_tokens=False)]
-        size = np.array([len(x) for x in found], dtype=np.int64)
-        self.known.update(zip(pieces, range(len(self.start), len(self.start) + len(pieces))))
-        self.start = np.concatenate([self.start, len(self.pool) + np.cumsum(size) - size])
-        self.size = np.concatenate([self.size, size])
-        self.pool = np.concatenate([self.pool, *found])
+        self.known = _Numbered()
+        self.used = 0
+        self.start, self.size, self.pool = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16)
+
+    def learn(self) -> None:
+        """Encode the pieces that were numbered since the last call."""
+        pieces, self.known.fresh = self.known.fresh, []
+        found = [e.ids for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+        size = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
+        flat = np.fromiter(chain.from_iterable(found), dtype=np.uint16, count=int(size.sum()))
+        n = len(pieces)
+        at = len(self.known) - n
+        self.start, self.size, self.pool = _room(self.start, at + n), _room(self.size, at + n), _room(self.pool, self.used + len(flat))
+        self.start[at : at + n] = self.used + np.cumsum(size) - size
+        self.size[at : at + n] = size
+        self.pool[self.used : self.used + len(flat)] = flat
+        self.used += len(flat)
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text, without an end id."""
         if len(self.known) > CACHE_PIECES:
             self.clear()
         out: list[np.ndarray] = [self.pool[:0]] * len(texts)
-        plain, cut = [], []
-        for i, t in enumerate(texts):
-            (plain if _UNSAFE.search(t) else cut).append(i)
-        for i, e in zip(plain, self.tokenizer.encode_batch_fast([texts[i] for i in plain], add_special_tokens=False)):
+        odd = [i for i, t in enumerate(texts) if _OTHER.search(t)]
+        for i, e in zip(odd, self.tokenizer.encode_batch_fast([texts[i] for i in odd], add_special_tokens=False)):
             out[i] = np.array(e.ids, dtype=np.uint16)
-        split = [texts[i].split(" ") for i in cut]
-        new = {p for pieces in split for p in pieces[1:] if p not in self.known}
-        if new:
-            self.learn(sorted(new))
-        heads = self.tokenizer.encode_batch_fast([x[0] for x in split], add_special_tokens=False)
-        known = self.known
-        for i, pieces, head in zip(cut, split, heads):
-            k = np.fromiter((known[p] for p in pieces[1:]), dtype=np.int64, count=len(pieces) - 1)
-            out[i] = np.concatenate([np.array(head.ids, dtype=np.uint16), gather(self.pool, self.start[k], self.size[k])])
+        skip = set(odd)
+        plain = [i for i in range(len(texts)) if i not in skip]
+        tokens = [_PRE_TOKEN.findall(texts[i]) for i in plain]
+        lengths = list(map(len, tokens))
+        k = np.fromiter(map(self.known.__getitem__, chain.from_iterable(tokens)), dtype=np.int64, count=sum(lengths))
+        self.learn()
+        ids = gather(self.pool, self.start[k], self.size[k])
+        upto = np.concatenate([[0], np.cumsum(self.size[k])])[np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)]
+        for i, a, b in zip(plain, upto[:-1].tolist(), upto[1:].tolist()):
+            out[i] = ids[a:b]
         return out
 
 
+def _room(x: np.ndarray, size: int) -> np.ndarray:
+    return x if size <= len(x) else np.concatenate([x, np.zeros(max(size - len(x), len(x)), x.dtype)])
+
+
 def gather(pool: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
     """The runs pool[start : start + size] laid end to end."""
     ends = np.cumsum(size)
@@ -175,8 +203,8 @@ def _writer(path: str, terminals: int, shard_tokens: int):
             return pa.RecordBatch.from_arrays([pa.array([v], type=t) for v, t in zip(row, types)], names=[x.split()[0] for x in FILE.split(", ")])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                some = batch.slice(at, 256)
+            for at in range(0, batch.num_rows, 512):
+                some = batch.slice(at, 512)
                 texts = [t or "" for t in some.column(1).to_pylist()]
                 for doc_id, x in zip(some.column(0).to_pylist(), enc.encode(texts)):
                     ids.append(doc_id)
