@@ -209,7 +209,7 @@ class ChainField:
         return nodes, moved
 
 
-def train_field(pages: list[tuple[list[list[str]], list[int]]], epochs: int = 6, rate: float = 0.3, ridge: float = 1e-4, seed: int = 7) -> ChainField:
+def train_field(pages: list[tuple[list[list[str]], list[int]]], epochs: int = 8, rate: float = 0.3, ridge: float = 1e-4, seed: int = 7) -> ChainField:
     """Conditional likelihood by AdaGrad steps, one for each page."""
     model, squares, order = ChainField(), defaultdict(lambda: [1e-6, 1e-6]), random.Random(seed)
     move_squares = [[1e-6, 1e-6], [1e-6, 1e-6]]
@@ -300,15 +300,15 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
         out = [f"<{tag}{attributes(BODY[1], 0.9 if tag in ('div', 'section') else 0.4)}>", f"<h1>{say(words(2, 8), 1)}</h1>" if rng.random() < 0.8 else ""]
         for _ in range(rng.randint(2, 10)):
             shape = rng.random()
-            if shape < 0.72:
+            if shape < 0.66:
                 out.append(rng.choice(["<p>{}</p>", "<p>{}</p>", "<p>{}", "<div>{}</div>", "<p><b>{}<br></p>"]).format(prose(1, 1, 80)))
-            elif shape < 0.80:
+            elif shape < 0.72:
                 out.append(f"<h2>{say(words(1, 6), 1)}</h2>")
-            elif shape < 0.86:
+            elif shape < 0.78:
                 out.append("<ul>" + "".join(f"<li>{prose(1, 2, 15)}</li>" for _ in range(rng.randint(2, 4))) + "</ul>")
-            elif shape < 0.90:
+            elif shape < 0.81:
                 out.append(f"<blockquote>{prose(1, 4, 30)}</blockquote>")
-            elif shape < 0.93:
+            elif shape < 0.84:
                 out.append("<table><tr>" + "".join(f"<td>{say(words(1, 3), 1)}</td>" for _ in range(3)) + "</tr></table>")
             else:
                 out.append(part(rng.choice(["advert", "share", "sidebar", "form", "notice"])))
@@ -322,7 +322,7 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
     return f"<html><head><title>{words(2, 6)}</title><script>x='<p>'</script></head><body>" + "".join(before + middle + after) + "</body></html>", labels
 
 
-def labelled_pages(n: int = 400, seed: int = 11) -> list[tuple[list[list[str]], list[int]]]:
+def labelled_pages(n: int = 600, seed: int = 11) -> list[tuple[list[list[str]], list[int]]]:
     """Features and labels of generated pages; a page whose blocks do not match its labels is left out."""
     rng, out = random.Random(seed), []
     for _ in range(n):
