@@ -35,7 +35,7 @@ STATEMENTS: dict[str, str] = {
     "agg_argmax": "SELECT o_custkey, max_by(o_orderkey, o_totalprice) AS best FROM orders GROUP BY o_custkey",
     "agg_stats": "SELECT l_returnflag, round(avg(l_quantity), 6) AS mean, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_discount), 6) AS c FROM lineitem GROUP BY l_returnflag",
     "agg_having": f"SELECT o_custkey, {B('count(*)')} AS n FROM orders GROUP BY o_custkey HAVING count(*) >= 15",
-    "win_rank_family": "SELECT p_partkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, round(percent_rank() OVER v, 6) AS pr, round(cume_dist() OVER v, 6) AS cd, ntile(4) OVER w AS nt FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey), v AS (PARTITION BY p_brand ORDER BY p_size)",
+    "win_rank_family": f"SELECT p_partkey, {B('row_number() OVER w')} AS rn, {B('rank() OVER v')} AS rk, {B('dense_rank() OVER v')} AS dr, round(percent_rank() OVER v, 6) AS pr, round(cume_dist() OVER v, 6) AS cd, {B('ntile(4) OVER w')} AS nt FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey), v AS (PARTITION BY p_brand ORDER BY p_size)",
     "win_running_sum": f"SELECT bin, {B('sum(n) OVER (ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)')} AS upto FROM (SELECT {CELL} AS bin, count(*) AS n FROM lineitem GROUP BY 1) x",
     "win_range_frame": f"SELECT event_id, {B('count(*) OVER (PARTITION BY user_id ORDER BY dayofyear(ts) RANGE BETWEEN 6 PRECEDING AND CURRENT ROW)')} AS week FROM events",
     "win_lag_lead": "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
@@ -50,8 +50,8 @@ STATEMENTS: dict[str, str] = {
     "fn_math": "SELECT o_orderkey, CAST(floor(o_totalprice / 1000) AS BIGINT) AS f, round(power(o_totalprice / 1000, 2), 4) AS p, round(exp(-o_totalprice / 100000), 6) AS e, round(ln(o_totalprice), 6) AS l, round(sqrt(o_totalprice), 6) AS s, greatest(o_totalprice, 1000) AS g FROM orders",
     "fn_bits": "SELECT c_custkey, bit_count(c_custkey) AS ones, (c_custkey & 255) AS low FROM customer",
     "fn_decimal": "SELECT l_returnflag, CAST(sum(CAST(floor(l_quantity * CAST(1073741824.0 AS DOUBLE)) AS DECIMAL(38, 0))) AS STRING) AS s FROM lineitem GROUP BY l_returnflag",
-    "fn_string": "SELECT p_partkey, length(trim(p_name)) AS n, substr(p_brand, 7, 2) AS no, md5(p_name) AS h, upper(p_type) AS t FROM part",
-    "fn_date": f"SELECT o_orderkey, {B('year(o_orderdate)')} AS y, {B('dayofyear(o_orderdate)')} AS d, {B('month(o_orderdate)')} AS m, CAST(date_trunc('month', o_orderdate) AS DATE) AS start FROM orders",
+    "fn_string": f"SELECT p_partkey, {B('length(trim(p_name))')} AS n, substr(p_brand, 7, 2) AS no, md5(p_name) AS h, upper(p_type) AS t FROM part",
+    "fn_date": f"SELECT o_orderkey, {B('year(o_orderdate)')} AS y, {B('dayofyear(o_orderdate)')} AS d, {B('month(o_orderdate)')} AS m, CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS STRING) AS start FROM orders",
     "fn_json": f"SELECT event_id, {B('{k}')} AS k FROM events",
 }
 
@@ -59,6 +59,7 @@ STATEMENTS: dict[str, str] = {
 DUCK = {
     "fn_json": {"{k}": "json_extract_string(props, '$.k')"},
     "fn_decimal": {"AS STRING": "AS VARCHAR"},
+    "fn_date": {"AS STRING": "AS VARCHAR"},
     "hash_split": {"AS STRING": "AS VARCHAR"},
     "join_semi_survivors": {"LEFT SEMI JOIN": "SEMI JOIN"},
     "join_anti_lost": {"LEFT ANTI JOIN": "ANTI JOIN"},

@@ -40,7 +40,7 @@ SELECT *, {_planted(f"CAST(2.0 AS DOUBLE) * o_totalprice / {D('500000')} + {D('2
 """
 
 _LINES = f"""
-SELECT row_number() OVER (ORDER BY l_orderkey, l_partkey, l_suppkey, l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS inst_id,
+SELECT CAST(row_number() OVER (ORDER BY l_orderkey, l_partkey, l_suppkey, l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS BIGINT) AS inst_id,
   l_quantity, l_extendedprice, l_discount, l_tax, {D('l_linenumber')} AS l_linenumber, {D('ascii(l_returnflag)')} AS l_flag, {D('ascii(l_linestatus)')} AS l_state,
   {D('year(l_shipdate)')} AS l_year, {D('month(l_shipdate)')} AS l_month, {D('dayofyear(l_shipdate)')} AS l_day,
   {D('p_size')} AS p_size, p_retailprice, {D('ascii(p_type)')} AS p_kind, {D("replace(p_brand, 'Brand#', '')")} AS p_brand_no, s_acctbal, {D('s_nationkey')} AS s_nation,
