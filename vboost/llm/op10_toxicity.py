@@ -46,7 +46,8 @@ _DIGIT = np.zeros(256, dtype=bool)
 _DIGIT[[*range(48, 58), ord("@")]] = True
 _START = _DIGIT.copy()
 _START[ord("$")] = True
-_APART = re.compile(r"(?<![^\s])(?:[A-Za-z0-9@$!|+*][ ._*\-]){3,}[A-Za-z0-9@$!|+*](?![^\s.,;:!?])")
+#: Four or more single letters or signs, all set apart by the same mark.
+_APART = re.compile(r"(?<![^\s])[A-Za-z0-9@$!|+*]([ ._*\-])(?:[A-Za-z0-9@$!|+*]\1){2,}[A-Za-z0-9@$!|+*](?=[.,;:!?]*(?:\s|\Z))")
 #: Tokens with a sign in them, or a letter three times over.
 _TOKEN = re.compile(r"(?<![A-Za-z0-9@$!|+*])(?=[A-Za-z]*[0-9@$!|+*]|[A-Za-z]*?([A-Za-z])\1\1)[A-Za-z0-9@$!|+*]+")
 
