@@ -10,7 +10,7 @@ beyond LOCAL_CELLS all steps stay distributed. Both ways give the same splits.
 from __future__ import annotations
 
 import time
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -49,17 +49,21 @@ class Tree:
         n = self.nodes[node]
         return [-g / (h + reg_lambda) for g, h in zip(n.g, n.h)]
 
-    def node_column(self, bins: str = "bins") -> Column:
-        """The leaf, or deepest grown node, of a row."""
+    def leaf_column(self, value: Callable[[int], Column], bins: str = "bins") -> Column:
+        """What `value` gives for a row's leaf: one nested CASE, a comparison for each layer."""
 
         def at(node: int) -> Column:
             n = self.nodes[node]
             if n.fid is None:
-                return F.lit(node)
+                return value(node)
             return F.when(F.get(bins, F.lit(n.fid)) <= n.bin, at(2 * node + 1)).otherwise(at(2 * node + 2))
 
         return at(0)
 
+    def node_column(self, bins: str = "bins") -> Column:
+        """The leaf, or deepest grown node, of a row."""
+        return self.leaf_column(F.lit, bins)
+
     def walk(self, x: np.ndarray) -> np.ndarray:
         """The leaf of each row of a bin matrix."""
         node = np.zeros(len(x), dtype=np.int64)
@@ -115,12 +119,7 @@ class Model:
         """The scalar score as one expression: for models of a few trees."""
         total = F.lit(0.0)
         for t in self.trees:
-            node = t.node_column(bins)
-            value = F.lit(0.0)
-            for i, n in t.nodes.items():
-                if n.fid is None:
-                    value = F.when(node == i, t.weight(i, self.params.reg_lambda)[0] * self.params.learning_rate).otherwise(value)
-            total = total + value
+            total = total + t.leaf_column(lambda i, t=t: F.lit(t.weight(i, self.params.reg_lambda)[0] * self.params.learning_rate), bins)
         return total
 
     def node_rows(self) -> list[dict]:
@@ -260,19 +259,16 @@ def _advance(frame: DataFrame, trees: list[Tree], params: Params) -> DataFrame:
     """Adds the new trees' leaf weights to the scores."""
     score = F.col("score")
     for t in trees:
-        node = t.node_column()
-        leaves = {i: [w * params.learning_rate for w in t.weight(i, params.reg_lambda)] for i, n in t.nodes.items() if n.fid is None}
+        weight = lambda i, t=t: [w * params.learning_rate for w in t.weight(i, params.reg_lambda)]
         if params.classes == 1:
-            add = F.lit(0.0)
-            for i, w in leaves.items():
-                add = F.when(node == i, w[0]).otherwise(add)
-            score = score + add
-        else:
-            add = F.array(*[F.lit(0.0)] * params.classes)
-            for i, w in leaves.items():
-                full = w if len(w) == params.classes else [w[0] if j == t.class_id else 0.0 for j in range(params.classes)]
-                add = F.when(node == i, F.array(*map(F.lit, full))).otherwise(add)
-            score = F.zip_with(score, add, lambda a, b: a + b)
+            score = score + t.leaf_column(lambda i: F.lit(weight(i)[0]))
+            continue
+
+        def full(i: int, t=t, weight=weight) -> Column:
+            w = weight(i)
+            return F.array(*[F.lit(x) for x in (w if len(w) == params.classes else [w[0] if j == t.class_id else 0.0 for j in range(params.classes)])])
+
+        score = F.zip_with(score, t.leaf_column(full), lambda a, b: a + b)
     return frame.withColumn("score", score)
 
 
