@@ -62,15 +62,30 @@ def st_static_join(spark, sf_dir):
     return drained(joined.select("event_id", "c_mktsegment"))
 
 
+def st_session(spark, sf_dir):
+    """Sessions of a user with gaps below six hours."""
+    w = events(spark, sf_dir).withWatermark("ts", "1 hour").groupBy("user_id", F.session_window("ts", "6 hours").alias("w")).agg(F.count("*").alias("n"))
+    return drained(w.select("user_id", F.col("w.start").alias("start"), "n"), "complete").select("user_id", _epoch("start"), "n")
+
+
+def st_stream_join(spark, sf_dir):
+    """Clicks followed by a purchase of the same user within an hour: both sides with watermarks."""
+    side = lambda kind, p: events(spark, sf_dir).where(F.col("event_type") == kind).withWatermark("ts", "40 days").select(F.col("event_id").alias(f"{p}_id"), F.col("user_id").alias(f"{p}_user"), F.col("ts").alias(f"{p}_ts"))
+    joined = side("click", "c").join(side("purchase", "p"), F.expr("c_user = p_user AND p_ts >= c_ts AND p_ts <= c_ts + INTERVAL 1 HOUR"))
+    return drained(joined.select("c_id", "p_id"))
+
+
 def st_score(spark, sf_dir):
     """A model's expression over the stream; here a depth-1 tree on the value."""
     return drained(events(spark, sf_dir).select("event_id", F.when(F.col("value") <= 50, -0.25).otherwise(0.25).alias("score")))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (st_tumbling, st_sliding, st_dedup, st_static_join, st_score)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (st_tumbling, st_sliding, st_session, st_stream_join, st_dedup, st_static_join, st_score)}
 ORACLES = {
     "st_tumbling": "SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
     "st_sliding": "SELECT start, count(*) AS n FROM (SELECT CAST(floor(epoch(ts) / 43200) AS BIGINT) * 43200 - unnest([0, 43200]) AS start FROM events) x GROUP BY 1",
+    "st_session": "WITH a AS (SELECT user_id, ts, epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) AS gap FROM events), b AS (SELECT user_id, ts, sum(CASE WHEN gap IS NULL OR gap > 21600 THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM a) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM b GROUP BY user_id, k",
+    "st_stream_join": "SELECT a.event_id AS c_id, b.event_id AS p_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR",
     "st_dedup": "SELECT DISTINCT event_id FROM events",
     "st_static_join": "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey",
     "st_score": "SELECT event_id, CASE WHEN value <= 50 THEN CAST(-0.25 AS DOUBLE) ELSE CAST(0.25 AS DOUBLE) END AS score FROM events",
