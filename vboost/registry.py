@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from functools import partial
 
@@ -17,7 +18,7 @@ from .plans import baselines, protocol
 from .plans.grow import grow_tree, train
 from .plans.params import FederatedSpec, Ledger, Params, Party, schedule
 from .sources import workloads
-from .sources.io import table
+from .sources.io import load_model, save_model, shared_dir, table
 from .streaming import jobs
 
 R = 53
@@ -397,6 +398,17 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return train(data, w.spec, Params(trees=3)).predict(data, ["inst_id", "y"])
 
 
+def sink_model_store(spark, sf_dir):
+    """Nodes of a trained model as written, partitioned by tree, and read back."""
+    w = workloads.ALL["w1"]
+    m = train(w.load(spark, sf_dir), w.spec, Params(trees=2, max_depth=2))
+    path = f"{shared_dir(spark)}/model-{uuid.uuid4().hex}"
+    save_model(spark, m.node_rows(), path)
+    back = load_model(spark, path)
+    assert back == m.node_rows()
+    return spark.createDataFrame([(r["tree"], r["node"], r["party"], r["count"]) for r in back], "tree int, node int, party string, rows long")
+
+
 def around_query(spark, sf_dir, name):
     workloads.views(spark, sf_dir)
     return spark.sql(around.statement(name, "spark"))
@@ -417,7 +429,10 @@ NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "x2_auc_lean": partial(experiment, variants=("central", "base", "lean"), names=("w1",)),
     "x3_mechanism_time": partial(experiment, variants=("lean", "mix", "layered"), names=BINARY),
     "x4_mechanism_auc": partial(experiment, variants=("central", "lean", "mix", "layered"), names=("w3",)),
-    "x5_multi_class": partial(experiment, variants=("lean", "multi_output"), names=("w7",)),
+    "x5_multi_class": partial(experiment, variants=("lean", "multi_output"), names=("w7",), trees=1),
+    "x6_total_time": partial(experiment, variants=("lean", "multi_output"), names=("w6",), trees=1),
+    "x7_accuracy": partial(experiment, variants=("central", "multi_output"), names=("w5",), trees=1),
+    "sink_model_store": sink_model_store,
     "x8_cost_table": cost_model,
     "x9_ablation": ablation,
     "x10_scale_sweep": scale_sweep,
