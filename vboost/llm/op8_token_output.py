@@ -5,7 +5,7 @@ ids and compresses each by replacing frequent pairs of symbols by nonterminals.
 (pairs), the length that each rule expands to, the symbol sequence, and for each document its first symbol and its
 number of ids, so one document is decoded without the others. No pair spans two documents.
 
-Encoding is by the tokenizers library. A text of ASCII and Latin letters is cut into the tokenizer's pre-tokens, whose
+Encoding is by the tokenizers library. A text of ASCII and Latin-1 letters is cut into the tokenizer's pre-tokens, whose
 ids laid end to end are the text's ids; the library encodes each distinct one once for each worker while it stays in a
 bounded cache. Any other text is encoded whole.
 """
@@ -30,9 +30,9 @@ from .common import shared_dir, shuffle_partitions, table
 END_ID = 0
 SHARD_TOKENS = 1 << 19
 ROUNDS, RULES_A_ROUND, LEAST = 4, 512, 16
-CACHE_PIECES = 800_000
-#: The tokenizer's own pre-token pattern, for texts of ASCII and Latin letters; other texts are encoded whole.
-_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
+CACHE_PIECES = 600_000
+#: The tokenizer's own pre-token pattern, for texts of ASCII and Latin-1 letters; other texts are encoded whole.
+_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff"
 _OTHER = re.compile(f"[^\\n -~{_LETTERS}]")
 _PRE_TOKEN = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\s0-9{_LETTERS}]+|\s+(?!\S)|\s+")
 _ENCODERS: dict[str, "PieceEncoder"] = {}
@@ -64,7 +64,7 @@ class PieceEncoder:
     def clear(self) -> None:
         self.known = _Numbered()
         self.used = 0
-        self.start, self.size, self.pool = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16)
+        self.start, self.size, self.pool = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32), np.zeros(1 << 18, np.uint16)
 
     def learn(self) -> None:
         """Encode the pieces that were numbered since the last call."""
@@ -92,7 +92,7 @@ class PieceEncoder:
         plain = [i for i in range(len(texts)) if i not in skip]
         tokens = [_PRE_TOKEN.findall(texts[i]) for i in plain]
         lengths = list(map(len, tokens))
-        k = np.fromiter(map(self.known.__getitem__, chain.from_iterable(tokens)), dtype=np.int64, count=sum(lengths))
+        k = np.fromiter(map(self.known.__getitem__, chain.from_iterable(tokens)), dtype=np.int32, count=sum(lengths))
         self.learn()
         ids = gather(self.pool, self.start[k], self.size[k])
         upto = np.concatenate([[0], np.cumsum(self.size[k])])[np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)]
@@ -107,10 +107,11 @@ def _room(x: np.ndarray, size: int) -> np.ndarray:
 
 def gather(pool: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
     """The runs pool[start : start + size] laid end to end."""
-    ends = np.cumsum(size)
+    ends = np.cumsum(size, dtype=np.int64)
     if not len(ends) or not ends[-1]:
         return pool[:0]
-    return pool[np.arange(ends[-1]) + np.repeat(start - (ends - size), size)]
+    kind = np.int32 if ends[-1] < 1 << 31 and len(pool) < 1 << 31 else np.int64
+    return pool[np.arange(ends[-1], dtype=kind) + np.repeat((start - (ends - size)).astype(kind), size)]
 
 
 def encoder(path: str) -> PieceEncoder:
@@ -125,15 +126,15 @@ def repair(ids: np.ndarray, last: np.ndarray, terminals: int) -> tuple[np.ndarra
     ids: the documents' ids end to end; last: the position of each document's last id. Each round replaces up to
     RULES_A_ROUND pairs that stand LEAST times or more; where two places overlap, the first is replaced.
     """
-    seq, rules = ids.astype(np.int64), []
+    seq, rules = ids.astype(np.uint32), []
     stop = np.zeros(len(seq), dtype=bool)
     stop[last] = True
     for _ in range(ROUNDS):
         if len(seq) < 2:
             break
         span = terminals + len(rules)
-        key = seq[:-1] * (1 << 20) + seq[1:]
-        slot = ((seq[:-1] * 2654435761 + seq[1:] * 40503) >> 3) & 0xFFFFF
+        slot = (seq[:-1] * np.uint32(0x9E3779B1) + seq[1:] * np.uint32(0x85EBCA6B)) >> np.uint32(12)
+        slot[stop[:-1]] = 0
         weight = np.bincount(slot, minlength=1 << 20)
         busy = np.flatnonzero(weight >= LEAST)
         if len(busy) > 2 * RULES_A_ROUND:
@@ -141,15 +142,22 @@ def repair(ids: np.ndarray, last: np.ndarray, terminals: int) -> tuple[np.ndarra
         likely = np.zeros(1 << 20, dtype=bool)
         likely[busy] = True
         at = np.flatnonzero(likely[slot] & ~stop[:-1])
-        pairs, counts = np.unique(key[at], return_counts=True)
+        # one pair stands for its slot; another pair of the slot waits for a later round
+        key, slot = seq[at].astype(np.uint64) << np.uint64(32) | seq[at + 1], slot[at]
+        pair_of = np.zeros(1 << 20, dtype=np.uint64)
+        pair_of[slot] = key
+        hit = pair_of[slot] == key
+        at, slot = at[hit], slot[hit]
+        counts = np.bincount(slot, minlength=1 << 20)
         good = np.flatnonzero(counts >= LEAST)
         good = np.sort(good[np.argsort(-counts[good], kind="stable")[:RULES_A_ROUND]])
         if not len(good):
             break
-        pairs = pairs[good]
-        place = np.minimum(np.searchsorted(pairs, key[at]), len(pairs) - 1)
-        hit = pairs[place] == key[at]
-        at, place = at[hit], place[hit]
+        rule_of = np.full(1 << 20, -1, dtype=np.int64)
+        rule_of[good] = np.arange(len(good))
+        pairs = pair_of[good]
+        place = rule_of[slot]
+        at, place = at[place >= 0], place[place >= 0]
         # in a run of neighbouring places every other one is taken
         fresh = np.ones(len(at), dtype=bool)
         fresh[1:] = np.diff(at) != 1
@@ -161,7 +169,7 @@ def repair(ids: np.ndarray, last: np.ndarray, terminals: int) -> tuple[np.ndarra
         keep = np.ones(len(seq), dtype=bool)
         keep[at + 1] = False
         seq, stop = seq[keep], stop[keep]
-        rules += [(int(p >> 20), int(p & 0xFFFFF)) for p in pairs]
+        rules += [(p >> 32, p & 0xFFFFFFFF) for p in pairs.tolist()]
     return seq, np.flatnonzero(stop), np.array(rules, dtype=np.uint32).reshape(-1, 2)
 
 
