@@ -14,6 +14,10 @@ from vboost.llm.op8_token_output import token_digests
 from vboost.llm.op9_decontaminate import decontaminate
 
 
+#: Target shares of the domains after the quality stage: near to what is left, with fewer harsh texts.
+TARGETS = {"clean": 0.92, "harsh": 0.06, "noisy": 0.02}
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier does not reject."""
     return keep_quality(docs, train(docs, table(spark, sf_dir, "labels")))
@@ -31,7 +35,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents repeated so that the domains of `labels` meet their target weights; none is dropped."""
-    return apply_mix(docs, table(spark, sf_dir, "labels").select("doc_id", domain_of_labels().alias("domain")))
+    return apply_mix(docs, table(spark, sf_dir, "labels").select("doc_id", domain_of_labels().alias("domain")), TARGETS)
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
