@@ -221,6 +221,23 @@ def test_op5_distance(spark):
     assert [round(x, 9) for x in got] == [1.0, 0.0, 0.0]
 
 
+def test_op5_rejects_texts_without_their_languages_words(spark):
+    def text(seed, n, words, share):
+        rng = np.random.default_rng(seed)
+        filler = sentence(seed, n).split()
+        return " ".join(str(rng.choice(words)) if rng.random() < share else w for w in filler).capitalize() + "."
+
+    languages = {"en": op5.COMMON["en"], "de": op5.COMMON["de"]}
+    rows = [(k, text(1000 * i + k, 300, w, 0.2), lang) for i, (lang, w) in enumerate(languages.items()) for k in range(60)]
+    odd = [(100, 300, "de", 0.2), (101, 80, "de", 0.2), (102, 300, "en", 0.0), (103, 80, "en", 0.0)]
+    fair = [(200, 60, "en", 0.2), (201, 120, "en", 0.2), (202, 1000, "en", 0.2)]
+    rows += [(i, text(i, n, languages[words], share), "en") for i, n, words, share in odd + fair]
+    got = {r["doc_id"]: r for r in op5.quality_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect() if r["doc_id"] >= 100}
+    assert not any(got[i]["base_failed"] or got[i]["char_jsd"] > op5.MAX_CHAR_JSD for i in got)
+    assert not any(got[i]["kept"] for i, *_ in odd)
+    assert all(got[i]["kept"] for i, *_ in fair)
+
+
 def test_op6_phrases_and_blocks(spark, docs):
     texts = ["Under the MIT license, under-the.MIT license apache License, Version 2.0 CC BY-NC", "under the mit licensed", "permission is hereby granted free of charge to any person obtaining a copy of this software and documentation files", None, "", "This work is licensed under the GNU General Public License, version 3.\nx", "Kunder the mit license"]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")

@@ -2,11 +2,14 @@
 
 One pass computes each text's base figures and its two histograms. The references are the summed histograms of all
 documents of a language. A text fails the method where it is long enough to judge and its Jensen-Shannon distance
-to its language's reference exceeds the threshold of either histogram. Built-in functions only.
+to its language's reference exceeds the threshold of either histogram. Few words scatter: the threshold of the
+common words grows for short texts by the distance that a sample of so many words has by chance. Built-in functions only.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,7 +24,9 @@ COMMON = {
     "fr": ["de", "la", "le", "et", "les", "des", "en", "un", "du", "une", "que", "est", "pour", "qui", "dans", "par"],
     "es": ["de", "la", "que", "el", "en", "y", "a", "los", "del", "se", "las", "por", "un", "para", "con", "no"],
 }
-WINDOW, MIN_WORDS, MAX_CHAR_JSD, MAX_WORD_JSD = 8, 50, 0.28, 0.60
+WINDOW, MIN_WORDS, MAX_CHAR_JSD, MAX_WORD_JSD = 8, 50, 0.28, 0.16
+#: How many times its expected square the chance distance of common words may reach.
+WORD_NOISE = 1.3
 
 
 def word_list(text: Column) -> Column:
@@ -120,6 +125,11 @@ def language_references(profile: DataFrame) -> DataFrame:
     return found.select("lang", F.array(*[f"c{i}" for i in range(7)]).alias("ref_chars"), F.filter(F.array(*[f"w{i}" for i in range(size)]), lambda x: x.isNotNull()).alias("ref_common"))
 
 
+def word_limit(cells: Column, n_words: Column, max_word: float) -> Column:
+    """Largest word distance allowed: the square of a sample's distance is (cells - 1) / (8 ln 2 n) by chance."""
+    return F.sqrt(F.lit(max_word * max_word) + (cells - 1) * F.lit(WORD_NOISE / (8 * math.log(2))) / n_words)
+
+
 def quality_rules(
     docs: DataFrame, min_words: int = MIN_WORDS, max_char: float = MAX_CHAR_JSD, max_word: float = MAX_WORD_JSD, window: int = WINDOW
 ) -> DataFrame:
@@ -131,7 +141,7 @@ def quality_rules(
     profile = materialise(text_profile(docs, window))
     joined = profile.join(F.broadcast(language_references(profile)), "lang")  # five rows at most
     failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
-    far = (F.col("char_jsd") > max_char) | (F.col("word_jsd") > max_word)
+    far = (F.col("char_jsd") > max_char) | (F.col("word_jsd") > word_limit(F.size("common"), F.greatest(F.col("n_words"), F.lit(1)), max_word))
     return (
         joined.withColumn("char_jsd", jensen_shannon(F.col("chars"), F.col("ref_chars")))
         .withColumn("word_jsd", F.when(F.size("common") > 1, jensen_shannon(F.col("common"), F.col("ref_common"))).otherwise(F.lit(0.0)))
