@@ -249,6 +249,24 @@ def test_op6_phrases_and_blocks(spark, docs):
     assert op6.license_scan(docs).count() == docs.count() and op6.license_scan(none_of(docs)).count() == 0
 
 
+def test_op6_wrapped_notices(spark):
+    notices = {t: label for label, texts in op6.TEMPLATES.items() for t in texts}
+    rows, want = [], {}
+    for t, label in notices.items():
+        words = t.split()
+        for cut in (1, len(words) // 2):  # one word a line, and one break
+            for lead in (0, 31, 200):
+                want[len(rows)] = label
+                wrapped = "\n# ".join(" ".join(words[i : i + cut]) for i in range(0, len(words), cut))
+                rows.append((len(rows), f"{sentence(lead, lead)} {wrapped} {sentence(lead + 1, lead)}"))
+    # the same words far apart name nothing
+    words = op6.TEMPLATES["bsd"][0].split()
+    rows.append((len(rows), "\n".join(w + " " + sentence(i, 4) for i, w in enumerate(words))))
+    got = {r["doc_id"]: r for r in op6.license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(want[i] in got[i]["labels"].split(",") for i in want)
+    assert got[len(rows) - 1]["labels"] == ""
+
+
 def test_op7_learns_and_edges(spark, docs, labels):
     rng = np.random.default_rng(0)
     x = rng.normal(size=(2000, 4))

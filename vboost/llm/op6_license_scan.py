@@ -1,4 +1,6 @@
-"""License scans: an exact set-similarity join of text blocks (lines) with license templates, beside phrase places.
+"""License scans: an exact set-similarity join of text blocks with license templates, beside phrase places.
+
+Blocks are the lines and, for notices wrapped over lines, every run of words as long as a template may be stretched.
 
 The tokens of all templates are ordered by their counts in the whole corpus, rarest first. A block that holds at
 least the threshold share of a template's tokens holds one of the template's first |T| - c + 1 tokens (prefix
@@ -56,6 +58,8 @@ def scan_blocks(docs: DataFrame, templates: dict[str, list[str]]) -> DataFrame:
         first.append(F.when(held, _spaces(F.substr(F.col("s"), F.lit(1), at)) - 1))
         last.append(F.when(held, _spaces(F.substr(F.col("s"), F.lit(1), F.char_length("s") - back - len(here) + 2)) - 1))
         named.append(F.when(held, F.lit(label)))
+    # a run within one line adds nothing to that line's block
+    marked = F.transform(F.split(F.btrim("s"), " "), lambda w: F.when(w.isin(*vocabulary), w).otherwise(""))
     lines = F.transform(
         F.split("low", "\n", -1),
         lambda line: F.array_distinct(F.filter(F.split(_words(line), " "), lambda w: w.isin(*vocabulary))),
@@ -68,30 +72,53 @@ def scan_blocks(docs: DataFrame, templates: dict[str, list[str]]) -> DataFrame:
         F.greatest(*last).cast("long").alias("last_word"),
         F.array_sort(F.array_distinct(F.filter(F.array(*named), lambda x: x.isNotNull()))).alias("base"),
         F.filter(lines, lambda b: F.size(b) > 0).alias("blocks"),
+        F.when(F.contains("low", F.lit("\n")), marked).alias("marked"),
         F.expr("uuid()").alias("row"),
     )
 
 
+def _run_length(template: str, threshold: float) -> int:
+    """Words of a run that is searched for a template: its own, stretched by the share that may be foreign."""
+    return math.ceil(len(template.split()) / threshold - 1e-9)
+
+
+def word_windows(scanned: DataFrame, longest: int) -> DataFrame:
+    """row, run, block: windows of 2 * longest words, each longest words further, and their distinct template tokens.
+
+    Every run of `longest` words stands whole in one window.
+    """
+    starts = F.sequence(F.lit(1), F.greatest(F.size("marked") - longest, F.lit(1)), F.lit(longest))
+    cut = scanned.where("marked IS NOT NULL").select("row", F.explode(F.transform(starts, lambda i: F.slice("marked", i, F.lit(2 * longest)))).alias("run"))
+    return cut.withColumn("block", F.array_distinct(F.filter("run", lambda w: w != "")))
+
+
 def template_joins(scanned: DataFrame, templates: dict[str, list[str]], threshold: float) -> DataFrame:
     """row, label, containment of every block that holds at least `threshold` of a template's distinct tokens."""
     spark = scanned.sparkSession
-    blocks = scanned.select("row", F.explode("blocks").alias("block"))
+    lines = scanned.select("row", F.explode("blocks").alias("block"))
+    longest = max(_run_length(t, threshold) for texts in templates.values() for t in texts)
+    blocks = lines.select("row", F.lit(None).cast("array<string>").alias("run"), "block").unionByName(word_windows(scanned, longest))
     # at most one row for each token of the templates comes to the driver
-    counts = {r["t"]: r["n"] for r in blocks.select(F.explode("block").alias("t")).groupBy("t").agg(F.count("*").alias("n")).collect()}
+    counts = {r["t"]: r["n"] for r in lines.select(F.explode("block").alias("t")).groupBy("t").agg(F.count("*").alias("n")).collect()}
     listed = []
     for label, texts in templates.items():
         for i, t in enumerate(texts):
             tokens = sorted(set(t.split()), key=lambda w: (counts.get(w, 0), w))
             least = math.ceil(threshold * len(tokens) - 1e-9)
-            listed += [(label, i, w, k, least, tokens) for k, w in enumerate(tokens[: len(tokens) - least + 1])]
-    prefix = spark.createDataFrame(listed, "label string, part int, token string, place int, least int, tokens array<string>")
+            listed += [(label, i, w, k, least, _run_length(t, threshold), tokens) for k, w in enumerate(tokens[: len(tokens) - least + 1])]
+    prefix = spark.createDataFrame(listed, "label string, part int, token string, place int, least int, span int, tokens array<string>")
+    rare = sorted({x[2] for x in listed})
+    in_line = F.size(F.array_intersect("block", "tokens"))
+    first = F.sequence(F.lit(1), F.greatest(F.size("run") - F.col("span") + 1, F.lit(1)))
+    in_run = F.array_max(F.transform(first, lambda i: F.size(F.array_intersect(F.slice("run", i, F.col("span")), "tokens"))))
     shortest = min(x[4] for x in listed)
     found = (
         blocks.where(F.size("block") >= shortest)
-        .withColumn("token", F.explode("block"))
+        .withColumn("token", F.explode(F.filter("block", lambda w: w.isin(*rare))))
         .join(F.broadcast(prefix), "token")  # as many rows as the templates have prefix tokens
         .where((F.size("block") >= F.col("least")) & (F.size("tokens") - F.col("place") >= F.col("least")))
-        .withColumn("common", F.size(F.array_intersect("block", "tokens")))
+        .where(in_line >= F.col("least"))
+        .withColumn("common", F.when(F.col("run").isNull(), in_line).otherwise(in_run))
         .where(F.col("common") >= F.col("least"))
     )
     return found.groupBy("row", "label").agg(F.max(F.col("common") / F.size("tokens")).alias("containment"))
@@ -107,7 +134,7 @@ def license_scan(docs: DataFrame, templates: dict[str, list[str]] | None = None,
     scanned = materialise(scan_blocks(docs, templates))
     found = template_joins(scanned, templates, threshold).groupBy("row").agg(F.collect_set("label").alias("more"), F.max("containment").alias("containment"))
     none = F.array().cast("array<string>")
-    joined = scanned.drop("blocks").join(found, "row", "left")
+    joined = scanned.drop("blocks", "marked").join(found, "row", "left")
     return joined.select(
         "doc_id",
         "n_words",
