@@ -354,3 +354,25 @@ def test_op10_restores_and_edges(spark, docs, labels):
     assert got[900] >= 0.5 and got[901] < 0.5 and got[902] < 0.5
     assert op10.score_toxicity(docs, op10.train(docs, labels)).count() == docs.count()
     assert op10.score_toxicity(none_of(docs), op10.train(none_of(docs), none_of(labels))).count() == 0
+
+
+def test_op10_prefilter_flags_whatever_is_restored():
+    words = "asshole shit idiot stupid bitch the house is on fire and " * 400
+    restorer = op10.Restorer(op10.CharModel.of(op10.trigram_counts(np.frombuffer(words.encode(), np.uint8))))
+    disguised = {"a$$hole": "asshole", "sh!!t": "shit", "@$$hole": "asshole", "455hole": "asshole", "5h17": "shit", "st" + "u" * 40 + "pid": "stupid", "s h i t": "shit", "s*h*1*t": "shit"}
+    rng = np.random.default_rng(7)
+    random = ["".join(rng.choice(list("aB1$!* .@-4\n"), rng.integers(0, 12))) for _ in range(4000)]
+    texts = [x for t in disguised for x in (t, f"on {t} fire", f"({t}).")] + ["word! 2024 $500 (a) *note*", "é 5", ""] + random
+
+    def flags(some):
+        sizes = [len(t.encode()) for t in some]
+        return op10.suspects(np.frombuffer("".join(some).encode(), np.uint8), np.cumsum([0, *sizes]))
+
+    for t, want in disguised.items():
+        assert restorer.text(f"on {t} fire") == f"on {want} fire"
+    changed = [restorer.text(t) != t for t in texts]
+    together, apart = flags(texts), [flags([t])[0] for t in texts]
+    assert not any(c and not (a and b) for c, a, b in zip(changed, apart, together))
+    assert not flags(["word! 2024 $500 (a) *note*"])[0]
+    long = "1a" * 100_000
+    assert restorer.text(long) != long and len(restorer.text("a" * 1_000_000)) <= 2

@@ -14,6 +14,7 @@ import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
+from os.path import commonprefix
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +33,10 @@ COUNT_CAP, DEVIATIONS = 4, 2.5
 EVIDENCE = ("top", "total", "density")
 #: Letters that a sign may stand for.
 SIGNS = {"0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "bg", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "*": "aeiou"}
-LONGEST_TOKEN = 24
+#: Signs that are punctuation at a token's beginning or end.
+LEAD, TAIL = "!*+|", "!*+|$"
+#: Longer tokens are read without the cache; readings are cut to what is still open every so many steps.
+CACHED_TOKEN, FLUSH = 64, 64
 
 _SYMBOL = np.zeros(256, dtype=np.int64)
 _SYMBOL[97:123] = _SYMBOL[65:91] = np.arange(1, 27)
@@ -42,10 +46,12 @@ _LETTER = np.zeros(256, dtype=bool)
 _LETTER[[*range(97, 123), *range(65, 91)]] = True
 _SIGN = np.zeros(256, dtype=bool)
 _SIGN[[ord(c) for c in SIGNS]] = True
-_DIGIT = np.zeros(256, dtype=bool)
-_DIGIT[[*range(48, 58), ord("@")]] = True
-_START = _DIGIT.copy()
-_START[ord("$")] = True
+_LEAD = np.zeros(256, dtype=bool)
+_LEAD[[ord(c) for c in LEAD]] = True
+_TAIL = np.zeros(256, dtype=bool)
+_TAIL[[ord(c) for c in TAIL]] = True
+_MARK = np.zeros(256, dtype=bool)
+_MARK[[ord(c) for c in " ._*-"]] = True
 #: Four or more single letters or signs, all set apart by the same mark.
 _APART = re.compile(r"(?<![^\s])[A-Za-z0-9@$!|+*]([ ._*\-])(?:[A-Za-z0-9@$!|+*]\1){2,}[A-Za-z0-9@$!|+*](?=[.,;:!?]*(?:\s|\Z))")
 #: Tokens with a sign in them, or a letter three times over.
@@ -103,23 +109,22 @@ class Restorer:
         self.read = lru_cache(maxsize=50_000)(self._read)
 
     @staticmethod
-    def lattice(token: str) -> list[list[tuple[str, float]]]:
+    def lattice(token: str) -> Iterator[list[tuple[str, float]]]:
         """For each run of one sign, the strings it may stand for and the channel's log probabilities."""
-        out: list[list[tuple[str, float]]] = []
         for run in re.finditer(r"(.)\1*", token.lower(), re.S):
             sign, times = run[1], len(run[0])
             letters = SIGNS.get(sign, sign if "a" <= sign <= "z" else "")
             cost = math.log(1 / max(1, len(letters)))
             if times == 1:
-                out.append([(x, cost) for x in letters])
+                yield [(x, cost) for x in letters]
             else:  # a run is one or two of the letter; a pair is most likely meant as it stands
                 single = 0.02 if times == 2 else 0.5
-                out.append([(x * k, cost + math.log(single if k == 1 else 1 - single)) for x in letters for k in (1, 2)])
-        return out
+                yield [(x * k, cost + math.log(single if k == 1 else 1 - single)) for x in letters for k in (1, 2)]
 
     def _read(self, token: str) -> str:
         states = {(0, 0): (0.0, "")}
-        for choices in self.lattice(token):
+        done: list[str] = []
+        for step, choices in enumerate(self.lattice(token), 1):
             after: dict[tuple[int, int], tuple[float, str]] = {}
             for (a, b), (score, text) in states.items():
                 for letters, cost in choices:
@@ -133,39 +138,65 @@ class Restorer:
             if not after:
                 return token
             states = after
-        return max((s + self.logs[a][b][0], t) for (a, b), (s, t) in states.items())[1]
+            if step % FLUSH == 0:  # what all readings share is decided
+                done.append(commonprefix([t for _, t in states.values()]))
+                states = {k: (s, t[len(done[-1]) :]) for k, (s, t) in states.items()}
+        done.append(max((s + self.logs[a][b][0], t) for (a, b), (s, t) in states.items())[1])
+        return "".join(done)
 
     def token(self, m: re.Match) -> str:
         t = m[0]
-        tail = ""
-        while t and t[-1] in "!*+|$":  # signs at the end are punctuation
-            t, tail = t[:-1], t[-1] + tail
-        while t and t[0] in "!*+|":
-            t, tail = t[1:], tail
-        letters = sum(c.isalpha() for c in t)
-        disguised = letters < len(t) or any(a == b == c for a, b, c in zip(t, t[1:], t[2:]))
-        if not disguised or not 3 <= len(t) <= LONGEST_TOKEN or letters * 3 < len(t):
-            return m[0]
-        return self.read(t) + tail
+        core = t.rstrip(TAIL)  # signs at the end are punctuation
+        tail = t[len(core) :]
+        core = core.lstrip(LEAD)
+        letters = sum("a" <= c <= "z" for c in core.lower())
+        disguised = letters < len(core) or any(a == b == c for a, b, c in zip(core, core[1:], core[2:]))
+        if not disguised or len(core) < 3 or not letters:
+            return t
+        return (self.read if len(core) <= CACHED_TOKEN else self._read)(core) + tail
 
     def text(self, text: str) -> str:
         joined = _APART.sub(lambda m: re.sub(r"[ ._*\-]", "", m[0]), text)
         return _TOKEN.sub(self.token, joined)
 
 
+def _inner(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Which of the signs at `at` are not only punctuation before or after a token that holds a letter."""
+    letter = _LETTER[data]
+    token = letter | _SIGN[data]
+
+    def beyond(loose: np.ndarray, last: bool) -> np.ndarray:
+        """The nearest place from each sign on, itself included, whose character is not loose."""
+        place, out = np.flatnonzero(loose[data]), at.copy()
+        if len(place):
+            starts = np.flatnonzero(np.diff(place, prepend=-2) != 1)
+            edge = place[np.append(starts[1:], len(place)) - 1] + 1 if last else place[starts] - 1
+            k = np.flatnonzero(loose[data[at]])
+            out[k] = edge[np.searchsorted(place[starts], at[k], side="right") - 1]
+        return out
+
+    after, before = beyond(_TAIL, True), beyond(_LEAD, False)
+    held = (after < len(data)) & (before >= 0)
+    held &= token[np.minimum(after, len(data) - 1)] & token[np.maximum(before, 0)]
+    gaps = np.concatenate([[-1], np.flatnonzero(~token), [len(data)]])
+    run = np.searchsorted(gaps, at)
+    letters = np.concatenate([[0], np.cumsum(letter, dtype=np.int64)])
+    return held & (letters[gaps[run]] > letters[gaps[run - 1] + 1])
+
+
 def suspects(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """Flags of the texts that hold anything to restore."""
+    """Flags of the texts that hold anything to restore: every text with a match of _APART or a token to read."""
     texts = len(offsets) - 1
     if len(data) < 3:
         return np.zeros(texts, dtype=bool)
-    letter, sign, digit = _LETTER[data], _SIGN[data], _DIGIT[data]
-    gap = ~(letter | sign)
-    a, b, c = data[:-2], data[1:-1], data[2:]
-    odd = letter[:-2] & ((sign[1:-1] & letter[2:]) | (digit[1:-1] & ~letter[2:]) | ((a == b) & (b == c)))
-    odd |= gap[:-2] & _START[b] & letter[2:]
-    odd[0] |= _START[data[0]] & letter[1]
-    lone = (letter | sign)[1:-1] & ~letter[:-2] & ~letter[2:]
-    at = np.concatenate([np.flatnonzero(odd), np.flatnonzero(lone[:-4] & lone[2:-2] & lone[4:]) + 1])
+    letter, sign = _LETTER[data], _SIGN[data]
+    signs = np.flatnonzero(sign)
+    found = [signs[_inner(data, signs)], np.flatnonzero(letter[:-2] & (data[:-2] == data[1:-1]) & (data[1:-1] == data[2:]))]
+    if len(data) >= 7:
+        alone = letter | sign
+        same = (data[:-2] == data[2:]) & _MARK[data[:-2]]
+        found.append(np.flatnonzero(alone[:-6] & alone[2:-4] & alone[4:-2] & alone[6:] & same[1:-3] & same[3:-1]))
+    at = np.concatenate(found)
     flags = np.zeros(texts, dtype=bool)
     # a flag may name a neighbour for a run across two texts; restoring more is harmless
     flags[np.clip(np.searchsorted(offsets, at, side="right") - 1, 0, texts - 1)] = True
