@@ -3,6 +3,7 @@ import pytest
 
 import __spark_entry__ as entry
 import corpus_pipeline
+from vboost.llm import op2_mix_sources as op2
 from vboost.llm import oracles
 from vboost.llm.common import materialise
 
@@ -36,3 +37,10 @@ def test_stages(spark):
         if name != "tokens":
             assert docs.columns == columns
     assert counts[1] >= 0.7 * counts[0] and counts[2] <= counts[1] and counts[3] <= counts[2] <= counts[1] and counts[4] >= counts[3] and counts[5] == counts[4]
+
+
+def test_mixing_aims_at_the_operators_targets(spark, monkeypatch):
+    asked, mix = [], op2.mix_sources
+    monkeypatch.setattr(op2, "mix_sources", lambda docs, labelled, targets=None, *a, **k: asked.append(targets or op2.TARGETS) or mix(docs, labelled, targets, *a, **k))
+    corpus_pipeline.mixing(spark, spark.read.parquet(f"{DIR}/documents.parquet"), DIR)
+    assert asked == [{"clean": 0.80, "noisy": 0.15, "harsh": 0.05}]
