@@ -19,7 +19,7 @@ from vboost.llm import op7_quality_classifier as op7
 from vboost.llm import op8_token_output as op8
 from vboost.llm import op9_decontaminate as op9
 from vboost.llm import op10_toxicity as op10
-from vboost.llm import signature_tree, textkernel
+from vboost.llm import grammar, signature_tree, textkernel
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, score double, row string, h string"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -280,13 +280,17 @@ def test_op7_learns_and_edges(spark, docs, labels):
     assert op7.score_quality(none_of(docs), op7.train(none_of(docs), none_of(labels))).count() == 0
 
 
-def test_op8_round_trip(spark, docs):
+def byte_bpe():
     import public_tokenizers
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
-    rows = sorted(((r["doc_id"], r["text"]) for r in docs.collect()), key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    return path, Tokenizer.from_file(path)
+
+
+def test_op8_round_trip(spark, docs):
+    _, t = byte_bpe()
+    rows = sorted(((r["doc_id"], r["text"]) for r in docs.collect()), key=lambda r: (r[0] is not None, r[0] or 0))
     want, start = [], 0
     for i, text in rows:
         ids = t.encode(text or "", add_special_tokens=False).ids + [0]
@@ -297,23 +301,57 @@ def test_op8_round_trip(spark, docs):
     assert op8.token_digests(none_of(docs)).count() == 0
 
 
-def test_op8_random_access_and_grammar(spark, docs, tmp_path):
-    import public_tokenizers
-    from tokenizers import Tokenizer
+def test_op8_ids_equal_the_librarys(monkeypatch):
+    """Clitics, white space, marks, Latin-1 letters, added tokens and other scripts, also where the cache is emptied."""
+    import pyarrow as pa
 
-    path = public_tokenizers.path("byte_bpe_50k.json")
+    path, t = byte_bpe()
+    rng = np.random.default_rng(11)
+    some = [" ", "\n", " ", "'", "s", "t", "re", "ve", "ll", "'s", "'ll", "'re", "d", "m", "a", "B", "\u00e9", "\u00df", "7", "42", ".", "!!", "#"]
+    more = [*some, "\t", "\u00a0", "\u65e5\u672c", "<|endoftext|>", "\u00d7", "\u00aa", "\u0130", "\x00"]
+    texts = ["".join(rng.choice(more if i % 4 == 0 else some, rng.integers(0, 30))) for i in range(8000)] + [None, "", " ", "\n", "'", "'s", "a <|endoftext|> b"]
+    want = [t.encode(x or "", add_special_tokens=False).ids + [0] for x in texts]
+    for pieces in (op8.CACHE_PIECES, 50):
+        monkeypatch.setattr(op8, "CACHE_PIECES", pieces)
+        enc = op8.PieceEncoder(path)
+        for at in range(0, len(texts), 1000):
+            ids, size = enc.encode(pa.array(texts[at : at + 1000], pa.string()))
+            assert np.split(ids, np.cumsum(size)[:-1])[0].tolist() == want[at]
+            assert ids.tolist() == sum(want[at : at + 1000], []) and size.tolist() == [len(x) for x in want[at : at + 1000]]
+
+
+def test_op8_random_access(spark, docs, tmp_path):
+    path, t = byte_bpe()
     folder = f"{op8.shared_dir(spark)}/test-{tmp_path.name}"
     op8.write_tokens(docs, folder, path, shard_tokens=2000, partitions=3)
-    t = Tokenizer.from_file(path)
     text = docs.where("doc_id = 8").first()["text"]
     assert op8.read_document(spark, folder, 8) == [t.encode(text, add_special_tokens=False).ids + [0]]
+
+
+@pytest.mark.parametrize("least", [2, 4])
+def test_op8_grammar_leaves_no_frequent_pair(least):
     rng = np.random.default_rng(3)
-    ids = np.concatenate([np.tile(rng.integers(1, 9, 7), 200), np.full(101, 5)]).astype(np.uint16)
-    last = np.array([99, 700, len(ids) - 1])
-    symbols, ends, rules = op8.repair(ids, last, 10)
-    assert len(symbols) < len(ids) / 3 and (op8.expand(symbols, rules, 10) == ids).all()
-    cut = np.split(symbols, ends[:-1] + 1)
-    assert [len(op8.expand(c, rules, 10)) for c in cut] == np.diff(np.concatenate([[-1], last])).tolist()
+    cases = [np.concatenate([np.tile(rng.integers(1, 9, 7), 200), np.full(101, 5)]), rng.integers(0, 4, 3000), rng.zipf(1.3, 5000) % 50, np.full(1000, 2), np.array([1]), rng.integers(0, 2, 10)]
+    for ids in cases:
+        ids = ids.astype(np.uint16)
+        last = np.unique(np.append(rng.integers(0, len(ids), len(ids) // 40), len(ids) - 1))
+        g = grammar.Grammar(ids, last, 50, least)
+        lengths = grammar.expansion_lengths(g.rules, 50)
+        assert (grammar.expand(g.symbols, g.rules, lengths, 50) == ids).all()
+        cut = np.split(g.symbols, g.last[:-1] + 1)
+        assert [len(grammar.expand(c, g.rules, lengths, 50)) for c in cut] == np.diff(last, prepend=-1).tolist()
+        counts = {}
+        for c in cut:  # places of a pair that do not overlap
+            taken = {}
+            for k, pair in enumerate(zip(c.tolist(), c[1:].tolist())):
+                if taken.get(pair) != k - 1 or pair[0] != pair[1]:
+                    taken[pair] = k
+                    counts[pair] = counts.get(pair, 0) + 1
+        assert max(counts.values(), default=0) < least
+        row = op8.shard_row(ids, np.diff(last, prepend=-1), 50, least, None)
+        assert (op8.shard_ids(row) == ids).all()
+        few = grammar.Grammar(ids, last, 50, least, 3)
+        assert len(few.rules) <= 3 and (grammar.expand(few.symbols, few.rules, grammar.expansion_lengths(few.rules, 50), 50) == ids).all()
 
 
 def test_op9_finds_planted_items(spark, docs):

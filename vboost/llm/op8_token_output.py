@@ -1,19 +1,21 @@
 """Token-ID output with Re-Pair grammar compression.
 
 Documents are range-partitioned and sorted by doc_id; each task cuts its documents into shards of about SHARD_TOKENS
-ids and compresses each by replacing frequent pairs of symbols by nonterminals. A file row is one shard: its rules
-(pairs), the length that each rule expands to, the symbol sequence, and for each document its first symbol and its
-number of ids, so one document is decoded without the others. No pair spans two documents.
-
-Encoding is by the tokenizers library. A text of ASCII and Latin-1 letters is cut into the tokenizer's pre-tokens, whose
-ids laid end to end are the text's ids; the library encodes each distinct one once for each worker while it stays in a
-bounded cache. Any other text is encoded whole.
+ids and compresses each by Re-Pair: the most frequent pairs of neighbouring symbols become nonterminals, again and
+again, until no pair stands `least` times. A file row is one shard: its rules (pairs), the length that each rule
+expands to, the symbol sequence, and for each document its first symbol and its number of ids, so one document is
+decoded without the others. Symbols, rules and lengths are packed to the bits that the shard needs. No pair spans two
+documents.
+
+Encoding is by the tokenizers library. A text of ASCII and Latin-1 letters is cut into the tokenizer's pre-tokens by
+array operations on its bytes; their ids laid end to end are the text's ids. The library encodes each distinct
+pre-token once for each task while it stays in a bounded cache. Any other text, and one that holds an added token of
+the tokenizer, is encoded whole.
 """
 
 from __future__ import annotations
 
 import os
-import re
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -21,33 +23,73 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import textkernel as K
+from .grammar import Grammar, expand, expansion_lengths, gather, pack_bits, unpack_bits
 from .common import shared_dir, shuffle_partitions, table
 
 END_ID = 0
 SHARD_TOKENS = 1 << 19
-ROUNDS, RULES_A_ROUND, LEAST = 4, 512, 16
-CACHE_PIECES = 600_000
-#: The tokenizer's own pre-token pattern, for texts of ASCII and Latin-1 letters; other texts are encoded whole.
-_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff"
-_OTHER = re.compile(f"[^\\n -~{_LETTERS}]")
-_PRE_TOKEN = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\s0-9{_LETTERS}]+|\s+(?!\S)|\s+")
-_ENCODERS: dict[str, "PieceEncoder"] = {}
-
-
-class _Numbered(dict):
-    """Numbers new keys as they are looked up, and lists them."""
-
-    def __init__(self) -> None:
-        self.fresh: list[str] = []
-
-    def __missing__(self, key: str) -> int:
-        self.fresh.append(key)
-        self[key] = n = len(self)
-        return n
+#: A pair becomes a rule where it stands so often: below, the rule costs more bits than it saves.
+LEAST = 4
+#: Distinct pre-tokens that a task remembers, their bytes, and pre-tokens in one call of the library.
+CACHE_PIECES, CACHE_BYTES, JOINED = 300_000, 1 << 23, 4096
+#: Text that is cut at once.
+CHUNK_BYTES = 1 << 22
+_SPACE, _LETTER, _DIGIT, _MARK = 0, 1, 2, 3
+_CLASS = np.full(256, _MARK, dtype=np.uint8)
+_CLASS[[10, 32]] = _SPACE
+_CLASS[48:58] = _DIGIT
+_CLASS[[*range(65, 91), *range(97, 123), *range(128, 256)]] = _LETTER
+#: Bytes of texts that are cut here: ASCII but for controls, and the first byte of Latin-1 letters.
+_KNOWN = np.zeros(256, dtype=bool)
+_KNOWN[[10, *range(32, 127), 0xC3]] = True
+_HELD_BY: dict[str, "PieceEncoder"] = {}
+
+
+def cut_pieces(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Starts of the pre-tokens of texts laid end to end; the bytes are those of `_KNOWN` and of Latin-1 letters.
+
+    A pre-token is a run of letters, digits or marks with the one space before it, a clitic after an apostrophe that
+    stands alone, or white space; of white space before a word the last character is apart.
+    """
+    n = len(data)
+    kind = _CLASS[data]
+    first = np.zeros(n + 3, dtype=bool)
+    first[offsets] = True
+    opens = np.empty(n + 3, dtype=bool)
+    opens[n:] = True
+    opens[:n] = first[:n]
+    opens[1:n] |= kind[1:] != kind[:-1]
+    space = kind == _SPACE
+    # the last of some white space before a word stands apart, and a space belongs to the word
+    before = np.flatnonzero(space[:-1] & ~space[1:] & ~first[1:n])
+    opens[before] = True
+    blank = before[data[before] == 32]
+    opens[blank + 1] = False
+    at = np.flatnonzero(data == 39)
+    at = at[opens[at] & opens[at + 1] & ~first[at + 1]]
+    if len(at):
+        near = np.concatenate([data, np.zeros(3, np.uint8)])
+        one, two = near[at + 1], near[at + 2]
+        single = (one == 115) | (one == 116) | (one == 109) | (one == 100)
+        double = ((one == 114) | (one == 118)) & (two == 101) | (one == 108) & (two == 108)
+        double &= ~first[at + 2]
+        for some, size in ((at[single], 2), (at[double], 3)):
+            opens[some + 1] = False
+            opens[some + size] = True
+    return np.flatnonzero(opens[:n])
+
+
+class _Numbers(dict):
+    """-1 for what is not held."""
+
+    def __missing__(self, key: bytes) -> int:
+        return -1
 
 
 class PieceEncoder:
@@ -58,201 +100,225 @@ class PieceEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.added = [t.content.encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
+        words = self.tokenizer.get_vocab(with_added_tokens=False)
+        # a byte-level token has one character for each byte
+        self.width = np.zeros(self.tokenizer.get_vocab_size(), np.int64)
+        self.width[list(words.values())] = np.fromiter(map(len, words), np.int64, len(words))
         self.clear()
 
     def clear(self) -> None:
-        self.known = _Numbered()
-        self.used = 0
-        self.start, self.size, self.pool = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32), np.zeros(1 << 18, np.uint16)
-
-    def learn(self) -> None:
-        """Encode the pieces that were numbered since the last call."""
-        pieces, self.known.fresh = self.known.fresh, []
-        found = [e.ids for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
-        size = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
-        flat = np.fromiter(chain.from_iterable(found), dtype=np.uint16, count=int(size.sum()))
-        n = len(pieces)
-        at = len(self.known) - n
+        self.known = _Numbers({b"": 0})  # the end of a text
+        self.held, self.used = 0, 1
+        self.start, self.size, self.pool = np.zeros(1 << 12, np.int32), np.zeros(1 << 12, np.int32), np.zeros(1 << 14, np.uint16)
+        self.size[0], self.pool[0] = 1, END_ID
+
+    def whole(self, texts: list[str]) -> list[list[int]]:
+        return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def learn(self, data: np.ndarray, offsets: np.ndarray, fresh: np.ndarray, pieces: list[bytes]) -> np.ndarray:
+        """Ask for the ids of the pieces numbered `fresh`, and return these in the order in which the cache numbers them.
+
+        Piece i is data[offsets[i] : offsets[i + 1]].
+
+        Words that begin with a space are asked for many at a time: side by side they are the same pre-tokens.
+        """
+        begin, width = offsets[fresh], np.diff(offsets)[fresh]
+        word = (width > 1) & (data[begin] == 32)
+        word[word] = _CLASS[data[begin[word] + 1]] == _LETTER
+        fresh = np.concatenate([fresh[word], fresh[~word]])
+        words = int(word.sum())
+        joined = gather(data, begin[word], width[word]).tobytes()
+        ends = np.cumsum(width[word])
+        cuts = [0, *ends[JOINED - 1 :: JOINED].tolist(), len(joined)]
+        found = self.whole([joined[x:y].decode() for x, y in zip(cuts, cuts[1:])])
+        rest = self.whole([pieces[i].decode() for i in fresh[words:].tolist()])
+        flat = np.fromiter(chain.from_iterable(found), np.uint16, sum(map(len, found)))
+        upto = np.cumsum(self.width[flat])
+        last = np.searchsorted(upto, ends)
+        if words and not np.array_equal(upto[last], ends):
+            raise ValueError("a token spans two pre-tokens")
+        size = np.concatenate([np.diff(last, prepend=-1), np.fromiter(map(len, rest), np.int64, len(rest))])
+        flat = np.concatenate([flat, np.fromiter(chain.from_iterable(rest), np.uint16, sum(map(len, rest)))])
+        at, n = len(self.known), len(fresh)
+        self.known.update(zip(map(pieces.__getitem__, fresh.tolist()), range(at, at + n)))
+        self.held += int(width.sum())
         self.start, self.size, self.pool = _room(self.start, at + n), _room(self.size, at + n), _room(self.pool, self.used + len(flat))
         self.start[at : at + n] = self.used + np.cumsum(size) - size
         self.size[at : at + n] = size
         self.pool[self.used : self.used + len(flat)] = flat
         self.used += len(flat)
+        return fresh
 
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text, without an end id."""
-        if len(self.known) > CACHE_PIECES:
+    def _numbers(self, column: pa.Array) -> np.ndarray:
+        """The cache's number of each piece of a column."""
+        coded = column.dictionary_encode()
+        pieces = coded.dictionary.to_pylist()
+        if len(self.known) > CACHE_PIECES or self.held > CACHE_BYTES:
             self.clear()
-        out: list[np.ndarray] = [self.pool[:0]] * len(texts)
-        odd = [i for i, t in enumerate(texts) if _OTHER.search(t)]
-        for i, e in zip(odd, self.tokenizer.encode_batch_fast([texts[i] for i in odd], add_special_tokens=False)):
-            out[i] = np.array(e.ids, dtype=np.uint16)
-        skip = set(odd)
-        plain = [i for i in range(len(texts)) if i not in skip]
-        tokens = [_PRE_TOKEN.findall(texts[i]) for i in plain]
-        lengths = list(map(len, tokens))
-        k = np.fromiter(map(self.known.__getitem__, chain.from_iterable(tokens)), dtype=np.int32, count=sum(lengths))
-        self.learn()
-        ids = gather(self.pool, self.start[k], self.size[k])
-        upto = np.concatenate([[0], np.cumsum(self.size[k])])[np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)]
-        for i, a, b in zip(plain, upto[:-1].tolist(), upto[1:].tolist()):
-            out[i] = ids[a:b]
-        return out
+        number = np.fromiter(map(self.known.__getitem__, pieces), np.int32, len(pieces))
+        fresh = np.flatnonzero(number < 0)
+        if len(fresh):
+            _, offsets, data = coded.dictionary.buffers()
+            offsets = np.frombuffer(offsets, np.int64, len(pieces) + 1)
+            at = len(self.known)
+            fresh = self.learn(np.frombuffer(data, np.uint8), offsets, fresh, pieces)
+            number[fresh] = np.arange(at, at + len(fresh))
+        return number[coded.indices.to_numpy()]
+
+    def _cut_and_encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        texts = len(offsets) - 1
+        numbers = np.zeros(texts, np.int32)  # 0 ends a text
+        upto = np.zeros(texts + 1, np.int64)
+        if len(data):
+            starts = cut_pieces(data, offsets)
+            upto = np.searchsorted(starts, offsets)
+            column = pa.Array.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(np.append(starts, len(data))), pa.py_buffer(data)])
+            numbers = np.zeros(len(starts) + texts, np.int32)
+            numbers[np.arange(len(starts)) + np.repeat(np.arange(texts), np.diff(upto))] = self._numbers(column)
+        size = self.size[numbers]
+        ids = gather(self.pool, self.start[numbers], size)
+        ends = np.cumsum(size, dtype=np.int64)[upto[1:] + np.arange(texts)]
+        return ids, np.diff(ends, prepend=0)
+
+    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts end to end, each with its end id, and their number for each text. A null is empty."""
+        data, offsets = K.text_bytes(column)
+        texts = len(offsets) - 1
+        strange = np.flatnonzero(~_KNOWN[data])
+        latin = (data[strange] >= 0x80) & (data[strange] < 0xC0) & (data[strange] != 0x97) & (data[strange] != 0xB7) & (data[strange - 1] == 0xC3)
+        odd = np.zeros(texts, dtype=bool)
+        odd[np.searchsorted(offsets, strange[~latin], side="right") - 1] = True
+        for token in self.added:
+            odd |= pc.match_substring(column.cast(pa.large_string()).fill_null(""), token.decode()).to_numpy(zero_copy_only=False)
+        if not odd.any():
+            return self._cut_and_encode(data, offsets)
+        size = np.zeros(texts, np.int64)
+        plain = np.flatnonzero(~odd)
+        one, two = offsets[plain], np.diff(offsets)[plain]
+        ids, size[plain] = self._cut_and_encode(gather(data, one, two), np.concatenate([[0], np.cumsum(two)]))
+        ends = np.cumsum(size)
+        raw = data.tobytes()
+        parts, at = [], 0
+        for i in np.flatnonzero(odd).tolist():
+            parts.append(ids[at : ends[i]])
+            found = self.whole([raw[offsets[i] : offsets[i + 1]].decode()])[0]
+            parts.append(np.array([*found, END_ID], dtype=np.uint16))
+            at, size[i] = ends[i], len(found) + 1
+        return np.concatenate([*parts, ids[at:]]), size
 
 
 def _room(x: np.ndarray, size: int) -> np.ndarray:
     return x if size <= len(x) else np.concatenate([x, np.zeros(max(size - len(x), len(x)), x.dtype)])
 
 
-def gather(pool: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """The runs pool[start : start + size] laid end to end."""
-    ends = np.cumsum(size, dtype=np.int64)
-    if not len(ends) or not ends[-1]:
-        return pool[:0]
-    kind = np.int32 if ends[-1] < 1 << 31 and len(pool) < 1 << 31 else np.int64
-    return pool[np.arange(ends[-1], dtype=kind) + np.repeat((start - (ends - size)).astype(kind), size)]
+def encoder(path: str) -> PieceEncoder:
+    """This worker's encoder with an empty cache; the vocabulary stays loaded."""
+    if path not in _HELD_BY:
+        _HELD_BY[path] = PieceEncoder(path)
+    return _HELD_BY[path]
 
 
-def encoder(path: str) -> PieceEncoder:
-    if path not in _ENCODERS:
-        _ENCODERS[path] = PieceEncoder(path)
-    return _ENCODERS[path]
+FILE = """part int, seq int, terminals int, n_rules int, n_symbols int, length_bits int, doc_ids array<long>, doc_tokens array<int>, doc_symbols array<int>,
+n_tokens long, rules binary, rule_lengths binary, symbols binary"""
+_KINDS = [pa.int32()] * 6 + [pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.int64(), pa.binary(), pa.binary(), pa.binary()]
 
 
-def repair(ids: np.ndarray, last: np.ndarray, terminals: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Symbols, positions of the documents' last symbols, and rules (left, right); rule k is symbol terminals + k.
+def _bits(terminals: int, rules: int) -> int:
+    return int(terminals + rules - 1).bit_length()
 
-    ids: the documents' ids end to end; last: the position of each document's last id. Each round replaces up to
-    RULES_A_ROUND pairs that stand LEAST times or more; where two places overlap, the first is replaced.
-    """
-    seq, rules = ids.astype(np.uint32), []
-    stop = np.zeros(len(seq), dtype=bool)
-    stop[last] = True
-    for _ in range(ROUNDS):
-        if len(seq) < 2:
-            break
-        span = terminals + len(rules)
-        slot = (seq[:-1] * np.uint32(0x9E3779B1) + seq[1:] * np.uint32(0x85EBCA6B)) >> np.uint32(12)
-        slot[stop[:-1]] = 0
-        weight = np.bincount(slot, minlength=1 << 20)
-        busy = np.flatnonzero(weight >= LEAST)
-        if len(busy) > 2 * RULES_A_ROUND:
-            busy = busy[np.argsort(-weight[busy], kind="stable")[: 2 * RULES_A_ROUND]]
-        likely = np.zeros(1 << 20, dtype=bool)
-        likely[busy] = True
-        at = np.flatnonzero(likely[slot] & ~stop[:-1])
-        # one pair stands for its slot; another pair of the slot waits for a later round
-        key, slot = seq[at].astype(np.uint64) << np.uint64(32) | seq[at + 1], slot[at]
-        pair_of = np.zeros(1 << 20, dtype=np.uint64)
-        pair_of[slot] = key
-        hit = pair_of[slot] == key
-        at, slot = at[hit], slot[hit]
-        counts = np.bincount(slot, minlength=1 << 20)
-        good = np.flatnonzero(counts >= LEAST)
-        good = np.sort(good[np.argsort(-counts[good], kind="stable")[:RULES_A_ROUND]])
-        if not len(good):
-            break
-        rule_of = np.full(1 << 20, -1, dtype=np.int64)
-        rule_of[good] = np.arange(len(good))
-        pairs = pair_of[good]
-        place = rule_of[slot]
-        at, place = at[place >= 0], place[place >= 0]
-        # in a run of neighbouring places every other one is taken
-        fresh = np.ones(len(at), dtype=bool)
-        fresh[1:] = np.diff(at) != 1
-        run = np.maximum.accumulate(np.where(fresh, np.arange(len(at)), 0))
-        taken = (np.arange(len(at)) - run) % 2 == 0
-        at, place = at[taken], place[taken]
-        seq[at] = span + place
-        stop[at] |= stop[at + 1]
-        keep = np.ones(len(seq), dtype=bool)
-        keep[at + 1] = False
-        seq, stop = seq[keep], stop[keep]
-        rules += [(p >> 32, p & 0xFFFFFFFF) for p in pairs.tolist()]
-    return seq, np.flatnonzero(stop), np.array(rules, dtype=np.uint32).reshape(-1, 2)
-
-
-def expansions(rules: np.ndarray, terminals: int) -> list[np.ndarray]:
-    out: list[np.ndarray] = []
-    part = lambda s: np.array([s], dtype=np.uint32) if s < terminals else out[s - terminals]
-    for left, right in rules.tolist():
-        out.append(np.concatenate([part(left), part(right)]))
-    return out
 
+def shard_row(ids: np.ndarray, size: np.ndarray, terminals: int, least: int, most: int | None) -> dict:
+    """What a file holds of documents laid end to end, but for their names."""
+    g = Grammar(ids, np.cumsum(size) - 1, terminals, least, most)
+    bits, lengths = _bits(terminals, len(g.rules)), expansion_lengths(g.rules, terminals)
+    deep = int(lengths.max()).bit_length() if len(lengths) else 1
+    return {
+        "terminals": terminals,
+        "n_rules": len(g.rules),
+        "n_symbols": len(g.symbols),
+        "length_bits": deep,
+        "doc_tokens": size,
+        "doc_symbols": np.diff(g.last, prepend=-1),
+        "n_tokens": len(ids),
+        "rules": pack_bits(g.rules.ravel(), bits),
+        "rule_lengths": pack_bits(lengths, deep),
+        "symbols": pack_bits(g.symbols, bits),
+    }
 
-def expand(symbols: np.ndarray, rules: np.ndarray, terminals: int) -> np.ndarray:
-    """The ids that the symbols stand for."""
-    grown = expansions(rules, terminals)
-    size = np.concatenate([np.ones(terminals, np.int64), np.array([len(x) for x in grown], dtype=np.int64)])
-    pool = np.concatenate([np.arange(terminals, dtype=np.uint32), *grown])
-    start = np.cumsum(size) - size
-    return gather(pool, start[symbols], size[symbols])
 
+def shard_ids(row: dict, start: int = 0, stop: int | None = None) -> np.ndarray:
+    """The ids that symbols start to stop of a shard stand for."""
+    bits, n = _bits(row["terminals"], row["n_rules"]), row["n_rules"]
+    rules = unpack_bits(row["rules"], bits, 0, 2 * n).reshape(-1, 2)
+    lengths = unpack_bits(row["rule_lengths"], row["length_bits"], 0, n)
+    return expand(unpack_bits(row["symbols"], bits, start, row["n_symbols"] if stop is None else stop), rules, lengths, row["terminals"])
 
-FILE = "part int, seq int, terminals int, doc_ids array<long>, doc_tokens array<int>, doc_symbols array<int>, n_tokens long, rules binary, rule_lengths binary, symbols binary"
 
+def _writer(path: str, terminals: int, shard_tokens: int, least: int, most: int | None):
+    names = [x.split()[0] for x in FILE.replace("\n", " ").split(", ")]
 
-def _writer(path: str, terminals: int, shard_tokens: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, part, seq = encoder(path), TaskContext.get().partitionId(), 0
-        ids: list[int | None] = []
-        docs: list[np.ndarray] = []
-        held = 0
+        held: list[tuple[pa.Array, np.ndarray, np.ndarray]] = []
+        waiting = 0
 
         def shard() -> pa.RecordBatch:
-            flat = np.concatenate(docs)
-            size = np.array([len(x) for x in docs])
-            symbols, last, rules = repair(flat, np.cumsum(size) - 1, terminals)
-            width = np.uint16 if terminals + len(rules) <= 1 << 16 else np.uint32
-            lengths = np.array([len(x) for x in expansions(rules, terminals)], dtype=np.uint32)
-            row = [part, seq, terminals, ids, size.tolist(), np.diff(np.concatenate([[-1], last])).tolist(), len(flat), rules.tobytes(), lengths.tobytes(), symbols.astype(width).tobytes()]
-            types = [pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.int64(), pa.binary(), pa.binary(), pa.binary()]
-            return pa.RecordBatch.from_arrays([pa.array([v], type=t) for v, t in zip(row, types)], names=[x.split()[0] for x in FILE.split(", ")])
-
-        for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                some = batch.slice(at, 512)
-                texts = [t or "" for t in some.column(1).to_pylist()]
-                for doc_id, x in zip(some.column(0).to_pylist(), enc.encode(texts)):
-                    ids.append(doc_id)
-                    docs.append(np.append(x, np.uint16(END_ID)))
-                    held += len(x) + 1
-                    if held >= shard_tokens:
-                        yield shard()
-                        ids, docs, held, seq = [], [], 0, seq + 1
-        if docs:
-            yield shard()
+            doc_ids, ids, size = pa.concat_arrays([x[0] for x in held]), np.concatenate([x[1] for x in held]), np.concatenate([x[2] for x in held])
+            row = shard_row(ids, size, terminals, least, most) | {"part": part, "seq": seq, "doc_ids": doc_ids}
+            return pa.RecordBatch.from_arrays([pa.array([row[n]], type=k) for n, k in zip(names, _KINDS)], names=names)
+
+        try:
+            for batch in batches:
+                _, offsets = K.text_bytes(batch.column(1))
+                for lo, hi in K.chunks(offsets, CHUNK_BYTES):
+                    ids, size = enc.encode(batch.column(1).slice(lo, hi - lo))
+                    at, upto = 0, np.cumsum(size)
+                    while at < len(size):
+                        # up to the document that fills the shard
+                        before = int(upto[at - 1]) if at else 0
+                        to = min(int(np.searchsorted(upto, before + shard_tokens - waiting)) + 1, len(size))
+                        held.append((batch.column(0).slice(lo + at, to - at), ids[before : upto[to - 1]].copy(), size[at:to]))
+                        waiting += int(upto[to - 1]) - before
+                        at = to
+                        if waiting >= shard_tokens:
+                            yield shard()
+                            held, waiting, seq = [], 0, seq + 1
+            if held:
+                yield shard()
+        finally:
+            enc.clear()
 
     return run
 
 
-def write_tokens(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int = SHARD_TOKENS, partitions: int | None = None) -> None:
-    """Encode doc_id, text in ascending doc_id order (nulls first, ties by text) and write the shards to `folder`.
+def write_tokens(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int = SHARD_TOKENS, partitions: int | None = None, least: int = LEAST, most_rules: int | None = None) -> None:
+    """Encode doc_id, text in ascending doc_id order (nulls first, ties by the text's hash and the text) and write the shards to `folder`.
 
-    Null or empty texts are the end id alone. Repeated rows stay. An empty table writes no shard. An id must fit 16
-    bits; a longer document is a shard of its own.
+    Null or empty texts are the end id alone. Repeated rows stay; equal texts of one doc_id meet in one task. An empty
+    table writes no shard. An id must fit 16 bits; a longer document is a shard of its own. least: how often a pair
+    must stand to become a rule; most_rules: rules of a shard at most (None: as many as there are).
     """
     from tokenizers import Tokenizer
 
     terminals = Tokenizer.from_file(tokenizer).get_vocab_size()
     n = partitions or shuffle_partitions(docs.sparkSession)
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
-    rows.mapInArrow(_writer(tokenizer, terminals, shard_tokens), FILE).write.parquet(folder)
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("tie", F.xxhash64("text"))
+    rows = rows.repartitionByRange(n, "doc_id", "tie").sortWithinPartitions("doc_id", "tie", "text").select("doc_id", "text")
+    rows.mapInArrow(_writer(tokenizer, terminals, shard_tokens, least, most_rules), FILE).write.parquet(folder)
 
 
 def _decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for row in batch.to_pylist():
-            rules = np.frombuffer(row["rules"], dtype=np.uint32).reshape(-1, 2)
-            width = np.uint16 if row["terminals"] + len(rules) <= 1 << 16 else np.uint32
-            ids = expand(np.frombuffer(row["symbols"], dtype=width).astype(np.int64), rules, row["terminals"])
-            size = np.array(row["doc_tokens"], dtype=np.int64)
+        for k in range(batch.num_rows):
+            columns = {n: batch.column(n)[k] for n in batch.schema.names}
+            ids = shard_ids({n: columns[n].as_py() for n in ("terminals", "n_rules", "n_symbols", "length_bits", "rules", "rule_lengths", "symbols")})
+            size = columns["doc_tokens"].values.to_numpy().astype(np.int64)
             ends = np.cumsum(size)
-            raw = ids.astype("<u4").tobytes()
+            raw = memoryview(ids.astype("<u4", copy=False)).cast("B")
             crc = [zlib.crc32(raw[4 * (e - s) : 4 * e]) for s, e in zip(size.tolist(), ends.tolist())]
-            columns = [pa.array(row["doc_ids"], pa.int64()), pa.array(ends - size + row["base"]), pa.array(size), pa.array(crc, pa.int64())]
-            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "n_tokens", "ids_crc32"])
+            out = [columns["doc_ids"].values, pa.array(ends - size + columns["base"].as_py()), pa.array(size), pa.array(crc, pa.int64())]
+            yield pa.RecordBatch.from_arrays(out, names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
 
 def read_digests(spark: SparkSession, folder: str) -> DataFrame:
@@ -276,10 +342,8 @@ def read_document(spark: SparkSession, folder: str, doc_id: int) -> list[list[in
     """The ids of each document with this doc_id, decoded from its own symbols alone."""
     out = []
     for row in spark.read.schema(FILE).parquet(folder).where(F.array_contains("doc_ids", F.lit(doc_id).cast("long"))).toLocalIterator():
-        rules = np.frombuffer(row["rules"], dtype=np.uint32).reshape(-1, 2)
-        width = np.uint16 if row["terminals"] + len(rules) <= 1 << 16 else np.uint32
-        symbols, ends = np.frombuffer(row["symbols"], dtype=width), np.cumsum(row["doc_symbols"])
-        out += [expand(symbols[e - s : e].astype(np.int64), rules, row["terminals"]).tolist() for d, s, e in zip(row["doc_ids"], row["doc_symbols"], ends.tolist()) if d == doc_id]
+        ends = np.cumsum(row["doc_symbols"]).tolist()
+        out += [shard_ids(row.asDict(), e - s, e).tolist() for d, s, e in zip(row["doc_ids"], row["doc_symbols"], ends) if d == doc_id]
     return out
 
 
