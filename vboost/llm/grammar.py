@@ -113,7 +113,7 @@ class Grammar:
         left, right = keys >> self.wide, keys & ((1 << self.wide) - 1)
         ok = self._stand(place, np.repeat(left, counts), np.repeat(right, counts))
         place = place[ok]
-        counts = np.bincount(np.repeat(np.arange(len(keys)), counts)[ok], minlength=len(keys))
+        counts = np.add.reduceat(ok, np.cumsum(counts) - counts, dtype=np.int64)
         begin = np.cumsum(counts) - counts
         # what has become rarer than the level waits
         waits = np.flatnonzero((counts < level) & (counts >= self.least))

@@ -9,8 +9,8 @@ documents.
 
 Encoding is by the tokenizers library. A text of ASCII and Latin-1 letters is cut into the tokenizer's pre-tokens by
 array operations on its bytes; their ids laid end to end are the text's ids. The library encodes each distinct
-pre-token once for each task while it stays in a bounded cache. Any other text, and one that holds an added token of
-the tokenizer, is encoded whole.
+pre-token once for each worker while it stays in a bounded cache; what came again stays longest. Any other text, and
+one that holds an added token of the tokenizer, is encoded whole.
 """
 
 from __future__ import annotations
@@ -36,8 +36,9 @@ END_ID = 0
 SHARD_TOKENS = 1 << 19
 #: A pair becomes a rule where it stands so often: below, the rule costs more bits than it saves.
 LEAST = 4
-#: Distinct pre-tokens that a task remembers, their bytes, and pre-tokens in one call of the library.
-CACHE_PIECES, CACHE_BYTES, JOINED = 300_000, 1 << 23, 4096
+#: Distinct pre-tokens that a worker remembers while it runs a task (half as many between tasks), their bytes, and
+#: pre-tokens in one call of the library.
+CACHE_PIECES, CACHE_BYTES, JOINED = 400_000, 1 << 24, 4096
 #: Text that is cut at once.
 CHUNK_BYTES = 1 << 22
 _SPACE, _LETTER, _DIGIT, _MARK = 0, 1, 2, 3
@@ -85,13 +86,6 @@ def cut_pieces(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.flatnonzero(opens[:n])
 
 
-class _Numbers(dict):
-    """-1 for what is not held."""
-
-    def __missing__(self, key: bytes) -> int:
-        return -1
-
-
 class PieceEncoder:
     """Ids of texts; the ids of each distinct pre-token are asked of the library once while the cache holds them."""
 
@@ -108,63 +102,69 @@ class PieceEncoder:
         self.clear()
 
     def clear(self) -> None:
-        self.known = _Numbers({b"": 0})  # the end of a text
-        self.held, self.used = 0, 1
-        self.start, self.size, self.pool = np.zeros(1 << 12, np.int32), np.zeros(1 << 12, np.int32), np.zeros(1 << 14, np.uint16)
-        self.size[0], self.pool[0] = 1, END_ID
+        self._hold(pa.array([b""], pa.large_binary()), np.array([END_ID], np.uint16), np.ones(1, np.int32), np.zeros(1, np.int32))
+
+    def _hold(self, known: pa.Array, pool: np.ndarray, size: np.ndarray, seen: np.ndarray) -> None:
+        """known: the pieces, the first of which is the end of a text; seen: in how many pieces of text each came."""
+        self.known, self.pool, self.size, self.seen = known, pool, size, seen
+        self.start = (np.cumsum(size) - size).astype(np.int32)
+
+    def trim(self) -> None:
+        """Forget the pre-tokens that came once; of the others the half of the cache that came most often stays."""
+        self.seen[0] = np.iinfo(np.int32).max
+        kept = np.flatnonzero(self.seen > 1)
+        kept = np.sort(kept[np.argsort(-self.seen[kept], kind="stable")[: CACHE_PIECES // 2]])
+        known = self.known.take(pa.array(kept))
+        if known.nbytes > CACHE_BYTES:
+            self.clear()
+        else:
+            self._hold(known, gather(self.pool, self.start[kept], self.size[kept]), self.size[kept], self.seen[kept] // 2)
 
     def whole(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def learn(self, data: np.ndarray, offsets: np.ndarray, fresh: np.ndarray, pieces: list[bytes]) -> np.ndarray:
-        """Ask for the ids of the pieces numbered `fresh`, and return these in the order in which the cache numbers them.
-
-        Piece i is data[offsets[i] : offsets[i + 1]].
+    def learn(self, fresh: pa.Array) -> None:
+        """Ask for the ids of new pieces and number them behind the known ones.
 
         Words that begin with a space are asked for many at a time: side by side they are the same pre-tokens.
         """
-        begin, width = offsets[fresh], np.diff(offsets)[fresh]
+        data, offsets = K.text_bytes(fresh)
+        begin, width = offsets[:-1], np.diff(offsets)
         word = (width > 1) & (data[begin] == 32)
         word[word] = _CLASS[data[begin[word] + 1]] == _LETTER
-        fresh = np.concatenate([fresh[word], fresh[~word]])
+        order = np.concatenate([np.flatnonzero(word), np.flatnonzero(~word)])
         words = int(word.sum())
         joined = gather(data, begin[word], width[word]).tobytes()
         ends = np.cumsum(width[word])
         cuts = [0, *ends[JOINED - 1 :: JOINED].tolist(), len(joined)]
         found = self.whole([joined[x:y].decode() for x, y in zip(cuts, cuts[1:])])
-        rest = self.whole([pieces[i].decode() for i in fresh[words:].tolist()])
+        rest = self.whole([x.decode() for x in fresh.take(pa.array(order[words:])).to_pylist()])
         flat = np.fromiter(chain.from_iterable(found), np.uint16, sum(map(len, found)))
         upto = np.cumsum(self.width[flat])
         last = np.searchsorted(upto, ends)
         if words and not np.array_equal(upto[last], ends):
             raise ValueError("a token spans two pre-tokens")
-        size = np.concatenate([np.diff(last, prepend=-1), np.fromiter(map(len, rest), np.int64, len(rest))])
+        counts = np.concatenate([np.diff(last, prepend=-1), np.fromiter(map(len, rest), np.int64, len(rest))])
         flat = np.concatenate([flat, np.fromiter(chain.from_iterable(rest), np.uint16, sum(map(len, rest)))])
-        at, n = len(self.known), len(fresh)
-        self.known.update(zip(map(pieces.__getitem__, fresh.tolist()), range(at, at + n)))
-        self.held += int(width.sum())
-        self.start, self.size, self.pool = _room(self.start, at + n), _room(self.size, at + n), _room(self.pool, self.used + len(flat))
-        self.start[at : at + n] = self.used + np.cumsum(size) - size
-        self.size[at : at + n] = size
-        self.pool[self.used : self.used + len(flat)] = flat
-        self.used += len(flat)
-        return fresh
+        start, size = np.empty(len(order), np.int32), np.empty(len(order), np.int32)
+        start[order], size[order] = len(self.pool) + np.cumsum(counts) - counts, counts
+        self.known = pa.concat_arrays([self.known, fresh])
+        self.start, self.size, self.pool = np.concatenate([self.start, start]), np.concatenate([self.size, size]), np.concatenate([self.pool, flat])
+        self.seen = np.concatenate([self.seen, np.zeros(len(fresh), np.int32)])
 
     def _numbers(self, column: pa.Array) -> np.ndarray:
-        """The cache's number of each piece of a column."""
-        coded = column.dictionary_encode()
-        pieces = coded.dictionary.to_pylist()
-        if len(self.known) > CACHE_PIECES or self.held > CACHE_BYTES:
-            self.clear()
-        number = np.fromiter(map(self.known.__getitem__, pieces), np.int32, len(pieces))
-        fresh = np.flatnonzero(number < 0)
-        if len(fresh):
-            _, offsets, data = coded.dictionary.buffers()
-            offsets = np.frombuffer(offsets, np.int64, len(pieces) + 1)
-            at = len(self.known)
-            fresh = self.learn(np.frombuffer(data, np.uint8), offsets, fresh, pieces)
-            number[fresh] = np.arange(at, at + len(fresh))
-        return number[coded.indices.to_numpy()]
+        """The cache's number of each piece of a column: new pieces come behind the known ones in one dictionary."""
+        if len(self.known) > CACHE_PIECES or self.known.nbytes > CACHE_BYTES:
+            self.trim()
+        coded = pa.chunked_array([self.known, column]).dictionary_encode().chunk(1)
+        had = len(self.known)
+        if len(coded.dictionary) > had:
+            self.learn(coded.dictionary.slice(had))
+        numbers = coded.indices.to_numpy()
+        came = np.zeros(len(self.known), dtype=bool)
+        came[numbers] = True
+        self.seen += came
+        return numbers
 
     def _cut_and_encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         texts = len(offsets) - 1
@@ -208,12 +208,8 @@ class PieceEncoder:
         return np.concatenate([*parts, ids[at:]]), size
 
 
-def _room(x: np.ndarray, size: int) -> np.ndarray:
-    return x if size <= len(x) else np.concatenate([x, np.zeros(max(size - len(x), len(x)), x.dtype)])
-
-
 def encoder(path: str) -> PieceEncoder:
-    """This worker's encoder with an empty cache; the vocabulary stays loaded."""
+    """This worker's encoder: the vocabulary stays loaded."""
     if path not in _HELD_BY:
         _HELD_BY[path] = PieceEncoder(path)
     return _HELD_BY[path]
@@ -287,7 +283,7 @@ def _writer(path: str, terminals: int, shard_tokens: int, least: int, most: int
             if held:
                 yield shard()
         finally:
-            enc.clear()
+            enc.trim()
 
     return run
 

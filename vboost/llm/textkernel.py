@@ -46,7 +46,8 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and 64-bit offsets of a string column; a null is an empty text."""
-    column = column.fill_null("").cast(pa.large_string()) if column.null_count else column.cast(pa.large_string())
+    if not pa.types.is_large_binary(column.type):
+        column = column.fill_null("").cast(pa.large_string()) if column.null_count else column.cast(pa.large_string())
     buffers = column.buffers()
     offsets = np.frombuffer(buffers[1], dtype=np.int64, count=column.offset + len(column) + 1)[column.offset :]
     data = np.frombuffer(buffers[2], dtype=np.uint8) if buffers[2] is not None else np.zeros(0, np.uint8)
