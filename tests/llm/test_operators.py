@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import uuid
 import zlib
 
 import numpy as np
@@ -320,9 +321,9 @@ def test_op8_ids_equal_the_librarys(monkeypatch):
             assert ids.tolist() == sum(want[at : at + 1000], []) and size.tolist() == [len(x) for x in want[at : at + 1000]]
 
 
-def test_op8_random_access(spark, docs, tmp_path):
+def test_op8_random_access(spark, docs):
     path, t = byte_bpe()
-    folder = f"{op8.shared_dir(spark)}/test-{tmp_path.name}"
+    folder = f"{op8.shared_dir(spark)}/test-{uuid.uuid4().hex}"
     op8.write_tokens(docs, folder, path, shard_tokens=2000, partitions=3)
     text = docs.where("doc_id = 8").first()["text"]
     assert op8.read_document(spark, folder, 8) == [t.encode(text, add_special_tokens=False).ids + [0]]
