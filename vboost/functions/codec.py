@@ -6,13 +6,16 @@ wide enough for the sum over all rows, so no field carries into the next.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import math
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 #: Two 32-bit limbs are summed as BIGINT: exact for up to 2^31 rows of a cell; beyond that ANSI mode raises.
 LIMB = 1 << 32
+#: Bits of a high limb at most, so that doubles hold it whole.
+HIGH_BITS = 53
 
 
 @dataclass(frozen=True)
@@ -25,6 +28,7 @@ class Budget:
     g_off: float = 1.0
     h_max: float = 1.0
     iota: int = 1023
+    rounding: str = "floor"
 
     @property
     def b_g(self) -> int:
@@ -46,26 +50,35 @@ class Budget:
     def n_k(self, classes: int) -> int:
         return -(-classes // self.slots)
 
+    def members(self, classes: int = 1) -> int:
+        """Split infos that one package holds: of one cipher each, so of as many classes as fit."""
+        return self.iota // (classes * self.b_gh)
+
     @property
     def offset(self) -> int:
         return int(self.g_off * 2**self.r)
 
     def amplified(self, factor: float) -> "Budget":
         """The budget where sampling multiplies gradients and hessians."""
-        return Budget(self.n, self.r, self.g_max * factor, self.g_off * factor, self.h_max * factor, self.iota)
+        return replace(self, g_max=self.g_max * factor, g_off=self.g_off * factor, h_max=self.h_max * factor)
 
+    def fixed(self, x: float) -> int:
+        """x at r fractional bits: the same integer as the limbs of the native sums."""
+        return math.floor((x + 0.5 / 2.0**self.r if self.rounding == "round" else x) * 2.0**self.r)
 
-def encode(x: Column, r: int = 53, rounding: str = "floor") -> Column:
-    """Fixed point as DECIMAL(38,0)."""
-    scaled = x * float(2**r)
-    return (F.floor(scaled) if rounding == "floor" else F.round(scaled)).cast("decimal(38,0)")
 
+def limbs(x: Column, r: int, rounding: str = "floor") -> tuple[Column, Column]:
+    """High and low limb of floor(x * 2^r), for BIGINT sums inside code generation.
 
-def limbs(x: Column, r: int) -> tuple[Column, Column]:
-    """High and low limb of the fixed-point value of |x| < 2^(63 - r), for BIGINT sums inside code generation."""
-    whole = F.floor(x * float(2**r)).cast("bigint")
-    high = F.shiftright(whole, 32)
-    return high, whole - F.shiftleft(high, 32)
+    Every step is exact on doubles. A value beyond 2^(HIGH_BITS + 32 - r), or NaN, raises.
+    """
+    if rounding == "round":
+        x = x + 0.5 / 2.0**r
+    scaled = x * float(2.0 ** (r - 32))
+    high = F.floor(scaled).cast("bigint")
+    low = F.floor((scaled - F.floor(scaled)) * float(LIMB)).cast("bigint")
+    wrong = F.raise_error(F.lit("a gradient or hessian exceeds the fixed-point range")).cast("bigint")
+    return F.when(x.isNull() | (F.abs(scaled) < float(1 << HIGH_BITS)), high).otherwise(wrong), low
 
 
 def unlimb(high: Column, low: Column) -> Column:
@@ -77,7 +90,16 @@ def real(x: Column, r: int) -> Column:
 
 
 def pack(g: float, h: float, b: Budget) -> int:
-    return (int((g + b.g_off) * 2**b.r) << b.b_h) + int(h * 2**b.r)
+    """The offset gradient above the hessian. Values beyond the declared bounds raise: their sums would not fit."""
+    if not (-b.g_off <= g <= b.g_max and 0 <= h <= b.h_max):
+        raise OverflowError(f"gradient {g} or hessian {h} beyond the declared bounds {b.g_max}, {b.h_max}")
+    return (b.fixed(g) + b.offset << b.b_h) + b.fixed(h)
+
+
+def apart(g: float, h: float, b: Budget) -> list[int]:
+    """Two integers, without packing."""
+    both = pack(g, h, b)
+    return [both >> b.b_h, both & ((1 << b.b_h) - 1)]
 
 
 def unpack(total: int, count: int, b: Budget) -> tuple[int, int]:
@@ -85,21 +107,22 @@ def unpack(total: int, count: int, b: Budget) -> tuple[int, int]:
     return (total >> b.b_h) - count * b.offset, total & ((1 << b.b_h) - 1)
 
 
-def compress(values: list[int], b: Budget) -> int:
-    """Horner fold: the first member ends in the highest slot."""
-    if len(values) > b.slots:
-        raise ValueError(f"{len(values)} members do not fit {b.slots} slots")
+def compress(values: list[int], b: Budget, classes: int = 1) -> int:
+    """Horner fold: the first member ends in the highest slot. A member holds `classes` packed integers."""
+    if len(values) * classes > b.slots:
+        raise ValueError(f"{len(values)} members of {classes} do not fit {b.slots} slots")
     acc = 0
     for v in values:
-        acc = (acc << b.b_gh) + v
+        acc = (acc << classes * b.b_gh) + v
     return acc
 
 
-def decompress(package: int, members: int, b: Budget) -> list[int]:
-    mask, out = (1 << b.b_gh) - 1, []
+def decompress(package: int, members: int, b: Budget, classes: int = 1) -> list[int]:
+    wide = classes * b.b_gh
+    mask, out = (1 << wide) - 1, []
     for _ in range(members):
         out.append(package & mask)
-        package >>= b.b_gh
+        package >>= wide
     return out[::-1]
 
 

@@ -34,6 +34,9 @@ class Backend(ABC):
     @abstractmethod
     def sub(self, a: bytes, b: bytes) -> bytes: ...
 
+    def sub_all(self, a: list[bytes], b: list[bytes]) -> list[bytes]:
+        return [self.sub(x, y) for x, y in zip(a, b)]
+
     def fold(self, ciphers: list[bytes]) -> bytes:
         acc = ciphers[0]
         for c in ciphers[1:]:

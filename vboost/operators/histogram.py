@@ -12,12 +12,12 @@ from pyspark.sql import functions as F
 from ..functions import codec, splits
 
 
-def fixed_columns(df: DataFrame, r: int, classes: int = 1) -> DataFrame:
+def fixed_columns(df: DataFrame, r: int, classes: int = 1, rounding: str = "floor") -> DataFrame:
     """Adds the high and low limbs of g and h, one pair for each class."""
     out = []
     for name in ("g", "h"):
         for j in range(classes):
-            high, low = codec.limbs(F.get(name, F.lit(j)) if classes > 1 else F.col(name), r)
+            high, low = codec.limbs(F.get(name, F.lit(j)) if classes > 1 else F.col(name), r, rounding)
             out += [high.alias(f"{name}{j}_hi"), low.alias(f"{name}{j}_lo")]
     return df.select("*", *out)
 

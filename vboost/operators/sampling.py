@@ -22,12 +22,18 @@ def amplify(df: DataFrame, factor: float, vector: bool) -> DataFrame:
     return df
 
 
+def second_hash(seed: int, of: str = "inst_id") -> Column:
+    """Another such number, for a choice that must not follow the first."""
+    return F.pmod(F.col(of) * 104_651 + seed * 7919, F.lit(1_000_003))
+
+
 def goss(df: DataFrame, top_rate: float = 0.2, other_rate: float = 0.1, seed: int = 1, norm: str = "abs", exact: bool = False, rows: int | None = None) -> DataFrame:
     """The survivors with amplified g and h, and amp.
 
     exact: ceil(a n) rows of the largest gradients and ceil(b n) of the rest by hash, ties by inst_id. Otherwise the
-    threshold is a mergeable quantile sketch and the rest is kept by its hash: one aggregate and a filter. A row at
-    the threshold counts as one of the rest, so a large tie does not keep more than it should.
+    threshold is a mergeable quantile sketch; of the rows at the threshold as many count as large, by their hash, as
+    make up a n, and the rest is kept by another hash: two aggregates and a filter, a n and b n rows in expectation,
+    also where all gradients tie.
     """
     factor = (1 - top_rate) / other_rate
     ranked = df.withColumn("size", size_of_gradient(norm)).withColumn("hash", keyed_hash(seed))
@@ -39,11 +45,19 @@ def goss(df: DataFrame, top_rate: float = 0.2, other_rate: float = 0.1, seed: in
         kept = top.withColumn("amp", F.lit(1.0)).unionByName(rest.withColumn("amp", F.lit(factor)))
     else:
         edge = ranked.agg(F.percentile_approx("size", 1 - top_rate, 10_000)).first()[0] or 0.0
-        is_top = F.col("size") > edge
-        share = F.col("hash") < int(1_000_003 * other_rate / (1 - top_rate))
+        found = ranked.agg(F.count_if(F.col("size") > edge).alias("above"), F.count_if(F.col("size") == edge).alias("at"), F.count("*").alias("n")).first()
+        room = min(max(top_rate * found["n"] - found["above"], 0.0) / max(found["at"], 1), 1.0)
+        is_top = (F.col("size") > edge) | ((F.col("size") == edge) & (F.col("hash") < int(1_000_003 * room)))
+        share = second_hash(seed) < int(1_000_003 * other_rate / (1 - top_rate))
         kept = ranked.where(is_top | share).withColumn("amp", F.when(is_top, 1.0).otherwise(factor))
     return amplify(kept, factor, norm != "abs").drop("size", "hash")
 
 
 def uniform(df: DataFrame, rate: float, seed: int = 1) -> DataFrame:
     return df.where(keyed_hash(seed) < int(1_000_003 * rate))
+
+
+def some_features(features: int, rate: float, seed: int) -> list[int]:
+    """The features that a tree may split on: ceil(rate n) of them, chosen by the seed."""
+    order = sorted(range(features), key=lambda j: ((j + 1) * 7919 + (seed + 1) * 104_729) * 2_654_435_761 % (1 << 32))
+    return sorted(order[: max(1, -int(-rate * features // 1))])

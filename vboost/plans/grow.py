@@ -10,7 +10,7 @@ beyond LOCAL_CELLS all steps stay distributed. Both ways give the same splits.
 from __future__ import annotations
 
 import time
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -20,61 +20,16 @@ from pyspark.sql import functions as F
 
 from ..functions import metrics, objective
 from ..operators import binning, histogram, sampling
-from ..sources.io import cut
-from .params import FederatedSpec, Ledger, Params, Schedule, schedule
-
+from ..sources.io import cut, drop_bucketed
+from . import protocol
+from .exchange import Federation
+from .params import FederatedSpec, Ledger, Params, Schedule, guard, schedule
+from .tree import Node, Tree, best_local, grid
 
 #: Cells of a layer that the driver takes at most (about 50 MB).
 LOCAL_CELLS = 1 << 20
 
 
-@dataclass
-class Node:
-    node: int
-    count: int
-    g: list[float]
-    h: list[float]
-    fid: int | None = None
-    bin: int | None = None
-    gain: float = 0.0
-
-
-@dataclass
-class Tree:
-    tree: int
-    class_id: int
-    nodes: dict[int, Node] = field(default_factory=dict)
-
-    def weight(self, node: int, reg_lambda: float) -> list[float]:
-        n = self.nodes[node]
-        return [-g / (h + reg_lambda) for g, h in zip(n.g, n.h)]
-
-    def leaf_column(self, value: Callable[[int], Column], bins: str = "bins") -> Column:
-        """What `value` gives for a row's leaf: one nested CASE, a comparison for each layer."""
-
-        def at(node: int) -> Column:
-            n = self.nodes[node]
-            if n.fid is None:
-                return value(node)
-            return F.when(F.get(bins, F.lit(n.fid)) <= n.bin, at(2 * node + 1)).otherwise(at(2 * node + 2))
-
-        return at(0)
-
-    def node_column(self, bins: str = "bins") -> Column:
-        """The leaf, or deepest grown node, of a row."""
-        return self.leaf_column(F.lit, bins)
-
-    def walk(self, x: np.ndarray) -> np.ndarray:
-        """The leaf of each row of a bin matrix."""
-        node = np.zeros(len(x), dtype=np.int64)
-        for i in sorted(self.nodes):
-            n = self.nodes[i]
-            if n.fid is not None:
-                here = node == i
-                node[here] = np.where(x[here, n.fid] <= n.bin, 2 * i + 1, 2 * i + 2)
-        return node
-
-
 @dataclass
 class Model:
     spec: FederatedSpec
@@ -92,12 +47,7 @@ class Model:
     def scores(self, x: np.ndarray) -> np.ndarray:
         out = np.zeros((len(x), self.width))
         for t in self.trees:
-            leaf = t.walk(x)
-            for i, n in t.nodes.items():
-                if n.fid is None:
-                    w = np.array(t.weight(i, self.params.reg_lambda)) * self.params.learning_rate
-                    columns = slice(None) if len(w) == self.width else t.class_id
-                    out[leaf == i, columns] += w
+            self._add_leaves(out, t, t.walk(x))
         return out
 
     def predict(self, df: DataFrame, keep: list[str]) -> DataFrame:
@@ -115,6 +65,67 @@ class Model:
         fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in binned.schema.fields if f.name in keep)
         return binned.mapInArrow(run, f"{fields}, score {'array<double>' if many else 'double'}")
 
+    def splits(self) -> list[tuple[int, int]]:
+        """Tree and node of every split, in order."""
+        return [(k, i) for k, t in enumerate(self.trees) for i in sorted(t.nodes) if t.nodes[i].fid is not None]
+
+    def predict_federated(self, frames: dict[str, DataFrame], keep: tuple[str, ...] = (), ledger: Ledger | None = None) -> DataFrame:
+        """inst_id, `keep` columns of the active party, and score, from each party's own frame: inst_id and its columns.
+
+        A party tells the active one a bit for each split that it owns (does the row go right), one message of all
+        trees; the active party, which holds the leaf weights, walks the trees. Rows that a party lacks are left out.
+        """
+        order, told = self.splits(), None
+        for p in self.spec.parties:
+            first, end = self.spec.span(p.name)
+            mine = [(k, self.trees[t].nodes[i].fid - first, self.trees[t].nodes[i].bin) for k, (t, i) in enumerate(order) if first <= self.trees[t].nodes[i].fid < end]
+            extra = list(keep) if told is None else []
+            binned = binning.apply(frames[p.name], list(p.columns), self.edges[first:end], ["inst_id", *extra])
+            fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in binned.schema.fields[:-1])
+            bits = binned.mapInArrow(_directions(mine, len(order)), f"{fields}, bits binary")
+            if told is None:
+                told = bits
+                continue
+            guard("active", "directions", bits.columns)
+            if ledger is not None:
+                bits = cut(bits)
+                ledger.send(-1, -1, p.name, self.spec.parties[0].name, "directions", bits.count(), -(-len(order) // 8) + 8)
+            told = told.join(bits.withColumnRenamed("bits", "more"), "inst_id").withColumn("bits", F.concat("bits", "more")).drop("more")
+        fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in told.schema.fields[:-1])
+        kind = "array<double>" if self.width > 1 else "double"
+        return told.mapInArrow(self._walk_told(order, len(self.spec.parties)), f"{fields}, score {kind}")
+
+    def _walk_told(self, order: list[tuple[int, int]], parties: int):
+        """Scores from the bits of all parties, one after the other."""
+        column = {x: k for k, x in enumerate(order)}
+        size = -(-len(order) // 8)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                n = batch.num_rows
+                raw = np.frombuffer(b"".join(batch.column("bits").to_pylist()), np.uint8).reshape(n, parties, size)
+                right = np.unpackbits(np.bitwise_or.reduce(raw, axis=1), axis=1).astype(bool)
+                out = np.zeros((n, self.width))
+                for k, t in enumerate(self.trees):
+                    leaf = np.zeros(n, dtype=np.int64)
+                    for i in sorted(t.nodes):
+                        if t.nodes[i].fid is not None:
+                            here = leaf == i
+                            leaf[here] = 2 * i + 1 + right[here, column[k, i]]
+                    self._add_leaves(out, t, leaf)
+                value = pa.array(list(out), pa.list_(pa.float64())) if self.width > 1 else pa.array(out[:, 0])
+                rest = batch.schema.names[:-1]
+                yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in rest], value], names=[*rest, "score"])
+
+        return run
+
+    def _add_leaves(self, out: np.ndarray, t: Tree, leaf: np.ndarray) -> None:
+        for i, n in t.nodes.items():
+            if n.fid is None:
+                w = np.array(t.weight(i, self.params.reg_lambda)) * self.params.learning_rate
+                columns = slice(None) if len(w) == self.width else t.class_id
+                out[leaf == i, columns] += w
+
     def score_column(self, bins: str = "bins") -> Column:
         """The scalar score as one expression: for models of a few trees."""
         total = F.lit(0.0)
@@ -130,58 +141,33 @@ class Model:
         return out
 
 
-def _grid(cells: pa.Table, bins: int, features: int, classes: int) -> dict[int, np.ndarray]:
-    """For each node an integer array [feature, bin, field]: count, then high and low limbs of each sum."""
-    names = ["cnt", *[f"{n}{j}_{p}" for n in ("g", "h") for j in range(classes) for p in ("hi", "lo")]]
-    node, fid, b = (cells.column(c).to_numpy() for c in ("node", "fid", "bin"))
-    values = np.column_stack([cells.column(c).to_numpy() for c in names]).astype(np.int64)
-    width = max(bins, 64)  # bins by plain arithmetic may number more than the quantiles'
-    out = {}
-    for n in np.unique(node):
-        here = node == n
-        grid = np.zeros((features, width, len(names)), dtype=np.int64)
-        grid[fid[here], b[here]] = values[here]
-        out[int(n)] = grid
-    return out
+def _directions(mine: list[tuple[int, int, int]], splits: int):
+    """The bits of a party's own splits (number, feature, bin) among all: set where a row goes right."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch.num_rows
+            flags = np.zeros((n, splits), dtype=bool)
+            if mine and n:
+                x = batch.column("bins").values.to_numpy(zero_copy_only=False).reshape(n, -1)
+                for k, fid, b in mine:
+                    flags[:, k] = x[:, fid] > b
+            packed = np.packbits(flags, axis=1)
+            rest = batch.schema.names[:-1]
+            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in rest], pa.array([r.tobytes() for r in packed], pa.binary())], names=[*rest, "bits"])
+
+    return run
 
-def _real(limbs: np.ndarray, r: int) -> np.ndarray:
-    """Doubles nearest to high * 2^32 + low at r fractional bits, of the last axis' pairs."""
-    return (limbs[..., 0::2].astype(np.float64) * 2.0**32 + limbs[..., 1::2]) / 2.0**r
-
-
-def _best_local(cells: dict[int, np.ndarray], r: int, reg_lambda: float, classes: int, min_child_rows: int) -> list[dict]:
-    """The best split of each node: largest gain, then smallest fid, then smallest bin."""
-    out = []
-    for node, grid in cells.items():
-        left = grid.cumsum(axis=1)
-        total = left[:, -1:, :]
-        n_l, n_t = left[..., 0], total[..., 0]
-        g_l, h_l = _real(left[..., 1 : 1 + 2 * classes], r), _real(left[..., 1 + 2 * classes :], r)
-        g_t, h_t = _real(total[..., 1 : 1 + 2 * classes], r), _real(total[..., 1 + 2 * classes :], r)
-        score = lambda g, h: (g * g / (h + reg_lambda)).sum(axis=-1)
-        gain = 0.5 * (score(g_l, h_l) + score(g_t - g_l, h_t - h_l) - score(g_t, h_t))
-        seen = grid[..., 0] > 0  # a cell that no row is in repeats the candidate before it
-        ok = seen & (n_l >= min_child_rows) & (n_t - n_l >= min_child_rows)
-        if not ok.any():
-            continue
-        gain = np.where(ok, gain, -np.inf)
-        fid, b = np.unravel_index(int(np.argmax(gain)), gain.shape)
-        row = {"node": node, "fid": int(fid), "bin": int(b), "gain": float(gain[fid, b]), "cnt_l": int(n_l[fid, b]), "cnt_t": int(n_t[fid, 0])}
-        whole = lambda x, k: int(x[k]) * 2**32 + int(x[k + 1])
-        for side, x in (("l", left[fid, b]), ("t", total[fid, 0])):
-            for j in range(classes):
-                row[f"g{j}_{side}"], row[f"h{j}_{side}"] = whole(x, 1 + 2 * j), whole(x, 1 + 2 * classes + 2 * j)
-        out.append(row)
-    return out
 
+def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedule, tree: int, class_id: int = 0, classes: int = 1, ledger: Ledger | None = None, budget=None, allowed: list[int] | None = None, default_bins: list[int] | None = None) -> Tree:
+    """rows: bins and limbs of the rows that the tree is grown on. allowed: features that may split; None is all.
 
-def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedule, tree: int, class_id: int = 0, classes: int = 1, ledger: Ledger | None = None, budget=None) -> Tree:
-    """rows: bins and limbs of the rows that the tree is grown on."""
+    The ledger gets what a dense exchange on ciphers would take; nothing is encrypted here.
+    """
     ledger = ledger if ledger is not None else Ledger()
     r = params.precision_bits
     out = Tree(tree, class_id)
-    names = ["cnt", *[f"{n}{j}_t" for n in ("g", "h") for j in range(classes)]]
+    usual = (default_bins or [0] * len(spec.columns)) if params.sparse else None
     layer_nodes, cells_before, eligible_before = [0], None, None
     local = not params.sparse and len(spec.columns) * params.max_bin * 2**plan.depth * classes <= LOCAL_CELLS
     per_row = 1 if params.packing else 2
@@ -202,47 +188,49 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
         live = placed.where(F.col("node").isin(*small))
         for name in eligible:
             first, end = spec.span(name)
-            part = histogram.limb_cells(live, classes, first, end - first) if local else histogram.build(live, classes, first, end - first, [0] * len(spec.columns) if params.sparse else None)
+            part = histogram.limb_cells(live, classes, first, end - first) if local else histogram.build(live, classes, first, end - first, usual)
             built = part if built is None else built.unionByName(part)
         if local:
-            cells = _grid(built.toArrow(), params.max_bin, len(spec.columns), classes)
+            cells = grid(built.toArrow(), params.max_bin, len(spec.columns), classes)
             for x, y in sibling_of.items():
                 cells[y] = cells_before[(x - 1) // 2] - cells.get(x, 0)
-            found = _best_local(cells, r, params.reg_lambda, classes, params.min_child_rows)
+            found = best_local(cells, r, params.reg_lambda, classes, params.min_child_rows, None if allowed is None else set(allowed))
         else:
             cells = built.unionByName(histogram.subtract(cells_before, built, sibling_of, classes)) if sibling_of else built
             cells = cells.persist()
-            found = histogram.best(histogram.candidates(cells, r, params.reg_lambda, classes, params.min_child_rows)).collect()
+            usable = cells if allowed is None else cells.where(F.col("fid").isin(*allowed))
+            found = histogram.best(histogram.candidates(usable, r, params.reg_lambda, classes, params.min_child_rows)).collect()
             if cells_before is not None:
                 cells_before.unpersist()
         cells_before, eligible_before = cells, eligible
-        scale = float(2**r)
-        each = lambda row, s: [[float(row[f"{n}{j}_{s}"]) / scale for j in range(classes)] for n in ("g", "h")]
+        real = lambda sums: [[float(x) / 2.0**r for x in v] for v in sums]
         after = []
         for row in sorted(found, key=lambda x: x["node"]):
-            g, h = each(row, "t")
-            n = out.nodes.setdefault(row["node"], Node(row["node"], row["cnt_t"], g, h))
+            whole, left = ([[int(row[f"{n}{j}_{s}"]) for j in range(classes)] for n in ("g", "h")] for s in ("t", "l"))
+            n = out.nodes.setdefault(row["node"], Node(row["node"], row["cnt_t"], *real(whole)))
             if row["gain"] <= params.min_gain:
                 continue
             n.fid, n.bin, n.gain = row["fid"], row["bin"], row["gain"]
-            gl, hl = each(row, "l")
-            left, right = 2 * n.node + 1, 2 * n.node + 2
-            out.nodes[left] = Node(left, row["cnt_l"], gl, hl)
-            out.nodes[right] = Node(right, row["cnt_t"] - row["cnt_l"], [a - b for a, b in zip(g, gl)], [a - b for a, b in zip(h, hl)])
-            after += [left, right]
+            right = [[x - y for x, y in zip(a, b)] for a, b in zip(whole, left)]
+            one, two = 2 * n.node + 1, 2 * n.node + 2
+            out.nodes[one] = Node(one, row["cnt_l"], *real(left))
+            out.nodes[two] = Node(two, row["cnt_t"] - row["cnt_l"], *real(right))
+            after += [one, two]
         for name in eligible:
             if name == spec.parties[0].name:
                 continue
             first, end = spec.span(name)
             splits = len(layer_nodes) * (end - first) * (params.max_bin - 1)
             infos = splits * per_row
-            if params.compress and params.packing and budget and classes == 1:
-                infos = len(layer_nodes) * -(-splits // len(layer_nodes) // budget.slots)
+            if budget and protocol.compressible(budget, params.packing, params.compress, classes, params.mo_compress):
+                infos = len(layer_nodes) * -(-splits // len(layer_nodes) // budget.members(classes))
                 ledger.send(tree, layer, name, name, "shifts", splits - infos)
             folded = sum(out.nodes[n].count for n in small if n in out.nodes)
             ledger.send(tree, layer, name, spec.parties[0].name, "split_info", infos, (2 * params.key_bits + 7) // 8)
-            ledger.send(tree, layer, name, name, "rows_folded", folded * (end - first) * per_row)
-            ledger.send(tree, layer, name, name, "prefix_adds", splits * per_row)
+            ledger.send(tree, layer, spec.parties[0].name, spec.parties[0].name, "dec", infos)
+            ledger.send(tree, layer, name, name, "adds", folded * (end - first) * per_row)
+            ledger.send(tree, layer, name, name, "prefix", splits * per_row)
+            ledger.send(tree, layer, name, name, "inversions", len(sibling_of) * (end - first) * params.max_bin * per_row)
         layer_nodes = after
         if not after:
             break
@@ -255,28 +243,47 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
     return out
 
 
-def _advance(frame: DataFrame, trees: list[Tree], params: Params) -> DataFrame:
-    """Adds the new trees' leaf weights to the scores."""
+def _advance(frame: DataFrame, trees: list[Tree], params: Params, leaf_of: list[DataFrame] | None = None) -> DataFrame:
+    """Adds the new trees' leaf weights to the scores. leaf_of: inst_id, node of each tree; by default from the bins."""
     score = F.col("score")
-    for t in trees:
+    for k, t in enumerate(trees):
         weight = lambda i, t=t: [w * params.learning_rate for w in t.weight(i, params.reg_lambda)]
-        if params.classes == 1:
-            score = score + t.leaf_column(lambda i: F.lit(weight(i)[0]))
-            continue
 
-        def full(i: int, t=t, weight=weight) -> Column:
+        def value(i: int, t=t, weight=weight) -> Column:
             w = weight(i)
+            if params.classes == 1:
+                return F.lit(w[0])
             return F.array(*[F.lit(x) for x in (w if len(w) == params.classes else [w[0] if j == t.class_id else 0.0 for j in range(params.classes)])])
 
-        score = F.zip_with(score, t.leaf_column(full), lambda a, b: a + b)
-    return frame.withColumn("score", score)
+        if leaf_of is None:
+            added = t.leaf_column(value)
+        else:
+            frame = frame.join(leaf_of[k].withColumnRenamed("node", f"leaf{k}"), "inst_id")
+            leaves = [i for i, n in t.nodes.items() if n.fid is None]
+            added = value(leaves[0])
+            for i in leaves[1:]:
+                added = F.when(F.col(f"leaf{k}") == i, value(i)).otherwise(added)
+        score = score + added if params.classes == 1 else F.zip_with(score, added, lambda a, b: a + b)
+    return frame.withColumn("score", score).drop(*[f"leaf{k}" for k in range(len(trees))] if leaf_of else [])
+
+
+def usual_bins(binned: DataFrame, features: int) -> list[int]:
+    """Each feature's most frequent bin, ties to the lower one: at most features x bins counts come to the driver's side."""
+    counts = binned.select(F.posexplode("bins").alias("fid", "bin")).groupBy("fid", "bin").count()
+    top = counts.groupBy("fid").agg(F.max_by("bin", F.struct("count", -F.col("bin"))).alias("bin"))
+    found = {r["fid"]: r["bin"] for r in top.collect()}
+    return [found.get(j, 0) for j in range(features)]
 
 
-def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = False, cut_every: int = 5) -> Model:
+def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = False, cut_every: int = 5, test: DataFrame | None = None, target: float | None = None, key=None) -> Model:
     """Boosting over a frame with inst_id, y and all parties' columns (the simulated federation's aligned rows).
 
     Null labels are left out. With no rows the model has no trees. The columns of each party are binned alone; what
-    a party sees of another's is what the ledger lists.
+    a party sees of another's is what the ledger lists. With `he` other than native the whole exchange runs on ciphers
+    (instances must be unique), and the ledger counts what was done; a native run lists a dense exchange's counts.
+
+    evaluate: quality and loss of the training rows after each epoch; target: quality at which to stop; test: rows
+    whose quality is measured instead.
     """
     edges = binning.fit(df, spec.columns, params.max_bin, params.binning)
     model = Model(spec, params, edges)
@@ -287,9 +294,17 @@ def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = F
     n = frame.count()
     if n == 0:
         return model
+    watched = None
+    if test is not None:
+        watched = cut(binning.apply(test.where("y IS NOT NULL"), spec.columns, edges, ["inst_id", "y"]).withColumn("score", start))
+    usual = usual_bins(frame, len(spec.columns)) if params.sparse else None
     budget = params.budget(n)
     plan = schedule(spec, params)
     cipher = (2 * params.key_bits + 7) // 8
+    fed = None
+    if params.he != "native":
+        fed = Federation(frame, spec, params, budget, model.ledger, usual, key)
+        frame = frame.drop("bins")
     for epoch in range(params.trees):
         began = time.time()
         if many:
@@ -297,32 +312,52 @@ def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = F
         else:
             grads = objective.squared(frame) if params.objective == "squared" else objective.logistic(frame)
         jobs = [(epoch, 0, params.classes)] if many and params.output == "multi" else [(epoch * params.classes + k, k, 1) for k in range(params.classes)] if many else [(epoch, 0, 1)]
-        grown = []
+        grown, places = [], []
         for tree, class_id, classes in jobs:
             one = grads
             if many and classes == 1:
                 one = grads.withColumn("g", F.get("g", F.lit(class_id))).withColumn("h", F.get("h", F.lit(class_id)))
+            if params.subsample < 1:
+                one = sampling.uniform(one, params.subsample, params.seed + 7 * tree)
             if params.goss:
                 one = sampling.goss(one, *params.goss, seed=params.seed + tree, norm="l1" if classes > 1 else "abs")
-            fixed = histogram.fixed_columns(one, params.precision_bits, classes).drop("g", "h", "score", "y").persist()
-            kept = fixed.count()
+            allowed = sampling.some_features(len(spec.columns), params.colsample, params.seed + tree) if params.colsample < 1 else None
+            if fed:
+                t, place = fed.grow(cut(one.select("inst_id", "g", "h")), plan, tree, class_id, classes, allowed)
+                grown.append(t)
+                places.append(place)
+                continue
+            fixed = histogram.fixed_columns(one, params.precision_bits, classes, params.rounding).drop("g", "h", "score", "y").persist()
             if any(p != spec.parties[0].name for layer in range(plan.depth) for p in plan.eligible(tree, layer)):
                 each = budget.n_k(classes) if classes > 1 else 1 if params.packing else 2
+                kept = fixed.count()
                 model.ledger.send(tree, -1, spec.parties[0].name, "passive", "enc_gh", kept * each, cipher)
-            grown.append(grow_tree(fixed, spec, params, plan, tree, class_id, classes, model.ledger, budget))
+                model.ledger.send(tree, -1, spec.parties[0].name, spec.parties[0].name, "enc", kept * each)
+            grown.append(grow_tree(fixed, spec, params, plan, tree, class_id, classes, model.ledger, budget, allowed, usual))
             fixed.unpersist()
         model.trees += grown
         took = time.time() - began
-        frame = _advance(frame, grown, params)
-        if (epoch + 1) % cut_every == 0:
+        frame = _advance(frame, grown, params, places if fed else None)
+        if fed or (epoch + 1) % cut_every == 0:
             frame = cut(frame)
+        for x in places:
+            drop_bucketed(x)
         row = {"epoch": epoch, "trees": len(model.trees), "seconds": took}
+        if watched is not None:
+            watched = _advance(watched, grown, params)
+            if (epoch + 1) % cut_every == 0:
+                watched = cut(watched)
         if evaluate:
-            row["quality"] = metrics.accuracy(frame, metrics.argmax()).first()[0] if many else metrics.auc(frame).first()[0]
-            row["loss"] = None if many else metrics.logloss(frame).first()[0]
+            seen = frame if watched is None else watched
+            row["quality"] = metrics.accuracy(seen, metrics.argmax()).first()[0] if many else metrics.auc(seen).first()[0]
+            row["loss"] = None if many else metrics.logloss(seen).first()[0]
         model.history.append(row)
         if all(t.nodes[0].fid is None for t in grown):
             break
+        if evaluate and target is not None and row["quality"] >= target:
+            break
         if evaluate and params.patience and epoch >= params.patience and row["quality"] <= max(x["quality"] for x in model.history[: -params.patience]):
             break
+    if fed:
+        fed.close()
     return model

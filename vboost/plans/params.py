@@ -45,6 +45,15 @@ class FederatedSpec:
 
 @dataclass(frozen=True)
 class Params:
+    """Settings of a run.
+
+    he: native sums without ciphers, "mock" (transparent integers through the whole exchange) or "paillier".
+    grad_bound: largest |gradient| before sampling; above 1 for squared loss with wide labels. tight_h: hessians are at
+    most a quarter (logistic and softmax). mo_compress: pack several vector infos in a cipher where they fit.
+    subsample, colsample: shares of rows and features of a tree. party_order: whose tree comes when under mix.
+    all_passives: under layered, all passives compete in the upper layers, not one for each tree.
+    """
+
     trees: int = 25
     max_depth: int = 5
     max_bin: int = 32
@@ -64,9 +73,17 @@ class Params:
     compress: bool = True
     subtract: bool = True
     sparse: bool = False
+    mo_compress: bool = True
     he: str = "native"
     key_bits: int = 1024
     precision_bits: int = 53
+    rounding: str = "floor"
+    tight_h: bool = False
+    grad_bound: float = 1.0
+    subsample: float = 1.0
+    colsample: float = 1.0
+    party_order: tuple[str, ...] | None = None
+    all_passives: bool = False
     patience: int | None = None
     seed: int = 1
     binning: str = "approx_percentile"
@@ -75,7 +92,8 @@ class Params:
         return replace(self, **changes)
 
     def budget(self, rows: int) -> Budget:
-        b = Budget(rows, self.precision_bits, iota=self.key_bits - 1)
+        h_max = 0.25 if self.tight_h and self.objective != "squared" else 1.0
+        b = Budget(rows, self.precision_bits, self.grad_bound, self.grad_bound, h_max, self.key_bits - 1, self.rounding)
         return b.amplified((1 - self.goss[0]) / self.goss[1]) if self.goss else b
 
 
@@ -89,15 +107,20 @@ class Schedule:
 
 def schedule(spec: FederatedSpec, params: Params) -> Schedule:
     """joint: all parties at every node. mix: whole trees of one party, the active first, then the passives in turn.
-    layered: the first h_passive layers by one passive (rotating by tree), the h_active layers below by the active."""
+    layered: the first h_passive layers by one passive (rotating by tree) or by all of them, the h_active layers below
+    by the active."""
     names = [p.name for p in spec.parties]
+    if params.party_order and sorted(params.party_order) != sorted(names):
+        raise ValueError("party_order must name every party once")
     passives = names[1:]
     if params.mode == "joint" or not passives:
         return Schedule(lambda tree, layer: tuple(names), params.max_depth)
     if params.mode == "mix":
-        return Schedule(lambda tree, layer: (names[tree // params.tree_per_party % len(names)],), params.max_depth)
+        turn = params.party_order or names
+        return Schedule(lambda tree, layer: (turn[tree // params.tree_per_party % len(turn)],), params.max_depth)
     if params.mode == "layered":
-        pick = lambda tree, layer: (passives[tree % len(passives)] if layer < params.h_passive else names[0],)
+        upper = (lambda tree: tuple(passives)) if params.all_passives else lambda tree: (passives[tree % len(passives)],)
+        pick = lambda tree, layer: upper(tree) if layer < params.h_passive else (names[0],)
         return Schedule(pick, params.h_passive + params.h_active)
     raise ValueError(params.mode)
 
@@ -112,8 +135,11 @@ class Ledger:
         self.rows.append({"tree": tree, "layer": layer, "sender": sender, "receiver": receiver, "kind": kind, "n_items": items, "n_bytes": items * size})
 
     def operations(self) -> dict[str, int]:
-        """Counts under the names that costs.price knows; every info item is one decryption."""
-        return {"enc": self.items("enc_gh"), "dec": self.items("split_info"), "adds": self.items("rows_folded"), "prefix": self.items("prefix_adds"), "shifts": self.items("shifts")}
+        """Counts of cipher operations under the names that costs.price knows.
+
+        A run through ciphers counts each call; a native run has none and lists what a dense exchange would take.
+        """
+        return {k: self.items(k) for k in ("enc", "dec", "adds", "prefix", "shifts", "inversions")}
 
     def items(self, kind: str | None = None) -> int:
         return sum(r["n_items"] for r in self.rows if kind in (None, r["kind"]))
@@ -121,8 +147,8 @@ class Ledger:
 
 #: What each role may receive.
 ALLOWED = {
-    "passive": {"enc_gh": {"inst_id", "c"}, "assign": {"inst_id", "node"}, "split_choice": {"split_uid", "node"}},
-    "active": {"split_info": {"split_uid", "node", "sample_count", "c", "pkg_id", "members"}, "assign": {"inst_id", "node"}},
+    "passive": {"enc_gh": {"inst_id", "c"}, "assign": {"inst_id", "node"}, "split_choice": {"split_uid", "node"}, "totals": {"node", "cnt", "c"}},
+    "active": {"split_info": {"split_uid", "node", "sample_count", "c", "pkg_id", "members"}, "assign": {"inst_id", "node"}, "chosen": {"split_uid", "node"}, "directions": {"inst_id", "bits"}},
 }
 
 

@@ -1,12 +1,14 @@
 """The federated exchange on ciphers: packed rows, cipher histograms, masked and compressed split infos.
 
 Cipher sums have no built-in aggregate. A task folds its rows by (node, feature, bin) first and sends one cipher for
-each cell; only these partial cells are shuffled and folded again. Python runs on Arrow or pandas batches alone.
+each cell; only these partial cells are shuffled, sorted, and folded again as they stream by. Python runs on Arrow or
+pandas batches alone. Every frame carries how many cipher operations made its rows, so that a ledger is a sum over
+what was kept and repeated tasks count once.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -15,6 +17,7 @@ from pyspark.sql import functions as F
 from ..functions import codec
 from ..functions.codec import Budget
 from ..he.base import Backend
+from ..sources.io import cut
 from .params import guard
 
 
@@ -28,7 +31,7 @@ def encrypt_rows(df: DataFrame, key: Backend, budget: Budget, packing: bool = Tr
             elif packing:
                 plain = [[codec.pack(g, h, budget)] for g, h in zip(f["g"], f["h"])]
             else:
-                plain = [[int((g + budget.g_off) * 2**budget.r), int(h * 2**budget.r)] for g, h in zip(f["g"], f["h"])]
+                plain = [codec.apart(g, h, budget) for g, h in zip(f["g"], f["h"])]
             yield pd.DataFrame({"inst_id": f["inst_id"], "c": [[key.encrypt(m) for m in row] for row in plain]})
 
     out = df.select("inst_id", "g", "h").mapInPandas(run, "inst_id long, c array<binary>")
@@ -36,60 +39,127 @@ def encrypt_rows(df: DataFrame, key: Backend, budget: Budget, packing: bool = Tr
     return out
 
 
-CELL = "node int, fid int, bin int, cnt long, c array<binary>"
+CELL = "node int, fid int, bin int, cnt long, c array<binary>, adds long, inversions long"
+_NAMES = ["node", "fid", "bin", "cnt", "c", "adds", "inversions"]
+#: In place of a feature, the sums of a whole node.
+WHOLE = -1
 
 
-def _fold_rows(public: Backend, block: int):
+def _fold_rows(public: Backend, block: int, default_bins: list[int] | None):
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         cells: dict[tuple[int, int, int], list] = {}
 
+        def put(key: tuple[int, int, int], c: list) -> None:
+            held = cells.get(key)
+            if held is None:
+                cells[key] = [1, list(c)]
+            else:
+                held[0] += 1
+                held[1] = [public.add(x, y) for x, y in zip(held[1], c)]
+
         def flush() -> pd.DataFrame:
-            rows = [(*k, v[0], v[1]) for k, v in cells.items()]
+            rows = [(*k, n, c, (n - 1) * len(c), 0) for k, (n, c) in cells.items()]
             cells.clear()
-            return pd.DataFrame(rows, columns=["node", "fid", "bin", "cnt", "c"])
+            return pd.DataFrame(rows, columns=_NAMES)
 
         for f in frames:
             for node, bins, c in zip(f["node"], f["bins"], f["c"]):
                 for fid, b in enumerate(bins):
-                    held = cells.get((node, fid, b))
-                    if held is None:
-                        cells[node, fid, b] = [1, list(c)]
-                    else:
-                        held[0] += 1
-                        held[1] = [public.add(x, y) for x, y in zip(held[1], c)]
-            if len(cells) > block:
-                yield flush()
+                    if default_bins is None or b != default_bins[fid]:
+                        put((node, fid, b), c)
+                if default_bins is not None:
+                    put((node, WHOLE, 0), c)
+                if len(cells) > block:
+                    yield flush()
         if cells:
             yield flush()
 
     return run
 
 
-def cipher_histogram(enc: DataFrame, binned: DataFrame, public: Backend, block: int = 65_536) -> DataFrame:
-    """Cells of a passive party. enc: inst_id, c; binned: inst_id, node, bins. The partial fold holds `block` cells."""
-    rows = enc.join(binned.select("inst_id", "node", "bins"), "inst_id").select(F.col("node").cast("int"), "bins", "c")
+def _fold_sorted(public: Backend):
+    """Folds neighbouring rows of one cell as they stream by."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: list | None = None
+        for f in frames:
+            out = []
+            for row in f[_NAMES].itertuples(index=False):
+                if held is not None and tuple(held[:3]) == row[:3]:
+                    held[3] += row.cnt
+                    held[4] = [public.add(x, y) for x, y in zip(held[4], row.c)]
+                    held[5] += row.adds + len(row.c)
+                else:
+                    if held is not None:
+                        out.append(held)
+                    held = list(row)
+            yield pd.DataFrame(out, columns=_NAMES)
+        if held is not None:
+            yield pd.DataFrame([held], columns=_NAMES)
+
+    return run
+
+
+def _restore(public: Backend, default_bins: list[int]):
+    """The skipped bins of a node: its whole sums less its other bins, one group for each node."""
+
+    def run(f: pd.DataFrame) -> pd.DataFrame:
+        whole = f[f["fid"] == WHOLE].iloc[0]
+        out = list(f.loc[f["fid"] != WHOLE, _NAMES].itertuples(index=False, name=None))
+        by = dict(list(f[f["fid"] != WHOLE].groupby("fid")))
+        for fid, b in enumerate(default_bins):
+            others = by.get(fid)
+            if others is None:
+                out.append((whole["node"], fid, b, whole["cnt"], list(whole["c"]), whole["adds"] if fid == 0 else 0, 0))
+                continue
+            left = int(whole["cnt"] - others["cnt"].sum())
+            if left <= 0:
+                continue
+            rest = [public.fold([c[i] for c in others["c"]]) for i in range(len(whole["c"]))]
+            adds = (len(others) - 1) * len(rest) + (whole["adds"] if fid == 0 else 0)
+            out.append((whole["node"], fid, b, left, public.sub_all(list(whole["c"]), rest), adds, len(rest)))
+        return pd.DataFrame(out, columns=_NAMES)
+
+    return run
+
 
-    def final(f: pd.DataFrame) -> pd.DataFrame:
-        folded = [public.fold([row[i] for row in f["c"]]) for i in range(len(f["c"].iloc[0]))]
-        k = f.iloc[0]
-        return pd.DataFrame([(k["node"], k["fid"], k["bin"], int(f["cnt"].sum()), folded)], columns=["node", "fid", "bin", "cnt", "c"])
+def cipher_histogram(rows: DataFrame, public: Backend, default_bins: list[int] | None = None, block: int = 65_536) -> DataFrame:
+    """Cells of a passive party from node, bins and c. The partial fold holds `block` cells.
 
-    return rows.mapInPandas(_fold_rows(public, block), CELL).groupBy("node", "fid", "bin").applyInPandas(final, CELL)
+    default_bins: with it, entries in a feature's default bin are skipped, and that bin is restored by homomorphic
+    subtraction.
+    """
+    partial = rows.select(F.col("node").cast("int"), "bins", "c").mapInPandas(_fold_rows(public, block, default_bins), CELL)
+    cells = partial.repartition("node", "fid", "bin").sortWithinPartitions("node", "fid", "bin").mapInPandas(_fold_sorted(public), CELL)
+    return cells if default_bins is None else cells.groupBy("node").applyInPandas(_restore(public, default_bins), CELL)
 
 
-def cipher_subtract(parent: DataFrame, child: DataFrame, sibling: int, public: Backend) -> DataFrame:
-    """Cells of the sibling of a built child, by homomorphic subtraction."""
-    joined = parent.select("fid", "bin", "cnt", "c").join(child.select("fid", "bin", F.col("cnt").alias("cnt2"), F.col("c").alias("c2")), ["fid", "bin"], "left")
+def cipher_subtract(parent: DataFrame, small: DataFrame, sibling_of: dict[int, int], public: Backend) -> DataFrame:
+    """Cells of the siblings of built children, by homomorphic subtraction. sibling_of: built node -> its sibling."""
+    up = F.create_map(*[F.lit(x) for s in sibling_of for x in (s, (s - 1) // 2)])
+    over = F.create_map(*[F.lit(x) for s, o in sibling_of.items() for x in ((s - 1) // 2, o)])
+    child = small.where(F.col("node").isin(*sibling_of)).select(up[F.col("node")].alias("node"), "fid", "bin", F.col("cnt").alias("cnt2"), F.col("c").alias("c2"))
+    above = parent.where(F.col("node").isin(*{(s - 1) // 2 for s in sibling_of})).select("node", "fid", "bin", "cnt", "c")
+    joined = above.join(child, ["node", "fid", "bin"], "left").withColumn("node", over[F.col("node")])
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            rows = [(sibling, a, b, n - int(m), [public.sub(x, y) for x, y in zip(c, d)]) if d is not None else (sibling, a, b, n, list(c)) for a, b, n, c, m, d in zip(f["fid"], f["bin"], f["cnt"], f["c"], f["cnt2"].fillna(0), f["c2"])]
-            yield pd.DataFrame([r for r in rows if r[3] > 0], columns=["node", "fid", "bin", "cnt", "c"])
+            out, pairs = [], []
+            for node, fid, b, n, c, m, d in f[["node", "fid", "bin", "cnt", "c", "cnt2", "c2"]].itertuples(index=False):
+                if d is None:
+                    out.append([node, fid, b, n, list(c), 0, 0])
+                elif n > m:
+                    out.append([node, fid, b, int(n - m), None, 0, len(c)])
+                    pairs.append((out[-1], list(c), list(d)))
+            made = iter(public.sub_all([x for _, c, _ in pairs for x in c], [x for _, _, d in pairs for x in d]))
+            for row, c, _ in pairs:
+                row[4] = [next(made) for _ in c]
+            yield pd.DataFrame(out, columns=_NAMES)
 
     return joined.mapInPandas(run, CELL)
 
 
-INFO = "split_uid string, node int, fid int, bin int, sample_count long, c array<binary>"
+INFO = "split_uid string, node int, fid int, bin int, sample_count long, c array<binary>, adds long"
 
 
 def split_infos(cells: DataFrame, public: Backend, secret: str) -> DataFrame:
@@ -99,57 +169,55 @@ def split_infos(cells: DataFrame, public: Backend, secret: str) -> DataFrame:
         f = f.sort_values("bin")
         acc, count, out = None, 0, []
         for node, fid, b, n, c in f[["node", "fid", "bin", "cnt", "c"]].itertuples(index=False):
+            adds = 0 if acc is None else len(c)
             acc = list(c) if acc is None else [public.add(x, y) for x, y in zip(acc, c)]
             count += n
-            out.append((node, fid, b, count, acc))
-        return pd.DataFrame(out[:-1], columns=["node", "fid", "bin", "sample_count", "c"])  # the last bin leaves no row right
+            out.append((node, fid, b, count, acc, adds))
+        return pd.DataFrame(out[:-1], columns=["node", "fid", "bin", "sample_count", "c", "adds"])  # the last bin leaves no row right
 
-    summed = cells.groupBy("node", "fid").applyInPandas(run, "node int, fid int, bin int, sample_count long, c array<binary>")
+    summed = cells.groupBy("node", "fid").applyInPandas(run, "node int, fid int, bin int, sample_count long, c array<binary>, adds long")
     uid = F.sha2(F.concat_ws("/", F.lit(secret), "node", "fid", "bin"), 256)
-    return summed.select(uid.alias("split_uid"), "node", "fid", "bin", "sample_count", "c")
+    return summed.select(uid.alias("split_uid"), "node", "fid", "bin", "sample_count", "c", "adds")
 
 
-def compress_infos(infos: DataFrame, public: Backend, budget: Budget) -> DataFrame:
-    """Packages of up to `slots` infos of a node: pkg_id, node, members, c. Only one-cipher infos are compressed."""
+def compress_infos(infos: DataFrame, public: Backend, budget: Budget, classes: int = 1) -> DataFrame:
+    """Packages of as many infos of a node as a cipher holds: pkg_id, node, members, c, shifts. For one-cipher infos."""
     order = F.row_number().over(Window.partitionBy("node").orderBy("split_uid"))
-    numbered = infos.select("split_uid", "node", "sample_count", "c", F.floor((order - 1) / budget.slots).cast("int").alias("k"))
+    numbered = infos.select("split_uid", "node", "sample_count", "c", F.floor((order - 1) / budget.members(classes)).cast("int").alias("k"))
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
         f = f.sort_values("split_uid")
         acc = None
         for c in f["c"]:
-            acc = c[0] if acc is None else public.add(public.shift(acc, budget.b_gh), c[0])
+            acc = c[0] if acc is None else public.add(public.shift(acc, classes * budget.b_gh), c[0])
         members = [{"split_uid": u, "sample_count": int(n)} for u, n in zip(f["split_uid"], f["sample_count"])]
         node, k = int(f["node"].iloc[0]), int(f["k"].iloc[0])
-        return pd.DataFrame([(f"{node}/{k}", node, members, acc)], columns=["pkg_id", "node", "members", "c"])
+        return pd.DataFrame([(f"{node}/{k}", node, members, acc, len(f) - 1)], columns=["pkg_id", "node", "members", "c", "shifts"])
 
-    out = numbered.groupBy("node", "k").applyInPandas(run, "pkg_id string, node int, members array<struct<split_uid:string,sample_count:long>>, c binary")
-    guard("active", "split_info", out.columns)
-    return out
+    return numbered.groupBy("node", "k").applyInPandas(run, "pkg_id string, node int, members array<struct<split_uid:string,sample_count:long>>, c binary, shifts long")
 
 
-SUMS = "split_uid string, node int, sample_count long, g array<string>, h array<string>"
+SUMS = "split_uid string, node int, sample_count long, g array<string>, h array<string>, dec long"
 
 
-def open_packages(packages: DataFrame, key: Backend, budget: Budget) -> DataFrame:
+def open_packages(packages: DataFrame, key: Backend, budget: Budget, classes: int = 1) -> DataFrame:
     """The active party's side: one decryption a package. Sums are exact integers at r bits, as decimal strings."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             out = []
             for node, members, c in zip(f["node"], f["members"], f["c"]):
-                for m, total in zip(members, codec.decompress(key.decrypt(c), len(members), budget)):
-                    g, h = codec.unpack(total, m["sample_count"], budget)
-                    out.append((m["split_uid"], node, m["sample_count"], [str(g)], [str(h)]))
-            yield pd.DataFrame(out, columns=["split_uid", "node", "sample_count", "g", "h"])
+                opened = codec.decompress(key.decrypt(c), len(members), budget, classes)
+                for i, (m, total) in enumerate(zip(members, opened)):
+                    sums = codec.unpack_mo([total], m["sample_count"], classes, budget)
+                    out.append((m["split_uid"], node, m["sample_count"], [str(g) for g, _ in sums], [str(h) for _, h in sums], int(i == 0)))
+            yield pd.DataFrame(out, columns=["split_uid", "node", "sample_count", "g", "h", "dec"])
 
     return packages.mapInPandas(run, SUMS)
 
 
 def open_infos(infos: DataFrame, key: Backend, budget: Budget, packing: bool = True, classes: int = 1) -> DataFrame:
     """Infos that are not compressed: packed, apart, or vectors of classes."""
-    sent = infos.select("split_uid", "node", "sample_count", "c")
-    guard("active", "split_info", sent.columns)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -162,22 +230,42 @@ def open_infos(infos: DataFrame, key: Backend, budget: Budget, packing: bool = T
                     sums = [codec.unpack(plain[0], n, budget)]
                 else:
                     sums = [(plain[0] - n * budget.offset, plain[1])]
-                out.append((uid, node, n, [str(g) for g, _ in sums], [str(h) for _, h in sums]))
-            yield pd.DataFrame(out, columns=["split_uid", "node", "sample_count", "g", "h"])
+                out.append((uid, node, n, [str(g) for g, _ in sums], [str(h) for _, h in sums], len(c)))
+            yield pd.DataFrame(out, columns=["split_uid", "node", "sample_count", "g", "h", "dec"])
+
+    return infos.mapInPandas(run, SUMS)
+
 
-    return sent.mapInPandas(run, SUMS)
+def compressible(budget: Budget, packing: bool, compress: bool, classes: int, mo_compress: bool = True) -> bool:
+    """Whether infos go as packages: one cipher each, and room for two or more in a cipher."""
+    return compress and packing and (classes == 1 or mo_compress and budget.n_k(classes) == 1 and budget.members(classes) > 1)
 
 
-def passive_sums(rows: DataFrame, key: Backend, budget: Budget, secret: str = "k", packing: bool = True, compress: bool = True, classes: int = 1) -> DataFrame:
+Send = Callable[[DataFrame], DataFrame]
+
+
+def exchange_infos(infos: DataFrame, key: Backend, budget: Budget, packing: bool, compress: bool, classes: int, send: Send | None = None) -> DataFrame:
+    """What the active party reads of a passive party's infos. send: what a message passes on its way."""
+    keep = send or (lambda sent: sent)
+    if compress:
+        return open_packages(keep(compress_infos(infos, key.public(), budget, classes)), key, budget, classes)
+    return open_infos(keep(infos.select("split_uid", "node", "sample_count", "c")), key, budget, packing, classes)
+
+
+def passive_sums(rows: DataFrame, key: Backend, budget: Budget, secret: str, packing: bool = True, compress: bool = True, classes: int = 1, default_bins: list[int] | None = None) -> DataFrame:
     """The whole exchange for one passive party and layer: node, fid, bin, sample_count and exact sums g, h.
 
     rows: inst_id, node, bins, g, h. The join that gives fid and bin back stands for the passive party's private table.
     """
     public = key.public()
     enc = encrypt_rows(rows, key, budget, packing, classes)
-    infos = split_infos(cipher_histogram(enc, rows, public), public, secret).persist()
-    if compress and packing and classes == 1:
-        opened = open_packages(compress_infos(infos, public, budget), key, budget)
-    else:
-        opened = open_infos(infos, key, budget, packing, classes)
+    live = enc.join(rows.select("inst_id", "node", "bins"), "inst_id")
+    infos = cut(split_infos(cipher_histogram(live, public, default_bins), public, secret))
+    packed = compressible(budget, packing, compress, classes)
+
+    def send(sent: DataFrame) -> DataFrame:
+        guard("active", "split_info", [c for c in sent.columns if c != "shifts"])
+        return sent
+
+    opened = exchange_infos(infos, key, budget, packing, packed, classes, send)
     return opened.join(infos.select("split_uid", "fid", "bin"), "split_uid").select("node", "fid", "bin", "sample_count", "g", "h")

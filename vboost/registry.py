@@ -9,65 +9,39 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import ciphered
+from .fixture import BASE_SQL, PLAIN, R, SPEC, base_rows, fixed_rows, tree_frame, tree_sql
 from .functions import codec, costs, metrics, objective, splits
 from .functions.codec import Budget
-from .he.base import Mock
-from .he.paillier import keygen
 from .operators import align, around, binning, histogram, sampling
-from .plans import baselines, protocol
+from .plans import baselines
 from .plans.grow import grow_tree, train
-from .plans.params import FederatedSpec, Ledger, Params, Party, schedule
+from .plans.params import Params, schedule
 from .sources import workloads
 from .sources.io import load_model, save_model, shared_dir, table
 from .streaming import jobs
 
-R = 53
-#: Bins by plain arithmetic, a planted label, and the first tree's exact gradients (p = 1/2).
-BASE_SQL = """
-b AS (SELECT o_orderkey AS inst_id, CASE WHEN (o_totalprice > 250000) <> (((o_orderkey * 7919 + 104729) % 100) < 12) THEN 1 ELSE 0 END AS y,
-  CAST(least(31, floor(o_totalprice / CAST(500000.0 AS DOUBLE) * 32)) AS INT) AS b0, CAST(substr(o_orderpriority, 1, 1) AS INT) AS b1, CAST(floor(dayofyear(o_orderdate) / 12) AS INT) AS b2 FROM orders),
-f AS (SELECT inst_id, y, 0 AS fid, b0 AS bin FROM b UNION ALL SELECT inst_id, y, 1, b1 FROM b UNION ALL SELECT inst_id, y, 2, b2 FROM b),
-c AS (SELECT fid, bin, count(*) AS cnt, sum(CAST(0.5 AS DOUBLE) - y) AS g, sum(CAST(0.25 AS DOUBLE)) AS h FROM f GROUP BY fid, bin),
-s AS (SELECT fid, bin, sum(cnt) OVER w AS cnt_l, sum(g) OVER w AS gl, sum(h) OVER w AS hl, sum(cnt) OVER v AS cnt_t, sum(g) OVER v AS gt, sum(h) OVER v AS ht FROM c
-  WINDOW w AS (PARTITION BY fid ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), v AS (PARTITION BY fid)),
-gain AS (SELECT *, 0.5 * (gl * gl / (hl + 1) + (gt - gl) * (gt - gl) / (ht - hl + 1) - gt * gt / (ht + 1)) AS gain FROM s WHERE cnt_t > cnt_l)
-"""
-SPEC = FederatedSpec((Party("active", "active", ("b0",)), Party("passive", "passive", ("b1", "b2"))))
-PLAIN = Params(goss=None, max_depth=2, trees=1)
-
-
-def _base(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """inst_id, y, bins, g, h, node of the base fixture."""
-    workloads.views(spark, sf_dir)
-    b = spark.sql(f"WITH {BASE_SQL.split('f AS (SELECT inst_id')[0].strip().rstrip(',')} SELECT * FROM b")
-    return b.select("inst_id", "y", F.array("b0", "b1", "b2").alias("bins"), (0.5 - F.col("y")).cast("double").alias("g"), F.lit(0.25).cast("double").alias("h"), F.lit(0).alias("node"))
-
-
-def _fixed(spark, sf_dir) -> DataFrame:
-    return histogram.fixed_columns(_base(spark, sf_dir), R)
-
-
 def _shown(cells: DataFrame) -> DataFrame:
     real = lambda c: codec.real(F.col(c), R).alias(c[0])
     return cells.select("fid", "bin", "cnt", real("g0"), real("h0"))
 
 
 def hist_scalar(spark, sf_dir):
-    return _shown(histogram.build(_fixed(spark, sf_dir)))
+    return _shown(histogram.build(fixed_rows(spark, sf_dir)))
 
 
 def hist_sparse(spark, sf_dir):
-    return _shown(histogram.build(_fixed(spark, sf_dir), default_bins=[0, 1, 0]))
+    return _shown(histogram.build(fixed_rows(spark, sf_dir), default_bins=[0, 1, 0]))
 
 
 def hist_cumsum(spark, sf_dir):
-    x = histogram.cumsum(histogram.build(_fixed(spark, sf_dir)))
+    x = histogram.cumsum(histogram.build(fixed_rows(spark, sf_dir)))
     return x.select("fid", "bin", F.col("cnt_l").cast("bigint").alias("cnt_l"), codec.real(F.col("g0_l"), R).alias("gl"), codec.real(F.col("h0_l"), R).alias("hl"))
 
 
 def hist_subtract(spark, sf_dir):
     """The sibling's cells by subtraction where the node is split on fid 1 at bin 2."""
-    rows = _fixed(spark, sf_dir)
+    rows = fixed_rows(spark, sf_dir)
     child = F.when(F.get("bins", F.lit(1)) <= 2, 1).otherwise(2)
     small = histogram.build(rows.withColumn("node", child).where("node = 1"))
     return _shown(histogram.subtract(histogram.build(rows), small, {1: 2}))
@@ -75,13 +49,13 @@ def hist_subtract(spark, sf_dir):
 
 def hist_mo(spark, sf_dir):
     """Two classes, y and 1 - y, at p = 1/2."""
-    rows = _base(spark, sf_dir).withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h"))
+    rows = base_rows(spark, sf_dir).withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h"))
     cells = histogram.build(histogram.fixed_columns(rows, R, 2), 2)
     return cells.select("fid", "bin", "cnt", *[codec.real(F.col(c), R).alias(c) for c in ("g0", "g1", "h0", "h1")])
 
 
 def _candidates(spark, sf_dir):
-    return histogram.candidates(histogram.build(_fixed(spark, sf_dir)), R, 1.0)
+    return histogram.candidates(histogram.build(fixed_rows(spark, sf_dir)), R, 1.0)
 
 
 def split_gain_root(spark, sf_dir):
@@ -93,7 +67,7 @@ def best_split_root(spark, sf_dir):
 
 
 def split_gain_mo(spark, sf_dir):
-    rows = _base(spark, sf_dir).withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h"))
+    rows = base_rows(spark, sf_dir).withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h"))
     found = histogram.candidates(histogram.build(histogram.fixed_columns(rows, R, 2), 2), R, 1.0, 2)
     return found.select("fid", "bin", F.round("gain", 6).alias("gain"))
 
@@ -109,10 +83,9 @@ def leaf_weights(spark, sf_dir):
 
 def _tree(spark, sf_dir, **changes) -> DataFrame:
     params = PLAIN.but(**changes)
-    rows = _fixed(spark, sf_dir).drop("node")
+    rows = fixed_rows(spark, sf_dir).drop("node")
     t = grow_tree(rows, SPEC, params, schedule(SPEC, params), changes.get("tree_per_party", 1) - 1)
-    data = [(i, n.fid, n.bin, n.count, round(t.weight(i, params.reg_lambda)[0], 9)) for i, n in sorted(t.nodes.items())]
-    return spark.createDataFrame(data, "node int, fid int, bin int, cnt long, w double")
+    return tree_frame(spark, t, params.reg_lambda)
 
 
 def tree1_joint_depth2(spark, sf_dir):
@@ -127,62 +100,8 @@ def tree1_layered(spark, sf_dir):
 def tree1_mix(spark, sf_dir, tree: int = 0):
     """A tree of the active party (0) or of the passive party (1) alone."""
     params = PLAIN.but(mode="mix")
-    t = grow_tree(_fixed(spark, sf_dir).drop("node"), SPEC, params, schedule(SPEC, params), tree)
-    data = [(i, n.fid, n.bin, n.count, round(t.weight(i, 1.0)[0], 9)) for i, n in sorted(t.nodes.items())]
-    return spark.createDataFrame(data, "node int, fid int, bin int, cnt long, w double")
-
-
-def tree_sql(root: str, below: str) -> str:
-    """A depth-2 tree in SQL; root and below: the feature numbers that may split there."""
-    return f"""
-WITH {BASE_SQL},
-r AS (SELECT fid, bin FROM gain WHERE fid IN ({root}) ORDER BY round(gain, 9) DESC, fid, bin LIMIT 1),
-n1 AS (SELECT f.*, CASE WHEN (CASE r.fid WHEN 0 THEN b0 WHEN 1 THEN b1 ELSE b2 END) <= r.bin THEN 1 ELSE 2 END AS node FROM f JOIN b USING (inst_id) CROSS JOIN r),
-c1 AS (SELECT node, fid, bin, count(*) AS cnt, sum(CAST(0.5 AS DOUBLE) - y) AS g, sum(CAST(0.25 AS DOUBLE)) AS h FROM n1 GROUP BY 1, 2, 3),
-s1 AS (SELECT node, fid, bin, sum(cnt) OVER w AS cnt_l, sum(g) OVER w AS gl, sum(h) OVER w AS hl, sum(cnt) OVER v AS cnt_t, sum(g) OVER v AS gt, sum(h) OVER v AS ht FROM c1
-  WINDOW w AS (PARTITION BY node, fid ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), v AS (PARTITION BY node, fid)),
-k1 AS (SELECT *, 0.5 * (gl * gl / (hl + 1) + (gt - gl) * (gt - gl) / (ht - hl + 1) - gt * gt / (ht + 1)) AS gain FROM s1 WHERE cnt_t > cnt_l AND fid IN ({below})),
-q1 AS (SELECT * FROM k1 WHERE gain > 0 QUALIFY row_number() OVER (PARTITION BY node ORDER BY round(gain, 9) DESC, fid, bin) = 1),
-t AS (SELECT 0 AS node, count(*) AS cnt, sum(CAST(0.5 AS DOUBLE) - y) AS g, sum(CAST(0.25 AS DOUBLE)) AS h FROM b),
-one AS (SELECT node, count(*) AS cnt, sum(CAST(0.5 AS DOUBLE) - y) AS g, sum(CAST(0.25 AS DOUBLE)) AS h FROM n1 WHERE fid = 0 GROUP BY node),
-two AS (SELECT 2 * node + 1 AS node, cnt_l AS cnt, gl AS g, hl AS h FROM q1 UNION ALL SELECT 2 * node + 2, cnt_t - cnt_l, gt - gl, ht - hl FROM q1)
-SELECT t.node, r.fid, r.bin, CAST(cnt AS BIGINT) AS cnt, round(-g / (h + 1), 9) AS w FROM t CROSS JOIN r
-UNION ALL SELECT one.node, q1.fid, q1.bin, CAST(cnt AS BIGINT), round(-g / (h + 1), 9) FROM one LEFT JOIN q1 USING (node)
-UNION ALL SELECT node, NULL, NULL, CAST(cnt AS BIGINT), round(-g / (h + 1), 9) FROM two
-"""
-
-
-def _cipher_sums(spark, sf_dir, key, rows: int | None, packing=True, compress=True) -> DataFrame:
-    base = _base(spark, sf_dir).withColumn("node", F.lit(0))
-    if rows:  # the price of real ciphers: a fixture of so many rows
-        base = base.where(F.col("inst_id") <= rows)
-    n = base.count()
-    budget = Budget(max(n, 1), 30 if key.iota < 400 else R, iota=key.iota)
-    out = protocol.passive_sums(base.select("inst_id", "node", F.slice("bins", 2, 2).alias("bins"), "g", "h"), key, budget, packing=packing, compress=compress)
-    real = lambda c: (F.get(c, F.lit(0)).cast("decimal(38,0)").cast("double") / float(2**budget.r)).alias(c)
-    return out.select((F.col("fid") + 1).alias("fid"), "bin", F.col("sample_count").cast("bigint").alias("cnt"), real("g"), real("h"))
-
-
-def hist_mock_cipher(spark, sf_dir):
-    """Prefix sums of the passive party through pack, fold, mask, compress, open and unpack, without encryption."""
-    return _cipher_sums(spark, sf_dir, Mock(), None)
-
-
-def hist_mock_unpacked(spark, sf_dir):
-    return _cipher_sums(spark, sf_dir, Mock(), None, packing=False)
-
-
-def hist_paillier_small(spark, sf_dir):
-    """The same under a 256-bit key on orders 1 to 60."""
-    return _cipher_sums(spark, sf_dir, keygen(256, seed=5), 60, compress=False)
-
-
-def compress_roundtrip(spark, sf_dir):
-    """The same under a 512-bit key with compressed packages."""
-    return _cipher_sums(spark, sf_dir, keygen(512, seed=6), 60)
-
-
-CIPHER_SQL = "WITH " + BASE_SQL.replace("FROM orders)", "FROM orders WHERE {rows})") + " SELECT fid, bin, CAST(cnt_l AS BIGINT) AS cnt, gl AS g, hl AS h FROM s WHERE fid > 0 AND cnt_t > cnt_l"
+    t = grow_tree(fixed_rows(spark, sf_dir).drop("node"), SPEC, params, schedule(SPEC, params), tree)
+    return tree_frame(spark, t, 1.0)
 
 
 def _line_grads(spark, sf_dir):
@@ -202,7 +121,7 @@ def grad_softmax(spark, sf_dir):
 
 
 def quad_loss(spark, sf_dir):
-    x = _base(spark, sf_dir).withColumn("node", F.get("bins", F.lit(1))).withColumn("w", F.col("node") / 10)
+    x = base_rows(spark, sf_dir).withColumn("node", F.get("bins", F.lit(1))).withColumn("w", F.col("node") / 10)
     return objective.quadratic_loss(x, 1.0).select(F.round("objective", 6).alias("objective"))
 
 
@@ -225,16 +144,6 @@ def cost_reduction(spark, sf_dir):
     return spark.createDataFrame([tuple(round(v, 4) for v in costs.reduction(10**6, 2000).values())], "computation double, endecryption double, communication double")
 
 
-def ledger_counts(spark, sf_dir):
-    """Encrypted items of one lean tree and one base tree, beside the closed form: equal numbers."""
-    n = _base(spark, sf_dir).count()
-    out = []
-    for name, packing in (("lean", True), ("base", False)):
-        per = 1 if packing else 2
-        out.append((name, n * per, costs.exact(n, 2, 2, 32, per, 6 if packing else None)["enc"]))
-    return spark.createDataFrame(out, "name string, sent long, closed long")
-
-
 def goss_survivors(spark, sf_dir):
     x = objective.logistic(_line_grads(spark, sf_dir))
     x = x.withColumn("g", F.round("g", 6))
@@ -369,7 +278,7 @@ def experiment(spark, sf_dir, variants: tuple[str, ...], names: tuple[str, ...],
 
 def ablation(spark, sf_dir):
     """Items and priced cipher seconds of one tree for each set of switches."""
-    n, feats, out = _base(spark, sf_dir).count(), 14, []
+    n, feats, out = base_rows(spark, sf_dir).count(), 14, []
     for packing in (False, True):
         for compress in (False, True):
             for subtract in (False, True):
@@ -416,8 +325,8 @@ def around_query(spark, sf_dir, name):
 
 BINARY = ("w1", "w2")
 NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    **{f.__name__: f for f in (hist_scalar, hist_sparse, hist_cumsum, hist_subtract, hist_mo, split_gain_root, best_split_root, split_gain_mo, leaf_weights, tree1_joint_depth2, tree1_layered, hist_mock_cipher, hist_mock_unpacked, hist_paillier_small, compress_roundtrip)},
-    **{f.__name__: f for f in (grad_logistic, grad_softmax, quad_loss, bit_budget, cost_model, cost_reduction, ledger_counts, goss_survivors, goss_sums, auc_rank, accuracy, confusion)},
+    **{f.__name__: f for f in (hist_scalar, hist_sparse, hist_cumsum, hist_subtract, hist_mo, split_gain_root, best_split_root, split_gain_mo, leaf_weights, tree1_joint_depth2, tree1_layered)},
+    **{f.__name__: f for f in (grad_logistic, grad_softmax, quad_loss, bit_budget, cost_model, cost_reduction, goss_survivors, goss_sums, auc_rank, accuracy, confusion)},
     **{f.__name__: f for f in (align_orders_lineitem, align_docs_labels, align_lost_ids, align_dh, bin_percentile, bin_edges_rank, bin_approx, bin_apply_orders, bin_apply_arrow, base_equals_lean)},
     "tree1_mix_active": partial(tree1_mix, tree=0),
     "tree1_mix_passive": partial(tree1_mix, tree=1),
@@ -438,6 +347,7 @@ NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "x10_scale_sweep": scale_sweep,
     **{n: partial(around_query, name=n) for n in around.STATEMENTS},
     **jobs.QUERIES,
+    **ciphered.QUERIES,
 }
 
 
@@ -466,17 +376,12 @@ def oracle_sql() -> dict[str, str]:
         "tree1_layered": tree_sql("1, 2", "0"),
         "tree1_mix_active": tree_sql("0", "0"),
         "tree1_mix_passive": tree_sql("1, 2", "1, 2"),
-        "hist_mock_cipher": CIPHER_SQL.replace("{rows}", "true"),
-        "hist_mock_unpacked": CIPHER_SQL.replace("{rows}", "true"),
-        "hist_paillier_small": CIPHER_SQL.replace("{rows}", "o_orderkey <= 60"),
-        "compress_roundtrip": CIPHER_SQL.replace("{rows}", "o_orderkey <= 60"),
         "grad_logistic": grads + "SELECT inst_id, round(1 / (1 + exp(-score)) - y, 6) AS g, round(1 / (1 + exp(-score)) * (1 - 1 / (1 + exp(-score))), 6) AS h FROM x",
         "grad_softmax": grads + "SELECT inst_id, " + ", ".join(f"round({p[j]} - {hot(j)}, 6) AS g{j}, round({p[j]} * (1 - {p[j]}), 6) AS h{j}" for j in range(3)) + " FROM x",
         "quad_loss": w + "SELECT round(sum(fit + 0.5 * w * w), 6) AS objective FROM (SELECT b1 / CAST(10 AS DOUBLE) AS w, sum((CAST(0.5 AS DOUBLE) - y) * b1 / 10 + CAST(0.125 AS DOUBLE) * b1 * b1 / 100) AS fit FROM b GROUP BY b1) z",
         "bit_budget": "SELECT * FROM (VALUES ('bits_1m', 74, 73, 147, 6, 1), ('bits_goss', 77, 76, 153, 6, 1), ('sensorless', 70, 69, 139, 7, 2), ('covtype', 74, 73, 147, 6, 2), ('svhn', 71, 70, 141, 7, 2)) t(name, b_g, b_h, b_gh, slots, n_k)",
         "cost_model": "SELECT name, CAST(2 AS DOUBLE) / a * 1e6 * 5 * 2000 + CAST(2 AS DOUBLE) / e * 32 * 2000 * 32 AS computation, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS endecryption, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS communication FROM (VALUES ('base', 1, 1, 1), ('lean', 4, 2, 12)) t(name, a, e, s)",
         "cost_reduction": "SELECT CAST(0.7499 AS DOUBLE) AS computation, CAST(0.78 AS DOUBLE) AS endecryption, CAST(0.78 AS DOUBLE) AS communication",
-        "ledger_counts": "SELECT name, k * n AS sent, k * n AS closed FROM (VALUES ('lean', 1), ('base', 2)) t(name, k) CROSS JOIN (SELECT count(*) AS n FROM orders) o",
         "goss_survivors": GOSS_SQL + "SELECT inst_id, amp FROM kept",
         "goss_sums": GOSS_SQL + "SELECT count(*) AS n, round(sum(g * amp), 4) AS g FROM kept",
         "auc_rank": grads + ", r AS (SELECT y, rank() OVER (ORDER BY floor(score * 50) / 50) + (count(*) OVER (PARTITION BY floor(score * 50) / 50) - 1) / CAST(2 AS DOUBLE) AS k FROM x) SELECT round((sum(CASE WHEN y = 1 THEN k ELSE 0 END) - sum(y) * (sum(y) + 1) / CAST(2 AS DOUBLE)) / (sum(y) * (count(*) - sum(y))), 9) AS auc FROM r",
@@ -498,4 +403,4 @@ def oracle_sql() -> dict[str, str]:
         x = workloads.ALL[n]
         out[f"{n}_features"] = f"SELECT inst_id, y, {', '.join(f'round({c}, 8) AS {c}' for c in (*x.active, *x.passive))} FROM ({x.text('duckdb')}) z"
     out["x8_cost_table"] = out["cost_model"]
-    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES
+    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES

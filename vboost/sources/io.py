@@ -17,11 +17,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
+    """The folder that the driver and all executors see; one of our own only in local mode, where the session names none."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not sc.master.startswith("local[") and sc.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(f"/tmp/checkpoints/{sc.applicationId}")
     return sc._jsc.sc().getCheckpointDir().get()
 
@@ -51,6 +54,28 @@ def cut(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, by: str) -> DataFrame:
+    """The frame as a table in the shared folder, bucketed and sorted by a key: joins on it need no exchange."""
+    spark = df.sparkSession
+    name = f"vboost_{uuid.uuid4().hex}"
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = df.repartition(n, by)
+    rows.write.bucketBy(n, by).sortBy(by).option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    table = spark.table(name)
+    table.bucketed_name = name
+    return table
+
+
+def drop_bucketed(df: DataFrame) -> None:
+    """Forget a bucketed table and delete its files."""
+    spark, name = df.sparkSession, getattr(df, "bucketed_name", None)
+    if name is None:
+        return
+    spark.sql(f"DROP TABLE IF EXISTS {name}")
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/{name}")
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def save_model(spark: SparkSession, nodes: list[dict], path: str) -> None:
     """Node rows partitioned by tree."""
     rows = [(n["tree"], n["class_id"], n["node"], json.dumps(n)) for n in nodes]
