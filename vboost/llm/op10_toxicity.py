@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import materialise, table
+from .common import materialise, small_batches, table
 from .op7_quality_classifier import held_out, labelled_texts
 
 SAMPLE_ROWS = 20_000
@@ -94,6 +94,7 @@ def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 def corpus_counts(docs: DataFrame) -> np.ndarray:
     """Character trigram counts of all texts; at most 28^3 numbers come to the driver."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("text").cast("string")).mapInArrow(_count_batches, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n"))
     out = np.zeros(SYMBOLS**3, np.int64)
     for r in rows.toLocalIterator():
@@ -369,6 +370,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", rows: int =
 
 def score_toxicity(docs: DataFrame, model: ToxicModel) -> DataFrame:
     """doc_id, score for every row; a null or empty text has no evidence. Repeated rows stay."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     return rows.mapInArrow(_evidence_batches(model, ("doc_id",), ("doc_id", "score"), True), "doc_id long, score double")
 

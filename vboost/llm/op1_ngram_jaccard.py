@@ -8,28 +8,32 @@
 3. For the sets that stay, all shingles are counted, and each set is listed under the rarest shingles that any
    partner must share one of (prefix filter). Sets listed together, directly or through others, form a candidate
    group; groups are found by distributed components, and each set goes to its group's task once.
-4. Within a group, signature trees are joined by dual traversal. Large groups are cut into blocks of a fixed size and
-   joined block by block, neighbours first; two blocks that already are of one component are not joined again.
+4. Within a group, signature trees are joined by dual traversal. Large groups are cut into blocks of so many shingles
+   and joined block by block, neighbours first; two blocks that already are of one component are not joined again.
+   Two sets can be linked only if their sizes are of the same or of neighbouring classes, a class being a factor of
+   1 / threshold: blocks hold one class each, and blocks of other classes never meet.
 
 A digest has 64 bits: two different sets are taken for one with probability of about (number of sets)^2 / 2^65.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import materialise, release, shuffle_partitions, table
+from .common import materialise, release, shuffle_partitions, small_batches, table
 from .components import connected_components
 from .signature_tree import dual_join
 
-BLOCK = 2048
+#: Shingles of a block or of a task: bounds a task's memory whatever the lengths of the texts.
+BLOCK = 1 << 20
 SAMPLE = 3
 
 
@@ -58,6 +62,7 @@ SCHEMA = "doc_id long, n long, node long, h array<long>"
 
 def shingle_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, whole: bool = True) -> DataFrame:
     """doc_id, number of distinct shingles, digest of the set, and the sorted shingle hashes (or the counted share)."""
+    small_batches(docs.sparkSession)
     return docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(_sets(width, whole), SCHEMA)
 
 
@@ -117,50 +122,55 @@ def jaccard_links(sets: DataFrame, percent: int = 80, block: int = BLOCK) -> Dat
     hub = listed.groupBy("h").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top")
     near = listed.join(hub.select("h", "hub"), "h").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
     groups = materialise(connected_components(near).select("node", F.col("root").alias("comp")))
-    sizes = groups.groupBy("comp").agg(F.count("*").alias("m"))
-    total = groups.count()
-    if total == 0:
+    weighed = materialise(groups.join(sets.select("node", "n"), "node"))
+    total = weighed.agg(F.sum("n"), F.count("*")).first()
+    if not total[1]:
         return spark.createDataFrame([], "a long, b long")
-    # small groups share tasks of about a block; a large group is cut into blocks by the hash of its sets
-    tasks = max(1, -(-total // block), min(shuffle_partitions(spark), total // 64))
-    placed = groups.join(sizes, "comp").select(
-        "node",
-        "comp",
-        F.ceil(F.col("m") / block).cast("long").alias("blocks"),
-        F.pmod(F.xxhash64("node"), F.ceil(F.col("m") / block).cast("long")).alias("k"),
-    )
+    # small groups share tasks of about a block; a large group is cut into blocks by size class and hash
+    tasks = max(1, -(-total[0] // block), min(shuffle_partitions(spark), total[1] // 64))
+    step = math.log(100 / percent)
+    kind = F.floor(F.log(F.col("n")) / step + 1e-9).cast("long")
+    sizes = weighed.groupBy("comp").agg(F.sum("n").alias("m"))
+    classes = weighed.groupBy("comp", kind.alias("kind")).agg(F.sum("n").alias("w")).withColumn("cuts", F.ceil(F.col("w") / block).cast("long"))
+    classes = classes.join(sizes.where(F.col("m") > block), "comp")
+    upto = Window.partitionBy("comp").orderBy("kind").rowsBetween(Window.unboundedPreceding, -1)
+    # one row for each size class of a large group: a few dozen at most for a group
+    classes = materialise(classes.withColumn("first", F.coalesce(F.sum("cuts").over(upto), F.lit(0))).select("comp", "kind", "first", "cuts"))
+    placed = weighed.withColumn("kind", kind).join(classes, ["comp", "kind"], "left").select("node", "comp", "kind", (F.col("first") + F.pmod(F.xxhash64("node"), "cuts")).alias("k"))
     rows = materialise(placed.join(sets, "node"))
-    small = rows.where("blocks = 1").select("comp", "node", "n", "h", F.lit(0).alias("side"), F.col("node").alias("label"), F.concat(F.lit("s"), F.pmod(F.xxhash64("comp"), F.lit(tasks))).alias("task"))
-    large = rows.where("blocks > 1")
+    small = rows.where("k IS NULL").select("comp", "node", "n", "h", F.lit(0).alias("side"), F.col("node").alias("label"), F.concat(F.lit("s"), F.pmod(F.xxhash64("comp"), F.lit(tasks))).alias("task"))
+    large = rows.where("k IS NOT NULL")
     task = F.concat_ws("/", F.col("comp"), F.col("i"), F.col("j"))
-    pair = lambda d, i, j, side: d.select("comp", "node", "n", "h", F.lit(side).alias("side"), "label", i.alias("i"), j.alias("j"))
+    columns = ("comp", "node", "n", "h", "side", "label", "task")
+
+    def sides(pairs: DataFrame, held: DataFrame) -> DataFrame:
+        """The sets of block pairs (comp, i, j): a block with itself once, of two blocks each on its side."""
+        left = held.join(pairs.withColumn("k", F.col("i")), ["comp", "k"]).withColumn("side", F.lit(0))
+        right = held.join(pairs.where("i <> j").withColumn("k", F.col("j")), ["comp", "k"]).withColumn("side", F.lit(1))
+        return left.unionByName(right).withColumn("task", task).select(*columns)
+
+    spans = classes.select("comp", "kind", "first", "cuts")
+    if spans.limit(1).count() == 0:
+        return _joined(small, percent)
+    blocks = spans.select("comp", "kind", "first", "cuts", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("cuts") - 1)).alias("i"))
+    after = F.col("first") + F.pmod(F.col("i") - F.col("first") + 1, "cuts")
+    up = spans.select("comp", (F.col("kind") - 1).alias("kind"), F.col("first").alias("next_first"), F.col("cuts").alias("next_cuts"))
+    # each block with itself, with the next of its class, and with one of the class above
+    ring = blocks.select("comp", "i", F.col("i").alias("j")).union(blocks.select("comp", F.least("i", after), F.greatest("i", after)))
+    ring = ring.union(blocks.join(up, ["comp", "kind"]).select("comp", "i", F.col("next_first") + F.pmod("i", "next_cuts"))).distinct()
     own = large.withColumn("label", F.col("node"))
-    after, before = F.pmod(F.col("k") + 1, F.col("blocks")), F.pmod(F.col("k") - 1 + F.col("blocks"), F.col("blocks"))
-    ring = pair(own, F.col("k"), F.col("k"), 0).union(pair(own, F.col("k"), after, 0)).union(pair(own, before, F.col("k"), 1))
-    first = _joined(small.union(ring.select("comp", "node", "n", "h", "side", "label", task.alias("task"))), percent)
-    if large.limit(1).count() == 0:
-        return first
+    first = _joined(small.select(*columns).union(sides(ring, own)), percent)
     roots = connected_components(first)
     labelled = materialise(large.join(roots, "node", "left").withColumn("label", F.coalesce("root", "node")).drop("root"))
-    whole = labelled.groupBy("comp", "k").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.max("blocks").alias("blocks"))
-    left = whole.select("comp", F.col("k").alias("i"), F.col("lo").alias("lo_i"), F.col("hi").alias("hi_i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("j"), "blocks")
-    right = whole.select("comp", F.col("k").alias("j"), F.col("lo").alias("lo_j"), F.col("hi").alias("hi_j"))
-    open_pairs = (
-        left.where("i < j AND j <> i + 1 AND NOT (i = 0 AND j = blocks - 1)")
-        .join(right, ["comp", "j"])
-        .where("NOT (lo_i = hi_i AND lo_j = hi_j AND lo_i = lo_j)")
-        .select("comp", "i", "j")
-    )
-    rest = (
-        labelled.join(open_pairs.withColumnRenamed("i", "k").withColumn("i", F.col("k")), ["comp", "k"])
-        .select("comp", "node", "n", "h", F.lit(0).alias("side"), "label", task.alias("task"))
-        .union(
-            labelled.join(open_pairs.withColumnRenamed("j", "k").withColumn("j", F.col("k")), ["comp", "k"]).select(
-                "comp", "node", "n", "h", F.lit(1).alias("side"), "label", task.alias("task")
-            )
-        )
-    )
-    return first.union(_joined(rest, percent))
+    whole = labelled.groupBy("comp", "kind", "k").agg(F.min("label").alias("lo"), F.max("label").alias("hi"))
+    whole = materialise(whole)
+    open_pairs = []
+    for gap in (0, 1):  # pairs of blocks of one class, and of neighbouring classes
+        a = whole.select("comp", "kind", F.col("k").alias("i"), F.col("lo").alias("lo_i"), F.col("hi").alias("hi_i"))
+        b = whole.select("comp", (F.col("kind") - gap).alias("kind"), F.col("k").alias("j"), F.col("lo").alias("lo_j"), F.col("hi").alias("hi_j"))
+        open_pairs.append(a.join(b, ["comp", "kind"]).where("i < j AND NOT (lo_i = hi_i AND lo_j = hi_j AND lo_i = lo_j)").select("comp", "i", "j"))
+    rest = open_pairs[0].union(open_pairs[1]).join(ring, ["comp", "i", "j"], "left_anti")
+    return first.union(_joined(sides(rest, labelled), percent))
 
 
 def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, block: int = BLOCK) -> DataFrame:
@@ -184,9 +194,10 @@ def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     sets = materialise(whole.join(lone.hint("merge"), "node", "left_anti"))
     release(whole)
     roots = connected_components(jaccard_links(sets, percent, block))
-    grouped = named.select("doc_id", "node").join(roots, "node", "left").select("doc_id", "node", F.coalesce("root", "node").alias("root"))
-    first = grouped.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    classes = materialise(grouped.join(first, "root").groupBy("node").agg(F.min("component_id").alias("component_id")))
+    # one row for each set from here on: copies have been folded into their smallest id
+    grouped = materialise(named.groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root")))
+    first = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
+    classes = materialise(grouped.select("node", "root").join(first, "root").select("node", "component_id"))
     own = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id"))
     # a node that only rows without an id have is in no class
     return sig.select("doc_id", F.col("n").alias("n_shingles"), "n", "node").join(classes, "node", "left").select("doc_id", "n_shingles", own.alias("component_id"))

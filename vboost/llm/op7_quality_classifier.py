@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import table
+from .common import small_batches, table
 
 FEATURES = (
     "log_words", "word_length", "distinct", "upper", "digit", "symbol", "mark", "wide", "shout", "adjacent", "lines", "bar", "single", "longest",
@@ -201,10 +201,16 @@ def held_out(doc_id: Column | str) -> Column:
 
 
 def labelled_texts(docs: DataFrame, labels: DataFrame, label: str, rows: int = SAMPLE_ROWS) -> DataFrame:
-    """doc_id, text, y of at most `rows` labelled rows that may be learned from; one row for each labelled document."""
+    """doc_id, text, y of at most `rows` labelled documents that may be learned from, one text each.
+
+    Of several texts of one doc_id the one with the smallest digest counts, and of several labels the largest: the
+    sample is bounded by `rows` whatever repeats.
+    """
     known = labels.select("doc_id", F.col(label).cast("double").alias("y")).where("y IS NOT NULL AND doc_id IS NOT NULL").where(~held_out("doc_id"))
-    chosen = known.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")  # `rows` rows at most
+    chosen = known.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    found = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")  # `rows` rows at most
+    digest = F.struct(F.xxhash64("text"), F.length("text"), "text")
+    return found.groupBy("doc_id", "y").agg(F.min_by("text", digest).alias("text")).select("doc_id", "text", "y")
 
 
 def _feature_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,8 +221,9 @@ def _feature_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
 
 def train(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int = SAMPLE_ROWS) -> AdditiveModel:
     schema = "doc_id long, y double, " + ", ".join(f"{c} double" for c in FEATURES)
+    small_batches(docs.sparkSession)
     sample = labelled_texts(docs, labels, label, rows).select(F.col("doc_id").cast("long"), "text", "y").mapInArrow(_feature_batches, schema)
-    found = sample.toPandas().drop_duplicates("doc_id").sort_values("doc_id")
+    found = sample.toPandas().sort_values("doc_id")  # `rows` rows at most
     return fit_additive(found[list(FEATURES)].to_numpy(), found["y"].to_numpy())
 
 
@@ -231,6 +238,7 @@ def _scorer(model: AdditiveModel):
 
 def score_quality(docs: DataFrame, model: AdditiveModel) -> DataFrame:
     """doc_id, score for every row; a null or empty text is scored by its zero features. Repeated rows stay."""
+    small_batches(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_scorer(model), "doc_id long, score double")
 
 
@@ -245,6 +253,7 @@ def _selector(model: AdditiveModel, least: float):
 
 def keep_quality(docs: DataFrame, model: AdditiveModel, least: float = 0.3) -> DataFrame:
     """The rows of docs, with all their columns, that score `least` or more: a filter without a shuffle."""
+    small_batches(docs.sparkSession)
     return docs.mapInArrow(_selector(model, least), docs.schema)
 
 

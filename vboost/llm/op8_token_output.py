@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from . import textkernel as K
 from .grammar import Grammar, expand, expansion_lengths, gather, pack_bits, unpack_bits
-from .common import shared_dir, shuffle_partitions, table
+from .common import shared_dir, shuffle_partitions, small_batches, table
 
 END_ID = 0
 SHARD_TOKENS = 1 << 19
@@ -297,6 +297,7 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int
     """
     from tokenizers import Tokenizer
 
+    small_batches(docs.sparkSession)
     terminals = Tokenizer.from_file(tokenizer).get_vocab_size()
     n = partitions or shuffle_partitions(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("tie", F.xxhash64("text"))
