@@ -22,7 +22,7 @@ from vboost.llm import op9_decontaminate as op9
 from vboost.llm import op10_toxicity as op10
 from vboost.llm import grammar, signature_tree, textkernel
 
-DOCS = "doc_id long, text string, lang string, source string, n_chars long, score double, row string, h string"
+DOCS = "doc_id long, text string, lang string, source string, n_chars long, score double, row string, h string, copies_of_row string, rated_id long, copy_of_row int"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 
@@ -37,8 +37,8 @@ def docs(spark):
     long = sentence(1, 30_000)
     near = sentence(2, 100)
     texts = [None, "", "  \n ", "one", "One", near, near + " tail", near.replace(" ", "\n", 3), long, long + " end", sentence(3, 4), "x " * 50, sentence(4, 60) + "\n" + sentence(4, 60), "Released under the MIT License.\n" + sentence(5, 30), "you idiot and m0r0n " + sentence(6, 20), "é× ß  中文\t<|endoftext|>"]
-    rows = [(i, t, ["en", None, "xx"][i % 3], "s", len(t or ""), 0.5, "r", "h") for i, t in enumerate(texts)]
-    rows += [rows[5], (None, "null id " + near, None, None, None, None, None, None), (40, near, "en", "s", 1, 0.1, "r", "h")]
+    rows = [(i, t, ["en", None, "xx"][i % 3], "s", len(t or ""), 0.5, "r", "h", "c", 1, 2) for i, t in enumerate(texts)]
+    rows += [rows[5], (None, "null id " + near, *[None] * 9), (40, near, "en", "s", 1, 0.1, "r", "h", None, None, None)]
     return spark.createDataFrame(rows, DOCS).cache()
 
 
@@ -145,11 +145,42 @@ def test_op2_meets_targets(spark):
     assert grown.columns == df.columns and grown.select("doc_id").distinct().count() == 400
 
 
+def brute_rates(tokens, p, targets, low, high, steps=20_000):
+    """Nonnegative least squares by plain coordinate descent on the same objective, to convergence."""
+    size = tokens.sum()
+    share = (tokens[:, None] * p).sum(0) / size
+    rate = np.full(len(tokens), min(max(1.0, low), high))
+    for _ in range(steps):
+        error = (rate[:, None] * tokens[:, None] * p).sum(0) / size - targets
+        rate = np.clip(rate - (p * (error / share)).sum(1), low, high)
+    return rate
+
+
+@pytest.mark.parametrize("low,high", [(0.0, 8.0), (1.0, 2.0)])
+def test_op2_against_brute_force(spark, low, high):
+    rows = [(i, "AB! " * (5 + i % 7) if i % 4 == 0 else "plain words here " * (3 + i % 5)) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    labelled = df.select("doc_id", F.when(F.col("doc_id") % 4 == 0, "loud").otherwise("calm").alias("domain")).where("doc_id % 3 = 0")
+    targets = {"loud": 0.45, "calm": 0.55}
+    out = op2.mix_sources(df, labelled, targets, low, high, rounds=200).toPandas()
+    p = out[["p_calm", "p_loud"]].to_numpy()
+    want = brute_rates(out.tokens.to_numpy(float), p, np.array([0.55, 0.45]), low, high)
+    mass = lambda r: (r[:, None] * out.tokens.to_numpy(float)[:, None] * p).sum(0)
+    assert np.allclose(mass(out.rate.to_numpy()), mass(want), rtol=2e-3)
+    assert (out.rate >= low - 1e-9).all() and (out.rate <= high + 1e-9).all()
+    got = mass(out.rate.to_numpy())
+    assert abs(out.residual[0] - np.abs(got / got.sum() - [0.55, 0.45]).max()) < 1e-3
+    assert ((out.copies == np.floor(out.rate)) | (out.copies == np.floor(out.rate) + 1)).all()
+
+
 def test_op2_edges(spark, docs, labels):
     labelled = labels.select("doc_id", op2.domain_of_labels().alias("domain"))
     assert op2.mix_sources(docs, labelled).count() == docs.count()
     assert op2.apply_mix(docs, none_of(labelled)).count() == docs.count()
     assert op2.mix_sources(none_of(docs), labelled).count() == 0
+    assert labels.select(op2.domain_of_labels()).where("doc_id = 3").collect()[-1][0] is None
+    mixed = op2.apply_mix(docs, labelled)
+    assert mixed.columns == docs.columns and mixed.where("copies_of_row = 'c' AND rated_id = 1 AND copy_of_row = 2").count() >= 16
 
 
 def test_op3_round_trip_and_parts(spark):
@@ -376,6 +407,39 @@ def test_op9_finds_planted_items(spark, docs):
     assert got == want and {(1, 0), (2, 1), (3, 2), (4, 3)} <= got
     assert {r["doc_id"] for r in op9.decontaminate(df, bench).collect()} == {0, 5, 6, 7}
     assert op9.decontaminate(docs, none_of(bench)).count() == docs.count() and op9.contained_items(none_of(docs), bench).count() == 0
+    # a row is judged by its own text, whatever its id
+    mixed = [(None, filler), (None, items[1][1]), (3, "clean words alone"), (3, items[2][1])]
+    assert sorted(r["text"] for r in op9.decontaminate(spark.createDataFrame(mixed, "doc_id long, text string"), bench).collect()) == sorted([filler, "clean words alone"])
+
+
+def test_op9_sketches_lose_no_pair_and_prune(spark, monkeypatch):
+    """Against all pairs, with items cut to just above and below the threshold at either end and in the middle."""
+    rng = np.random.default_rng(17)
+    items = [(i, sentence(300 + i, int(n))) for i, n in enumerate([5, 6, 9, 12, 20, 33, 70, 150, 600, 2000])]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    rows = []
+    for i, t in items:
+        w = t.split()
+        for share in (0.7, 0.79, 0.8, 0.81, 0.9, 1.0):
+            k = int(np.ceil(share * len(w)))
+            at = int(rng.integers(0, len(w) - k + 1))
+            half = len(w) // 2
+            broken = w[:half] + ["x"] * int(len(w) * (1 - share)) + w[half:]
+            rows += [(len(rows) + j, " ".join(x)) for j, x in enumerate([w[:k], w[-k:], [*sentence(len(rows), 40).split(), *w[at : at + k]], broken])]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = set()
+    for d, t in rows:
+        for i, u in items:
+            q = shingles(u)
+            if 100 * len(q & shingles(t)) >= 80 * len(q):
+                want.add((d, i))
+    for limit in (op9.BROADCAST_ROWS, 0):
+        monkeypatch.setattr(op9, "BROADCAST_ROWS", limit)
+        assert {(r["doc_id"], r["item_id"]) for r in op9.contained_items(df, bench).collect()} == want
+    sketches = op9.item_sketches(bench)
+    found = op9.candidates(df, sketches, []).count()
+    assert len(want) <= found < len(rows) * len(items) / 4
+    assert sketches.where("sketched").count() < sketches.count() / 2
 
 
 def test_op10_restores_and_edges(spark, docs, labels):

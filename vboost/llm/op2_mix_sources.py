@@ -9,6 +9,7 @@ aggregate over all documents and sends as many numbers to the driver as there ar
 from __future__ import annotations
 
 import math
+import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,8 +24,8 @@ MAX_DOMAINS = 64
 
 
 def domain_of_labels() -> Column:
-    """The domain of a labelled row of `labels`: harsh where toxic, else clean or noisy by quality."""
-    return F.when(F.col("toxic") == 1, "harsh").when(F.col("quality") == 1, "clean").otherwise("noisy")
+    """The domain of a labelled row of `labels`: harsh where toxic, else clean or noisy by quality; null if unknown."""
+    return F.when(F.col("toxic") == 1, "harsh").when(F.col("quality") == 1, "clean").when(F.col("quality") == 0, "noisy")
 
 
 def shape_features(docs: DataFrame) -> DataFrame:
@@ -79,8 +80,11 @@ def posteriors(features: DataFrame, model: dict, temperature: float = float(len(
 
 def fit_rates(
     members: DataFrame, domains: list[str], targets: dict[str, float], total: float | None = None, low: float = 0.0, high: float = 8.0, rounds: int = 40, tolerance: float = 1e-5
-) -> DataFrame:
-    """Adds rate in [low, high]. members: tokens, p. targets: weights of the domains; total: expected tokens in all.
+) -> tuple[DataFrame, float]:
+    """Adds rate in [low, high]; also the residual: by how much a domain's share misses its target at most.
+
+    members: tokens, p. targets: weights of the domains; total: expected tokens in all, by default the present ones.
+    Where the bounds keep the targets out of reach, the fit is the nearest by squared error.
 
     Each domain's error is divided by its share of the tokens: the scaled Gram matrix then has no eigenvalue above 1,
     and a step of 1 descends. total: by default the present number of tokens.
@@ -91,7 +95,7 @@ def fit_rates(
     now = [v or 0.0 for v in sums(state, F.lit(1.0))]
     size = sum(now)
     if size <= 0:
-        return state
+        return state, 0.0
     share = [max(v / size, 1e-9) for v in now]
     weight = sum(targets.get(d, 0.0) for d in domains)
     aims = [targets.get(d, 0.0) / weight * (total or size) / size for d in domains] if weight else share
@@ -106,17 +110,21 @@ def fit_rates(
             state = materialise(state.withColumn("rate", rate))
             rate = F.col("rate")
         had = sums(state, rate)
-    return state.withColumn("rate", rate)
+    got = sum(v or 0.0 for v in had)
+    residual = max(abs((v or 0.0) / got - a / sum(aims)) for v, a in zip(had, aims)) if got > 0 else 0.0
+    return state.withColumn("rate", rate), residual
 
 
 def mix_sources(
     docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, low: float = 0.0, high: float = 8.0, grow: bool = False, rounds: int = 40
 ) -> DataFrame:
-    """doc_id, row, tokens, p_<domain> for each domain, rate, copies; one row for each row of docs.
+    """doc_id, row, tokens, p_<domain> for each domain, rate, copies, residual; one row for each row of docs.
 
     labelled: doc_id, domain. copies is the rate's whole part, and one more for a share of documents equal to the
-    rest, chosen by the hash of doc_id. grow: aim at so many tokens that no domain must shrink. Texts without words
-    have no tokens; their rate moves like the others'. Without labelled rows there is one domain and every rate is 1.
+    rest, chosen by the hash of doc_id. residual, the same in all rows, is the largest difference between a domain's
+    share of the expected tokens and its target. grow: aim at so many tokens that no domain must shrink. Texts without
+    words have no tokens; their rate moves like the others'. Without labelled rows there is one domain and every rate
+    is 1. Labelled rows without a domain teach nothing.
     Repeated rows stay; an empty table gives no rows; other columns are ignored.
     """
     targets = targets or TARGETS
@@ -130,7 +138,7 @@ def mix_sources(
         weight = sum(targets.get(d, 0.0) for d in names) or 1.0
         need = [(v or 0.0) * weight / targets[d] for v, d in zip(have, names) if targets.get(d)]
         total = max(need, default=None)
-    rated = fit_rates(members, names, targets, total, low, high, rounds)
+    rated, residual = fit_rates(members, names, targets, total, low, high, rounds)
     share = F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) / 1e6
     rate = F.round("rate", 6)
     return rated.select(
@@ -140,20 +148,24 @@ def mix_sources(
         *[F.round(F.get("p", F.lit(k)), 6).alias(f"p_{d}") for k, d in enumerate(names)],
         rate.alias("rate"),
         (F.floor(rate) + F.when(share < rate - F.floor(rate), 1).otherwise(0)).cast("int").alias("copies"),
+        F.lit(round(residual, 6)).alias("residual"),
     )
 
 
-def apply_mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, low: float = 1.0, high: float = 8.0) -> DataFrame:
+def apply_mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, low: float = 1.0, high: float = 4.0) -> DataFrame:
     """The rows of docs, with all their columns, as often as their fitted number of copies.
 
-    With `low` of 1 or more no document is dropped: domains are brought to their weights by repeating documents.
+    The targets are aimed at within the present number of tokens. With `low` of 1 or more no document is dropped: a
+    domain that is short of its weight is repeated, up to `high` times a document, and what the bounds leave open is
+    the residual of mix_sources. Columns of any name stay as they are.
     """
-    rated = mix_sources(docs, labelled, targets, low, high, grow=low > 0)
-    copies = rated.groupBy(F.col("doc_id").alias("rated_id")).agg(F.max("copies").alias("copies_of_row"))
-    joined = docs.join(copies.hint("merge"), docs["doc_id"].eqNullSafe(copies["rated_id"]), "left")
-    times = F.coalesce("copies_of_row", F.lit(1))
-    again = F.explode(F.when(times > 0, F.sequence(F.lit(1), times)).otherwise(F.array().cast("array<int>")))
-    return joined.withColumn("copy_of_row", again).drop("rated_id", "copies_of_row", "copy_of_row")
+    rated = mix_sources(docs, labelled, targets, low, high)
+    key, times, again = (f"{n}_{uuid.uuid4().hex}" for n in ("key", "times", "again"))
+    copies = rated.groupBy(F.col("doc_id").alias(key)).agg(F.max("copies").alias(times))
+    joined = docs.join(copies.hint("merge"), docs["doc_id"].eqNullSafe(copies[key]), "left")
+    n = F.coalesce(times, F.lit(1))
+    repeat = F.explode(F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(F.array().cast("array<int>")))
+    return joined.withColumn(again, repeat).drop(key, times, again)
 
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
