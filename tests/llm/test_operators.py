@@ -299,6 +299,40 @@ def test_op6_wrapped_notices(spark):
     assert got[len(rows) - 1]["labels"] == ""
 
 
+def brute_labels(text, threshold=0.8):
+    """Labels of the method by every line and every run of words, without any filter."""
+    words = lambda x: re.findall("[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), x))
+    out = set()
+    for label, templates in op6.TEMPLATES.items():
+        for t in templates:
+            tokens = set(t.split())
+            span = int(np.ceil(len(t.split()) / threshold - 1e-9))
+            w = words(text)
+            runs = [w[i : i + span] for i in range(max(1, len(w) - span + 1))] if "\n" in text else []
+            if any(len(tokens & set(b)) >= threshold * len(tokens) - 1e-9 for b in [words(x) for x in text.split("\n")] + runs):
+                out.add(label)
+    return out
+
+
+def test_op6_against_brute_force(spark):
+    rng = np.random.default_rng(23)
+    every = [t for texts in op6.TEMPLATES.values() for t in texts] + list(op6.NOTICES.values())
+    rows = []
+    for k in range(160):
+        words = str(rng.choice(every)).split()
+        keep = rng.random(len(words)) < rng.choice([0.6, 0.75, 0.82, 0.9, 1.0])
+        words = [w for w, x in zip(words, keep) if x]
+        for _ in range(int(rng.integers(0, 6))):
+            words.insert(int(rng.integers(0, len(words) + 1)), "foreign")
+        gaps = rng.choice([" ", "\n", "\n// "], len(words), p=[0.85, 0.1, 0.05])
+        body = "".join(w + g for w, g in zip(words, gaps))
+        rows.append((k, f"{sentence(k, int(rng.integers(0, 300)))}\n{body} {sentence(k + 500, int(rng.integers(0, 300)))}"))
+    got = {r["doc_id"]: r for r in op6.license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for k, text in rows:
+        base = set(filter(None, got[k]["base_labels"].split(",")))
+        assert set(filter(None, got[k]["labels"].split(","))) == brute_labels(text) | base, (k, text)
+
+
 def test_op7_learns_and_edges(spark, docs, labels):
     rng = np.random.default_rng(0)
     x = rng.normal(size=(2000, 4))
