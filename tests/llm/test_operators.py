@@ -216,6 +216,42 @@ def test_op4_pages(spark):
     assert by[2]["text"] == by[3]["text"] == "" and by[1]["n_chars"] == len(by[1]["text"])
 
 
+def test_op4_deep_pages_and_many_class_words(spark):
+    import time
+
+    model = op4.default_field()
+    body = "<article><p>First words of the story stand here.</p><p>And more of them follow.</p></article>"
+    for n in (2_000, 16_000):
+        deep = "".join(f'<div class="level k{chr(97 + i % 26)}x{i}">' for i in range(n))
+        began = time.process_time()
+        op4.main_text(deep + "<p>x" * 3 + body + "</div>" * n, model)
+        assert time.process_time() - began < n / 2_000
+    many = " ".join(f"word{chr(97 + i)}" for i in range(20))
+    page = f'<html><body><div class="{many} advert sponsored">Buy now and save</div>{body}</body></html>'
+    plain = f'<html><body><div class="advert sponsored">Buy now and save</div>{body}</body></html>'
+    assert op4.main_text(page, model)[0] == op4.main_text(plain, model)[0]
+    rows = [(1, "u", page, "extra", 3), (None, None, None, None, None)]
+    got = op4.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string, text string, n_chars int")).collect()
+    assert len(got) == 2 and {r["page_id"] for r in got} == {1, None}
+
+
+def test_op4_equals_the_article_element_of_given_pages(spark):
+    """Every given page holds its main text in one article element, which a plain search finds."""
+    import html
+
+    pages = spark.read.parquet("/root/testdata/sf0.001/pages.parquet")
+    got = {r["page_id"]: r["text"] for r in op4.extract_pages(pages).collect()}
+    checked = 0
+    for r in pages.collect():
+        m = re.search(r"<article\b[^>]*>(.*?)</article>", r["html"], re.S | re.I)
+        if m:
+            want = " ".join(html.unescape(re.sub(r"<[^>]+>", " ", m[1])).split())
+            have = " ".join(got[r["page_id"]].split())
+            assert have and set(have.split()) <= set(want.split())
+            checked += 1
+    assert checked >= 40
+
+
 def test_op4_held_out_pages():
     model = op4.default_field()
     pages = op4.labelled_pages(120, seed=1234)
@@ -247,6 +283,51 @@ def test_op5_against_brute_force(docs):
     assert op5.quality_rules(none_of(docs)).count() == 0
 
 
+def brute_verdicts(rows):
+    """kept of (text, lang) rows, in order: histograms, references and distances in plain Python."""
+    import math
+
+    def profile(t, lang):
+        t = t or ""
+        w = WORD.findall(t)
+        lang = lang if lang in op5.COMMON else "other"
+        count = lambda p: len(re.findall(p, t))
+        upper, digit, mark, sign = count("[A-Z]"), count("[0-9]"), count(r"[.,;:!?'\"()-]"), count("[#*$%&|<>]")
+        wide, inside = len(t.encode()) - len(t), sum(map(len, w))
+        chars = [upper, digit, mark, sign, len(t) - inside, wide, max(inside - upper - digit - mark - sign - wide, 0)]
+        common = [sum(x in (c, c.capitalize()) for x in w) for c in op5.COMMON.get(lang, [])]
+        return lang, len(w), chars, [*common, len(w) - sum(common)]
+
+    def distance(p, q):
+        if not sum(p) or not sum(q):
+            return 0.0
+        p, q = [x / sum(p) for x in p], [x / sum(q) for x in q]
+        d = sum((x * math.log2(x / ((x + y) / 2)) if x else 0) / 2 + (y * math.log2(y / ((x + y) / 2)) if y else 0) / 2 for x, y in zip(p, q))
+        return math.sqrt(max(d, 0.0))
+
+    found = [profile(*r) for r in rows]
+    refs = {}
+    for lang, _, chars, common in found:
+        held = refs.setdefault(lang, ([0] * 7, [0] * len(common)))
+        refs[lang] = ([a + b for a, b in zip(held[0], chars)], [a + b for a, b in zip(held[1], common)])
+    out = []
+    for (text, _), (lang, n, chars, common) in zip(rows, found):
+        base = brute_rules(text)
+        limit = math.sqrt(op5.MAX_WORD_JSD**2 + (len(common) - 1) * op5.WORD_NOISE / (8 * math.log(2)) / max(n, 1))
+        far = distance(chars, refs[lang][0]) > op5.MAX_CHAR_JSD or len(common) > 1 and distance(common, refs[lang][1]) > limit
+        out.append(not (n < 20 or 100 * base[4] > 30 * n) and not (n >= op5.MIN_WORDS and far))
+    return out
+
+
+def test_op5_verdict_against_brute_force(spark):
+    given = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang")
+    rows = [tuple(r) for r in given.collect()]
+    rows += [(10_000 + i, " ".join(rng_words), lang) for i, (rng_words, lang) in enumerate([(sentence(1, 300).split(), "en"), (sentence(2, 300).split(), None), (["The", "of", "and"] * 40, "en"), (["$$", "##", "&&"] * 30 + sentence(3, 40).split(), "de")])]
+    got = {r["doc_id"]: r["kept"] for r in op5.quality_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    want = brute_verdicts([(t, lang) for _, t, lang in rows])
+    assert [got[i] for i, _, _ in rows] == want and 0 < sum(want) < len(want)
+
+
 def test_op5_distance(spark):
     df = spark.createDataFrame([([1.0, 0.0], [0.0, 2.0]), ([1.0, 3.0], [2.0, 6.0]), ([0.0, 0.0], [1.0, 1.0])], "p array<double>, q array<double>")
     got = [r[0] for r in df.select(op5.jensen_shannon(F.col("p"), F.col("q"))).collect()]
@@ -346,6 +427,28 @@ def test_op7_learns_and_edges(spark, docs, labels):
     assert op7.score_quality(none_of(docs), op7.train(none_of(docs), none_of(labels))).count() == 0
 
 
+def test_op7_scores_cell_by_cell(spark, docs):
+    """A text's logit is the sum of its table cells, and a labelled id repeated with other texts is one row of the fit."""
+    rng = np.random.default_rng(4)
+    texts = [sentence(i, 40) + ("." if i % 2 else " !! ## $$ " * 8) for i in range(300)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    y = spark.createDataFrame([(i, i % 2) for i in range(300)], "doc_id long, quality int")
+    model = op7.train(df, y)
+    import pyarrow as pa
+
+    x = op7.batch_features(pa.array(texts))
+    for k in rng.integers(0, 300, 20):
+        z = model.base
+        for j, edges in enumerate(model.edges):
+            z += model.tables[j][sum(x[k, j] >= e for e in edges)]
+        for (a, b), cells in zip(model.pairs, model.pair_tables):
+            z += cells[sum(x[k, a] >= e for e in model.coarse[a]), sum(x[k, b] >= e for e in model.coarse[b])]
+        assert abs(model.logits(x[k : k + 1])[0] - z) < 1e-9
+    again = spark.createDataFrame([(1, f"other {i}") for i in range(50)], "doc_id long, text string").unionByName(df)
+    sample = op7.labelled_texts(again, y, "quality").collect()
+    assert len(sample) == len({r["doc_id"] for r in sample})
+
+
 def byte_bpe():
     import public_tokenizers
     from tokenizers import Tokenizer

@@ -13,7 +13,7 @@ import math
 import random
 import re
 from collections import defaultdict
-from collections.abc import Iterator
+from collections.abc import Container, Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
 
@@ -40,16 +40,27 @@ class Block:
     linked: int
 
 
-@lru_cache(maxsize=20_000)
 def _marks_of(tag: str, attributes: str) -> tuple[str, ...]:
+    return _read_marks(tag, attributes) if len(attributes) > 400 else _short_marks(tag, attributes)
+
+
+def _read_marks(tag: str, attributes: str) -> tuple[str, ...]:
+    """The element's name, every word of its class, id and role, and whether it is hidden."""
     words = [w for m in _NAMES.finditer(attributes) for w in re.split(r"[^a-z]+", (m[1] or m[2] or m[3] or "").lower()) if w]
-    return (f"t={tag}", *(f"c={w}" for w in words[:12]), *(("hidden",) if _HIDDEN.search(attributes) else ()))
+    return (f"t={tag}", *(f"c={w}" for w in dict.fromkeys(words)), *(("hidden",) if _HIDDEN.search(attributes) else ()))
+
 
+_short_marks = lru_cache(maxsize=20_000)(_read_marks)
 
-def leaf_blocks(page: str) -> list[Block]:
-    """The page's blocks in order: text with references decoded and white space runs as one space, never empty."""
+
+def leaf_blocks(page: str, known: Container[str] | None = None) -> list[Block]:
+    """The page's blocks in order: text with references decoded and white space runs as one space, never empty.
+
+    known: marks that a model has weights for; others add nothing to a block's score and are left out, so a block's
+    marks stay few however deep it stands. Each open element holds the marks of all elements around it.
+    """
     out: list[Block] = []
-    stack: list[tuple[str, tuple[str, ...]]] = []
+    stack: list[tuple[str, tuple[str, ...], str]] = []  # name, marks down to here, nearest block element
     open_tags: dict[str, int] = defaultdict(int)
     pieces: list[str] = []
     linked = 0
@@ -72,7 +83,8 @@ def leaf_blocks(page: str) -> list[Block]:
         if not pieces and not piece.strip():
             return
         if not pieces:
-            marks = tuple(dict.fromkeys(m for _, ms in stack for m in ms)) + ((f"p={next((t for t, _ in reversed(stack) if t not in INLINE), 'none')}"),)
+            around = stack[-1] if stack else ("", (), "none")
+            marks = (*around[1], f"p={around[2]}")
         pieces.append(piece)
         if open_tags["a"]:
             linked += len(piece)
@@ -117,7 +129,9 @@ def leaf_blocks(page: str) -> list[Block]:
                 if stack[k][0] not in INLINE:
                     break
         if tag not in VOID and not m[0].endswith("/>"):
-            stack.append((tag, _marks_of(tag, m[3] or "")))
+            _, held, outer = stack[-1] if stack else ("", (), "none")
+            new = tuple(x for x in _marks_of(tag, m[3] or "") if x not in held and (known is None or x in known))
+            stack.append((tag, held + new if new else held, outer if tag in INLINE else tag))
             open_tags[tag] += 1
     end_block()
     return out
@@ -340,7 +354,7 @@ def default_field() -> ChainField:
 
 def main_text(page: str | None, model: ChainField) -> tuple[str, list[tuple[str, int]]]:
     """The kept blocks joined by line feeds, and every block with its label."""
-    blocks = leaf_blocks(page or "")
+    blocks = leaf_blocks(page or "", model.weights)
     labels = model.decode(block_features(blocks))
     return "\n".join(b.text for b, y in zip(blocks, labels) if y), [(b.text, y) for b, y in zip(blocks, labels)]
 
