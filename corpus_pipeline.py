@@ -30,7 +30,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents repeated so that the domains of `labels` meet their target weights; none is dropped."""
+    """Documents repeated towards the target weights of the domains of `labels`: each stands one to four times."""
     return apply_mix(docs, table(spark, sf_dir, "labels").select("doc_id", domain_of_labels().alias("domain")))
 
 
@@ -46,7 +46,7 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
     ("mixing", mixing),
     ("tokens", tokens),
 ]
-#: The classifier's fit and the tokenizer have no SQL: the stages are tested against brute force.
+#: The classifier's fit and the tokenizer have no SQL: each stage is tested against plain Python on what it was given.
 ORACLE_SQL = None
 
 
