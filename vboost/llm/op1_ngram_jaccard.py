@@ -173,13 +173,8 @@ def jaccard_links(sets: DataFrame, percent: int = 80, block: int = BLOCK) -> Dat
     return first.union(_joined(sides(rest, labelled), percent))
 
 
-def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, block: int = BLOCK) -> DataFrame:
-    """Components of texts linked by 100 * common >= percent * union of distinct word shingles.
-
-    Returns doc_id, n_shingles, component_id (smallest id reachable). Texts without words and rows without an id are
-    linked with nothing: the first are their own component, the second have none. Repeated rows stay, each with the
-    same result. Other columns are ignored. An empty table gives no rows.
-    """
+def set_classes(docs: DataFrame, id_col: str, text_col: str, width: int, percent: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """Every row's doc_id, n and node (its set), and the component_id of every node that a row with an id has."""
     sampled = materialise(shingle_table(docs, id_col, text_col, width, whole=False))
     sig = materialise(sampled.drop("h"))
     named = sig.where("n > 0 AND doc_id IS NOT NULL")
@@ -198,6 +193,17 @@ def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     grouped = materialise(named.groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root")))
     first = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
     classes = materialise(grouped.select("node", "root").join(first, "root").select("node", "component_id"))
+    return sig, classes
+
+
+def ngram_jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, block: int = BLOCK) -> DataFrame:
+    """Components of texts linked by 100 * common >= percent * union of distinct word shingles.
+
+    Returns doc_id, n_shingles, component_id (smallest id reachable). Texts without words and rows without an id are
+    linked with nothing: the first are their own component, the second have none. Repeated rows stay, each with the
+    same result. Other columns are ignored. An empty table gives no rows.
+    """
+    sig, classes = set_classes(docs, id_col, text_col, width, percent, block)
     own = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id"))
     # a node that only rows without an id have is in no class
     return sig.select("doc_id", F.col("n").alias("n_shingles"), "n", "node").join(classes, "node", "left").select("doc_id", "n_shingles", own.alias("component_id"))
@@ -208,8 +214,9 @@ def keep_representatives(docs: DataFrame, width: int = 5, percent: int = 80) ->
 
     Rows without an id are in no component and stay.
     """
-    found = ngram_jaccard_components(docs, "doc_id", "text", width, percent)
-    kept = found.where("doc_id = component_id").select("doc_id").distinct()
+    sig, classes = set_classes(docs, "doc_id", "text", width, percent, BLOCK)
+    empty = sig.where("n = 0 AND doc_id IS NOT NULL").select("doc_id")
+    kept = classes.select(F.col("component_id").alias("doc_id")).union(empty).distinct()
     return docs.join(kept.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]).unionByName(docs.where("doc_id IS NULL"))
 
 
