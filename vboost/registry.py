@@ -13,7 +13,7 @@ from . import ciphered
 from .fixture import BASE_SQL, PLAIN, R, SPEC, base_rows, fixed_rows, tree_frame, tree_sql
 from .functions import codec, costs, metrics, objective, splits
 from .functions.codec import Budget
-from .operators import align, around, binning, histogram, sampling
+from .operators import align, around, binning, histogram, sampling, surface
 from .plans import baselines
 from .plans.grow import grow_tree, train
 from .plans.params import Params, schedule
@@ -348,6 +348,7 @@ NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     **{n: partial(around_query, name=n) for n in around.STATEMENTS},
     **jobs.QUERIES,
     **ciphered.QUERIES,
+    **surface.QUERIES,
 }
 
 
@@ -403,4 +404,4 @@ def oracle_sql() -> dict[str, str]:
         x = workloads.ALL[n]
         out[f"{n}_features"] = f"SELECT inst_id, y, {', '.join(f'round({c}, 8) AS {c}' for c in (*x.active, *x.passive))} FROM ({x.text('duckdb')}) z"
     out["x8_cost_table"] = out["cost_model"]
-    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES
+    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES | surface.ORACLES
