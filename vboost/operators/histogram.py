@@ -6,6 +6,10 @@ summed there first, so what is shuffled is cells, not rows; a bin that holds mos
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -34,6 +38,73 @@ def limb_cells(df: DataFrame, classes: int = 1, first: int = 0, count: int | Non
     return flat.groupBy("node", (F.col("k") + first).alias("fid"), "bin").agg(F.count("*").alias("cnt"), *_sums(classes))
 
 
+#: Entries of a task's table of sums at most, for each summed number; beyond, it is passed on batch by batch.
+TABLE = 1 << 22
+#: Entries (rows x features) that are counted at once.
+AT_ONCE = 1 << 20
+
+
+def _exact_bincount(at: np.ndarray, values: np.ndarray, size: int) -> np.ndarray:
+    """Integer sums by cell. Doubles hold them exactly unless the values are very large."""
+    if len(values) and float(np.abs(values).max()) * len(values) < 2.0**53:
+        return np.bincount(at, weights=values, minlength=size).astype(np.int64)
+    out = np.zeros(size, dtype=np.int64)
+    np.add.at(out, at, values)
+    return out
+
+
+def arrow_cells(df: DataFrame, place: Callable[[np.ndarray], np.ndarray], nodes: list[int], classes: int = 1, spans: list[tuple[int, int]] | None = None, width: int = 64) -> DataFrame:
+    """node, fid, bin, cnt and the summed limbs, from rows with bins and limbs: counted on Arrow batches.
+
+    place: a bin matrix to each row's node; nodes: those to build; spans: first and last + 1 of the features to build.
+    A row is never expanded: a task keeps one table of sums and sends its cells.
+    """
+    names = [f"{n}{j}_{p}" for n in ("g", "h") for j in range(classes) for p in ("hi", "lo")]
+    slot_of = np.full(max(nodes, default=0) + 2, -1, dtype=np.int64)
+    slot_of[nodes] = np.arange(len(nodes))
+    schema = "node int, fid int, bin int, cnt long, " + ", ".join(f"{n} long" for n in names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table: list[np.ndarray] | None = None
+        fids = np.zeros(0, np.int64)
+
+        def cells() -> pa.RecordBatch:
+            some = np.flatnonzero(table[0])
+            slot, rest = np.divmod(some, len(fids) * width)
+            fid, b = np.divmod(rest, width)
+            columns = [np.array(nodes, np.int32)[slot], fids[fid].astype(np.int32), b.astype(np.int32), *[t[some] for t in table]]
+            return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["node", "fid", "bin", "cnt", *names])
+
+        for batch in batches:
+            n = batch.num_rows
+            if not n:
+                continue
+            x = batch.column("bins").values.to_numpy(zero_copy_only=False).reshape(n, -1)
+            fids = np.concatenate([np.arange(a, b) for a, b in spans]) if spans is not None else np.arange(x.shape[1])
+            node = place(x)
+            slot = np.where((node >= 0) & (node < len(slot_of)), slot_of[np.clip(node, 0, len(slot_of) - 1)], -1)
+            size = len(nodes) * len(fids) * width
+            if table is None:
+                table = [np.zeros(size, np.int64) for _ in range(1 + len(names))]
+            live = np.flatnonzero(slot >= 0)
+            limbs = [batch.column(c).to_numpy(zero_copy_only=False) for c in names]
+            step = max(1, AT_ONCE // max(1, len(fids)))
+            for lo in range(0, len(live), step):
+                rows = live[lo : lo + step]
+                at = ((slot[rows, None] * len(fids) + np.arange(len(fids))) * width + x[rows[:, None], fids]).ravel()
+                table[0] += np.bincount(at, minlength=size)
+                for t, v in zip(table[1:], limbs):
+                    t += _exact_bincount(at, np.repeat(v[rows], len(fids)), size)
+            if size > TABLE:
+                yield cells()
+                table = None
+        if table is not None:
+            yield cells()
+
+    flat = df.select("bins", *names).mapInArrow(run, schema)
+    return flat.groupBy("node", "fid", "bin").agg(F.sum("cnt").alias("cnt"), *_sums(classes))
+
+
 def build(df: DataFrame, classes: int = 1, first: int = 0, count: int | None = None, default_bins: list[int] | None = None) -> DataFrame:
     """node, fid, bin, cnt, g0, h0, ... from rows with node, bins and limbs.
 

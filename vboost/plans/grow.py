@@ -24,7 +24,7 @@ from ..sources.io import cut, drop_bucketed
 from . import protocol
 from .exchange import Federation
 from .params import FederatedSpec, Ledger, Params, Schedule, guard, schedule
-from .tree import Node, Tree, best_local, grid
+from .tree import Node, Tree, best_in_blocks, best_local, grid
 
 #: Cells of a layer that the driver takes at most (about 50 MB).
 LOCAL_CELLS = 1 << 20
@@ -169,32 +169,41 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
     out = Tree(tree, class_id)
     usual = (default_bins or [0] * len(spec.columns)) if params.sparse else None
     layer_nodes, cells_before, eligible_before = [0], None, None
-    local = not params.sparse and len(spec.columns) * params.max_bin * 2**plan.depth * classes <= LOCAL_CELLS
+    arrow = not params.sparse
+    local = arrow and len(spec.columns) * params.max_bin * 2**plan.depth * classes <= LOCAL_CELLS
+    width = max(64, params.max_bin)  # bins by plain arithmetic may number more than the quantiles'
     per_row = 1 if params.packing else 2
     if classes > 1 and budget:
         per_row = budget.n_k(classes)
     for layer in range(plan.depth):
         eligible = plan.eligible(tree, layer)
-        node = out.node_column() if layer else F.lit(0)
-        placed = rows.withColumn("node", node.cast("int"))
         small, sibling_of = layer_nodes, {}
-        if layer and params.subtract and cells_before is not None and eligible == eligible_before:
+        if layer and params.subtract and (local or not arrow) and cells_before is not None and eligible == eligible_before:
             small = []
             for a in sorted(n for n in layer_nodes if n % 2 == 1):
                 x, y = (a, a + 1) if out.nodes[a].count <= out.nodes[a + 1].count else (a + 1, a)
                 small.append(x)
                 sibling_of[x] = y
-        built = None
-        live = placed.where(F.col("node").isin(*small))
-        for name in eligible:
-            first, end = spec.span(name)
-            part = histogram.limb_cells(live, classes, first, end - first) if local else histogram.build(live, classes, first, end - first, usual)
-            built = part if built is None else built.unionByName(part)
+        spans = [spec.span(name) for name in eligible]
+        if arrow:
+            built = histogram.arrow_cells(rows, out.walker(), small, classes, spans, width)
+            if allowed is not None:
+                built = built.where(F.col("fid").isin(*allowed))
+        else:
+            node = out.node_column() if layer else F.lit(0)
+            live = rows.withColumn("node", node.cast("int")).where(F.col("node").isin(*small))
+            built = None
+            for first, end in spans:
+                part = histogram.build(live, classes, first, end - first, usual)
+                built = part if built is None else built.unionByName(part)
         if local:
             cells = grid(built.toArrow(), params.max_bin, len(spec.columns), classes)
             for x, y in sibling_of.items():
                 cells[y] = cells_before[(x - 1) // 2] - cells.get(x, 0)
             found = best_local(cells, r, params.reg_lambda, classes, params.min_child_rows, None if allowed is None else set(allowed))
+        elif arrow:
+            cells = None
+            found = best_in_blocks(built, r, params.reg_lambda, classes, params.min_child_rows, params.max_bin)
         else:
             cells = built.unionByName(histogram.subtract(cells_before, built, sibling_of, classes)) if sibling_of else built
             cells = cells.persist()
@@ -238,7 +247,7 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
         total = rows.agg(F.count("*").alias("cnt"), *[F.sum(f"{n}{j}_{p}").alias(f"{n}{j}_{p}") for n in ("g", "h") for j in range(classes) for p in ("hi", "lo")]).first()
         v = lambda n, j: ((total[f"{n}{j}_hi"] or 0) * 2**32 + (total[f"{n}{j}_lo"] or 0)) / 2.0**r
         out.nodes[0] = Node(0, total["cnt"], [v("g", j) for j in range(classes)], [v("h", j) for j in range(classes)])
-    if cells_before is not None and not local:
+    if cells_before is not None and not arrow:
         cells_before.unpersist()
     return out
 

@@ -6,8 +6,9 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -49,13 +50,29 @@ class Tree:
 
     def walk(self, x: np.ndarray) -> np.ndarray:
         """The leaf of each row of a bin matrix."""
-        node = np.zeros(len(x), dtype=np.int64)
-        for i in sorted(self.nodes):
-            n = self.nodes[i]
+        return self.walker()(x)
+
+    def walker(self) -> Callable[[np.ndarray], np.ndarray]:
+        """The same as a function that carries the splits alone: one step for each layer."""
+        top = max(self.nodes, default=0) + 1
+        fid, cut = np.full(top, -1, dtype=np.int64), np.zeros(top, dtype=np.int64)
+        for i, n in self.nodes.items():
             if n.fid is not None:
-                here = node == i
-                node[here] = np.where(x[here, n.fid] <= n.bin, 2 * i + 1, 2 * i + 2)
-        return node
+                fid[i], cut[i] = n.fid, n.bin
+        depth = top.bit_length()
+
+        def run(x: np.ndarray) -> np.ndarray:
+            node = np.zeros(len(x), dtype=np.int64)
+            live = np.arange(len(x))
+            for _ in range(depth):
+                live = live[fid[node[live]] >= 0]
+                if not len(live):
+                    break
+                at = node[live]
+                node[live] = 2 * at + 1 + (x[live, fid[at]] > cut[at])
+            return node
+
+        return run
 
 
 def grid(cells: pa.Table, bins: int, features: int, classes: int) -> dict[int, np.ndarray]:
@@ -109,3 +126,29 @@ def best_local(cells: dict[int, np.ndarray], r: int, reg_lambda: float, classes:
                 row[f"g{j}_{side}"], row[f"h{j}_{side}"] = whole(x, 1 + 2 * j), whole(x, 1 + 2 * classes + 2 * j)
         out.append(row)
     return out
+
+
+def best_in_blocks(cells: DataFrame, r: int, reg_lambda: float, classes: int, min_child_rows: int, bins: int, block: int = 64) -> list[dict]:
+    """The best split of each node where a layer's cells are too many for the driver: each block of features by itself.
+
+    A block's cells meet in one task (nodes x block x bins of them, whatever the rows); its best rows come back.
+    """
+    names = [f"{n}{j}_{s}" for s in ("l", "t") for n in ("g", "h") for j in range(classes)]
+    schema = "node int, fid int, bin int, gain double, cnt_l long, cnt_t long, sums array<string>"
+
+    def run(key: tuple, f: pd.DataFrame) -> pd.DataFrame:
+        first = int(key[0]) * block
+        f = f.assign(fid=f["fid"] - first).drop(columns="block")
+        found = best_local(grid(pa.Table.from_pandas(f, preserve_index=False), bins, block, classes), r, reg_lambda, classes, min_child_rows)
+        rows = [(x["node"], x["fid"] + first, x["bin"], x["gain"], x["cnt_l"], x["cnt_t"], [str(x[n]) for n in names]) for x in found]
+        return pd.DataFrame(rows, columns=["node", "fid", "bin", "gain", "cnt_l", "cnt_t", "sums"])
+
+    each = cells.withColumn("block", F.floor(F.col("fid") / block)).groupBy("block").applyInPandas(run, schema)
+    best: dict[int, dict] = {}
+    for row in each.collect():  # a row for each node and block
+        x = row.asDict()
+        x |= {n: int(v) for n, v in zip(names, x.pop("sums"))}
+        held = best.get(x["node"])
+        if held is None or (-x["gain"], x["fid"], x["bin"]) < (-held["gain"], held["fid"], held["bin"]):
+            best[x["node"]] = x
+    return list(best.values())
