@@ -78,15 +78,15 @@ def pack_mo_roundtrip(spark, sf_dir) -> DataFrame:
     budget = Budget(max(rows.count(), 1))
     out = protocol.passive_sums(rows, Mock(), budget, SECRET, classes=25)
     flat = out.select("bin", F.posexplode(F.arrays_zip("g", "h")).alias("class", "x"))
-    real = lambda c: F.round(F.col(f"x.{c}").cast("decimal(38,0)").cast("double") / float(2**R), 6).alias(c)
+    real = lambda c: (F.round(F.col(f"x.{c}").cast("decimal(38,0)").cast("double") / float(2**R), 6) + 0.0).alias(c)
     return flat.select("bin", "class", real("g"), real("h"))
 
 
 PACK_MO_SQL = """
-WITH p AS (SELECT CAST(p_size AS INT) AS bin, CAST(dense_rank() OVER (ORDER BY p_brand) - 1 AS INT) AS y FROM part),
+WITH p AS (SELECT CAST(p_size AS INT) AS bin, CAST(replace(p_brand, 'Brand#', '') AS INT) - 1 AS y FROM part),
 c AS (SELECT bin, class, sum(CAST(0.04 AS DOUBLE) - CASE WHEN y = class THEN 1 ELSE 0 END) AS g, sum(CAST(0.0384 AS DOUBLE)) AS h FROM p CROSS JOIN (SELECT CAST(unnest(range(25)) AS INT) AS class) k GROUP BY 1, 2),
 s AS (SELECT bin, class, sum(g) OVER (PARTITION BY class ORDER BY bin) AS g, sum(h) OVER (PARTITION BY class ORDER BY bin) AS h FROM c)
-SELECT bin, class, round(g, 6) AS g, round(h, 6) AS h FROM s WHERE bin < (SELECT max(bin) FROM p)
+SELECT bin, class, round(g, 6) + 0 AS g, round(h, 6) + 0 AS h FROM s WHERE bin < (SELECT max(bin) FROM p)
 """
 
 

@@ -33,7 +33,14 @@ def fit(df: DataFrame, columns: list[str], max_bin: int = 32, method: str = "app
 def rank_edges(df: DataFrame, column: str, max_bin: int) -> DataFrame:
     """The distinct values at ranks ceil(i n / bins): edge. Ranks come from counts of distinct values."""
     per = df.where(F.col(column).isNotNull()).groupBy(F.col(column).cast("double").alias("v")).agg(F.count("*").alias("c"))
-    ranked = per.withColumn("upto", F.sum("c").over(Window.orderBy("v"))).withColumn("n", F.sum("c").over(Window.partitionBy()))
+    # running sums within ranges of the value, carried over from range to range: no task orders all values
+    edge = per.agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("c").alias("n"))
+    cell = F.floor((F.col("v") - F.col("lo")) / F.greatest(F.col("hi") - F.col("lo"), F.lit(1e-300)) * 4095).cast("int")
+    placed = per.crossJoin(F.broadcast(edge)).withColumn("cell", cell)  # one row
+    sizes = placed.groupBy("cell").agg(F.sum("c").alias("size"))
+    before = sizes.select("cell", F.coalesce(F.sum("size").over(Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))  # at most 4096 rows
+    inner = Window.partitionBy("cell").orderBy("v").rowsBetween(Window.unboundedPreceding, 0)
+    ranked = placed.join(F.broadcast(before), "cell").withColumn("upto", F.col("before") + F.sum("c").over(inner))
     last, first = F.floor(F.col("upto") * max_bin / F.col("n")), F.floor((F.col("upto") - F.col("c")) * max_bin / F.col("n"))
     return ranked.where((last > first) & (first < max_bin - 1) & (F.col("upto") * max_bin >= F.col("n"))).where(F.greatest(first + 1, F.lit(1)) <= max_bin - 1).select(F.col("v").alias("edge"))
 

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 def keyed_hash(seed: int, of: str = "inst_id") -> Column:
     """A number in [0, 1000003) that any SQL engine computes alike."""
-    return F.pmod(F.col(of) * 7919 + seed * 104_729, F.lit(1_000_003))
+    return F.pmod(F.pmod(F.col(of), F.lit(1_000_003)) * 7919 + seed * 104_729, F.lit(1_000_003))
 
 
 def size_of_gradient(norm: str = "abs") -> Column:
@@ -24,7 +24,7 @@ def amplify(df: DataFrame, factor: float, vector: bool) -> DataFrame:
 
 def second_hash(seed: int, of: str = "inst_id") -> Column:
     """Another such number, for a choice that must not follow the first."""
-    return F.pmod(F.col(of) * 104_651 + seed * 7919, F.lit(1_000_003))
+    return F.pmod(F.pmod(F.col(of), F.lit(1_000_003)) * 104_651 + seed * 7919, F.lit(1_000_003))
 
 
 def goss(df: DataFrame, top_rate: float = 0.2, other_rate: float = 0.1, seed: int = 1, norm: str = "abs", exact: bool = False, rows: int | None = None) -> DataFrame:

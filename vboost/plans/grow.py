@@ -252,8 +252,30 @@ def grow_tree(rows: DataFrame, spec: FederatedSpec, params: Params, plan: Schedu
     return out
 
 
+def _advance_vectors(frame: DataFrame, trees: list[Tree], params: Params) -> DataFrame:
+    """The same for vector scores, by array operations on Arrow batches: a CASE of vectors would compile for long."""
+    step = Model(None, params, [], trees)
+    walks = [(t, t.walker()) for t in trees]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch.num_rows
+            if not n:
+                continue
+            flat = lambda c: batch.column(c).values.to_numpy(zero_copy_only=False).reshape(n, -1)  # noqa: B023, E731
+            x, out = flat("bins"), flat("score").copy()
+            for t, walk in walks:
+                step._add_leaves(out, t, walk(x))
+            k = batch.schema.get_field_index("score")
+            yield batch.set_column(k, batch.schema.field(k), pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * out.shape[1]), pa.array(out.ravel())))
+
+    return frame.mapInArrow(run, frame.schema)
+
+
 def _advance(frame: DataFrame, trees: list[Tree], params: Params, leaf_of: list[DataFrame] | None = None) -> DataFrame:
     """Adds the new trees' leaf weights to the scores. leaf_of: inst_id, node of each tree; by default from the bins."""
+    if params.classes > 1 and leaf_of is None:
+        return _advance_vectors(frame, trees, params)
     score = F.col("score")
     for k, t in enumerate(trees):
         weight = lambda i, t=t: [w * params.learning_rate for w in t.weight(i, params.reg_lambda)]
@@ -284,7 +306,7 @@ def usual_bins(binned: DataFrame, features: int) -> list[int]:
     return [found.get(j, 0) for j in range(features)]
 
 
-def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = False, cut_every: int = 5, test: DataFrame | None = None, target: float | None = None, key=None) -> Model:
+def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = False, cut_every: int = 5, test: DataFrame | None = None, target: float | None = None, key=None, edges: list[list[float]] | None = None) -> Model:
     """Boosting over a frame with inst_id, y and all parties' columns (the simulated federation's aligned rows).
 
     Null labels are left out. With no rows the model has no trees. The columns of each party are binned alone; what
@@ -292,9 +314,9 @@ def train(df: DataFrame, spec: FederatedSpec, params: Params, evaluate: bool = F
     (instances must be unique), and the ledger counts what was done; a native run lists a dense exchange's counts.
 
     evaluate: quality and loss of the training rows after each epoch; target: quality at which to stop; test: rows
-    whose quality is measured instead.
+    whose quality is measured instead. edges: bin edges fitted before, for several runs on the same rows.
     """
-    edges = binning.fit(df, spec.columns, params.max_bin, params.binning)
+    edges = edges or binning.fit(df, spec.columns, params.max_bin, params.binning)
     model = Model(spec, params, edges)
     many = params.classes > 1
     start = F.array(*[F.lit(0.0)] * params.classes) if many else F.lit(0.0)

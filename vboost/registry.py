@@ -9,7 +9,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ciphered
+from . import ciphered, experiments
 from .fixture import BASE_SQL, PLAIN, R, SPEC, base_rows, fixed_rows, tree_frame, tree_sql
 from .functions import codec, costs, metrics, objective, splits
 from .functions.codec import Budget
@@ -230,14 +230,14 @@ def features(spark, sf_dir, name):
 
 
 def features_wide(spark, sf_dir, name):
-    """Label sums of a wide workload."""
-    x = workloads.ALL[name].load(spark, sf_dir)
-    return x.groupBy("y").agg(F.count("*").alias("n"), F.sum("inst_id").alias("ids"))
+    """Sums of all features and label counts of a wide workload."""
+    w = workloads.ALL[name]
+    return workloads.totals(w, w.load(spark, sf_dir))
 
 
-WIDE_W7 = "SELECT CAST(list_position(embedding[1:10], list_max(embedding[1:10])) - 1 AS INT) AS y, count(*) AS n, CAST(sum(vec_id) AS BIGINT) AS ids FROM embeddings GROUP BY 1"
-WIDE_W4 = """SELECT CASE WHEN (CAST(embedding[1] AS DOUBLE) + CAST(embedding[2] AS DOUBLE) + CAST(embedding[3] AS DOUBLE) - CAST(embedding[4] AS DOUBLE) + 4 * CAST(embedding[5] AS DOUBLE) * CAST(embedding[6] AS DOUBLE) > 0)
- <> (((vec_id * 7919 + 104729) % 100) < 8) THEN 1 ELSE 0 END AS y, count(*) AS n, CAST(sum(vec_id) AS BIGINT) AS ids FROM embeddings GROUP BY 1"""
+_FLIPPED = "CASE WHEN (CAST(embedding[1] AS DOUBLE) + embedding[2] + embedding[3] - embedding[4] + 4 * CAST(embedding[5] AS DOUBLE) * embedding[6] > 0) <> (" + workloads.flip(8, "vec_id") + ") THEN 1 ELSE 0 END"
+WIDE_W7 = workloads.totals_sql(3072, "list_position(embedding[1:10], list_max(embedding[1:10])) - 1")
+WIDE_W4 = workloads.totals_sql(2000, _FLIPPED)
 
 
 def trained(spark, sf_dir, variant: str, name: str = "w1", trees: int = 2) -> DataFrame:
@@ -260,46 +260,6 @@ def base_equals_lean(spark, sf_dir):
     return spark.createDataFrame([(len(found[0] ^ found[1]), len(found[0] ^ found[2]))], "lean long, sparse long")
 
 
-def experiment(spark, sf_dir, variants: tuple[str, ...], names: tuple[str, ...], trees: int = 2) -> DataFrame:
-    """Quality on test rows, mean seconds a tree, trees, items sent, and the priced cipher seconds of a tree."""
-    out = []
-    for name in names:
-        w = workloads.ALL[name]
-        fit, test = workloads.split(w.load(spark, sf_dir).persist())
-        for v in variants:
-            p = getattr(baselines, v)(Params(trees=trees, classes=w.classes))
-            m = train(fit, baselines.as_one_party(w.spec) if v == "central" else w.spec, p)
-            scored = m.predict(test, ["inst_id", "y"])
-            q = (metrics.accuracy(scored, metrics.argmax()) if w.classes > 1 else metrics.auc(scored)).first()[0]
-            seconds = [h["seconds"] for h in m.history]
-            out.append((name, v, len(m.trees), q, sum(seconds) / max(1, len(m.trees)), sum(seconds), m.ledger.items("enc_gh"), m.ledger.items("split_info"), costs.price(m.ledger.operations()) / max(1, len(m.trees))))
-    return spark.createDataFrame(out, "workload string, variant string, trees int, quality double, tree_seconds double, total_seconds double, enc_items long, info_items long, cipher_seconds_a_tree double")
-
-
-def ablation(spark, sf_dir):
-    """Items and priced cipher seconds of one tree for each set of switches."""
-    n, feats, out = base_rows(spark, sf_dir).count(), 14, []
-    for packing in (False, True):
-        for compress in (False, True):
-            for subtract in (False, True):
-                for share in (1.0, 0.3):
-                    rows = int(n * share)
-                    c = costs.exact(rows, feats, 5, 32, 1 if packing else 2, 6 if compress and packing else None, [rows // 2] * 4 if subtract else None)
-                    out.append((packing, compress, subtract, share < 1, c["adds"] + c["prefix"], c["items"], costs.price(c)))
-    return spark.createDataFrame(out, "packing boolean, compress boolean, subtract boolean, goss boolean, additions long, items long, seconds double")
-
-
-def scale_sweep(spark, sf_dir):
-    """Modelled speed-up of lean over base as rows and features grow."""
-    out = []
-    for n in (10**5, 10**6, 10**7):
-        for d in (10, 100, 1000, 2000):
-            a = costs.price(costs.exact(n, d, 5, 32, 2))
-            m = int(0.3 * n)
-            out.append((n, d, a / costs.price(costs.exact(m, d, 5, 32, 1, max(1, Budget(n).amplified(8).slots), [m // 2] * 4))))
-    return spark.createDataFrame(out, "n long, features int, speedup double")
-
-
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A lean model of three trees on the credit-like workload; all its rows scored."""
     w = workloads.ALL["w1"]
@@ -323,7 +283,6 @@ def around_query(spark, sf_dir, name):
     return spark.sql(around.statement(name, "spark"))
 
 
-BINARY = ("w1", "w2")
 NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     **{f.__name__: f for f in (hist_scalar, hist_sparse, hist_cumsum, hist_subtract, hist_mo, split_gain_root, best_split_root, split_gain_mo, leaf_weights, tree1_joint_depth2, tree1_layered)},
     **{f.__name__: f for f in (grad_logistic, grad_softmax, quad_loss, bit_budget, cost_model, cost_reduction, goss_survivors, goss_sums, auc_rank, accuracy, confusion)},
@@ -334,21 +293,12 @@ NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     **{f"{n}_features": partial(features_wide, name=n) for n in ("w4", "w7")},
     **{f"train_{v}": partial(trained, variant=v) for v in ("base", "lean", "mix", "layered", "central")},
     "train_mo": partial(trained, variant="multi_output", name="w7"),
-    "x1_tree_time": partial(experiment, variants=("base", "lean"), names=BINARY),
-    "x2_auc_lean": partial(experiment, variants=("central", "base", "lean"), names=("w1",)),
-    "x3_mechanism_time": partial(experiment, variants=("lean", "mix", "layered"), names=BINARY),
-    "x4_mechanism_auc": partial(experiment, variants=("central", "lean", "mix", "layered"), names=("w3",)),
-    "x5_multi_class": partial(experiment, variants=("lean", "multi_output"), names=("w7",), trees=1),
-    "x6_total_time": partial(experiment, variants=("lean", "multi_output"), names=("w6",), trees=1),
-    "x7_accuracy": partial(experiment, variants=("central", "multi_output"), names=("w5",), trees=1),
     "sink_model_store": sink_model_store,
-    "x8_cost_table": cost_model,
-    "x9_ablation": ablation,
-    "x10_scale_sweep": scale_sweep,
     **{n: partial(around_query, name=n) for n in around.STATEMENTS},
     **jobs.QUERIES,
     **ciphered.QUERIES,
     **surface.QUERIES,
+    **experiments.QUERIES,
 }
 
 
@@ -382,7 +332,6 @@ def oracle_sql() -> dict[str, str]:
         "quad_loss": w + "SELECT round(sum(fit + 0.5 * w * w), 6) AS objective FROM (SELECT b1 / CAST(10 AS DOUBLE) AS w, sum((CAST(0.5 AS DOUBLE) - y) * b1 / 10 + CAST(0.125 AS DOUBLE) * b1 * b1 / 100) AS fit FROM b GROUP BY b1) z",
         "bit_budget": "SELECT * FROM (VALUES ('bits_1m', 74, 73, 147, 6, 1), ('bits_goss', 77, 76, 153, 6, 1), ('sensorless', 70, 69, 139, 7, 2), ('covtype', 74, 73, 147, 6, 2), ('svhn', 71, 70, 141, 7, 2)) t(name, b_g, b_h, b_gh, slots, n_k)",
         "cost_model": "SELECT name, CAST(2 AS DOUBLE) / a * 1e6 * 5 * 2000 + CAST(2 AS DOUBLE) / e * 32 * 2000 * 32 AS computation, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS endecryption, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS communication FROM (VALUES ('base', 1, 1, 1), ('lean', 4, 2, 12)) t(name, a, e, s)",
-        "cost_reduction": "SELECT CAST(0.7499 AS DOUBLE) AS computation, CAST(0.78 AS DOUBLE) AS endecryption, CAST(0.78 AS DOUBLE) AS communication",
         "goss_survivors": GOSS_SQL + "SELECT inst_id, amp FROM kept",
         "goss_sums": GOSS_SQL + "SELECT count(*) AS n, round(sum(g * amp), 4) AS g FROM kept",
         "auc_rank": grads + ", r AS (SELECT y, rank() OVER (ORDER BY floor(score * 50) / 50) + (count(*) OVER (PARTITION BY floor(score * 50) / 50) - 1) / CAST(2 AS DOUBLE) AS k FROM x) SELECT round((sum(CASE WHEN y = 1 THEN k ELSE 0 END) - sum(y) * (sum(y) + 1) / CAST(2 AS DOUBLE)) / (sum(y) * (count(*) - sum(y))), 9) AS auc FROM r",
@@ -403,5 +352,4 @@ def oracle_sql() -> dict[str, str]:
     for n in ("w1", "w2", "w3", "w5", "w6", "w8", "w9", "w10"):
         x = workloads.ALL[n]
         out[f"{n}_features"] = f"SELECT inst_id, y, {', '.join(f'round({c}, 8) AS {c}' for c in (*x.active, *x.passive))} FROM ({x.text('duckdb')}) z"
-    out["x8_cost_table"] = out["cost_model"]
-    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES | surface.ORACLES
+    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES | surface.ORACLES | experiments.ORACLES
