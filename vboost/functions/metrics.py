@@ -44,6 +44,13 @@ def confusion(df: DataFrame, predicted: Column, classes: list[int], label: str =
     return out.select("actual", *[F.col(str(c)).alias(f"p{c}") for c in classes])
 
 
+def quantisation_error(df: DataFrame, column: str, r: int) -> DataFrame:
+    """Largest and mean difference of a column from its fixed-point form at r bits."""
+    x = F.col(column)
+    gap = F.abs(x - F.floor(x * float(2**r)) / float(2**r))
+    return df.agg(F.max(gap).alias("largest"), F.avg(gap).alias("mean"))
+
+
 def trees_to_target(history: list[dict], key: str, target: float) -> int | None:
     """Trees grown when the measure first reached the target."""
     return next((row["trees"] for row in history if row[key] >= target), None)

@@ -125,6 +125,44 @@ def quad_loss(spark, sf_dir):
     return objective.quadratic_loss(x, 1.0).select(F.round("objective", 6).alias("objective"))
 
 
+def quad_loss_mo(spark, sf_dir):
+    """The vector objective of classes y and 1 - y with opposite weights: twice the scalar one."""
+    x = base_rows(spark, sf_dir).withColumn("node", F.get("bins", F.lit(1)))
+    x = x.withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h")).withColumn("w", F.array(F.col("node") / 10, -F.col("node") / 10))
+    return objective.quadratic_loss_mo(x, 1.0).select(F.round("objective", 6).alias("objective"))
+
+
+def leaf_weights_mo(spark, sf_dir):
+    """Vector weights of the cells of one feature."""
+    rows = base_rows(spark, sf_dir).withColumn("g", F.array("g", -F.col("g"))).withColumn("h", F.array("h", "h"))
+    cells = histogram.build(histogram.fixed_columns(rows, R, 2), 2).where("fid = 1")
+    v = lambda n: F.array(*[codec.real(F.col(f"{n}{j}"), R) for j in range(2)])
+    w = splits.leaf_weight_mo(v("g"), v("h"), 1.0)
+    return cells.select("bin", *[(F.round(F.get(w, F.lit(j)), 9) + 0.0).alias(f"w{j}") for j in range(2)])
+
+
+def quantisation_error(spark, sf_dir):
+    """Largest and mean loss of prices as fixed-point numbers of 20 bits."""
+    x = table(spark, sf_dir, "orders").select((F.col("o_totalprice") / 500_000).alias("x"))
+    return metrics.quantisation_error(x, "x", 20).select(F.round("largest", 12).alias("largest"), F.round("mean", 12).alias("mean"))
+
+
+def mllib_band(spark, sf_dir, trees: int = 5):
+    """Quality of the library's boosted trees beside the central booster's, on the same rows."""
+    w = workloads.ALL["w1"]
+    fit, test = workloads.split(w.load(spark, sf_dir))
+    ours = train(fit, baselines.as_one_party(w.spec), baselines.central(Params(trees=trees))).predict(test, ["inst_id", "y"])
+    theirs = baselines.mllib(fit, w.spec, trees, 5, test)
+    rows = [(name, metrics.auc(x).first()[0]) for name, x in (("central", ours), ("mllib", theirs))]
+    return spark.createDataFrame(rows, "booster string, auc double")
+
+
+def brute_split_root(spark, sf_dir):
+    """The root's best split by scanning the rows of every candidate anew."""
+    best = baselines.brute_split(base_rows(spark, sf_dir), 3, 1.0)
+    return best.select("fid", "bin", F.round("gain", 6).alias("gain"))
+
+
 def bit_budget(spark, sf_dir):
     cases = [("bits_1m", Budget(10**6)), ("bits_goss", Budget(10**6).amplified(8)), ("sensorless", Budget(58_509)), ("covtype", Budget(581_012)), ("svhn", Budget(99_289))]
     classes = {"sensorless": 11, "covtype": 7, "svhn": 10}
@@ -194,7 +232,7 @@ def align_lost_ids(spark, sf_dir):
 def align_dh(spark, sf_dir):
     """Customers with orders, by twice-blinded ids."""
     one = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("inst_id"))
-    return align.intersect_dh(one, table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("inst_id")), 65_537, 257)
+    return align.intersect_dh(one, table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("inst_id")))
 
 
 def bin_percentile(spark, sf_dir):
@@ -285,7 +323,7 @@ def around_query(spark, sf_dir, name):
 
 NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     **{f.__name__: f for f in (hist_scalar, hist_sparse, hist_cumsum, hist_subtract, hist_mo, split_gain_root, best_split_root, split_gain_mo, leaf_weights, tree1_joint_depth2, tree1_layered)},
-    **{f.__name__: f for f in (grad_logistic, grad_softmax, quad_loss, bit_budget, cost_model, cost_reduction, goss_survivors, goss_sums, auc_rank, accuracy, confusion)},
+    **{f.__name__: f for f in (grad_logistic, grad_softmax, quad_loss, quad_loss_mo, leaf_weights_mo, quantisation_error, mllib_band, brute_split_root, bit_budget, cost_model, cost_reduction, goss_survivors, goss_sums, auc_rank, accuracy, confusion)},
     **{f.__name__: f for f in (align_orders_lineitem, align_docs_labels, align_lost_ids, align_dh, bin_percentile, bin_edges_rank, bin_approx, bin_apply_orders, bin_apply_arrow, base_equals_lean)},
     "tree1_mix_active": partial(tree1_mix, tree=0),
     "tree1_mix_passive": partial(tree1_mix, tree=1),
@@ -330,6 +368,10 @@ def oracle_sql() -> dict[str, str]:
         "grad_logistic": grads + "SELECT inst_id, round(1 / (1 + exp(-score)) - y, 6) AS g, round(1 / (1 + exp(-score)) * (1 - 1 / (1 + exp(-score))), 6) AS h FROM x",
         "grad_softmax": grads + "SELECT inst_id, " + ", ".join(f"round({p[j]} - {hot(j)}, 6) AS g{j}, round({p[j]} * (1 - {p[j]}), 6) AS h{j}" for j in range(3)) + " FROM x",
         "quad_loss": w + "SELECT round(sum(fit + 0.5 * w * w), 6) AS objective FROM (SELECT b1 / CAST(10 AS DOUBLE) AS w, sum((CAST(0.5 AS DOUBLE) - y) * b1 / 10 + CAST(0.125 AS DOUBLE) * b1 * b1 / 100) AS fit FROM b GROUP BY b1) z",
+        "quad_loss_mo": w + "SELECT round(2 * sum(fit + 0.5 * w * w), 6) AS objective FROM (SELECT b1 / CAST(10 AS DOUBLE) AS w, sum((CAST(0.5 AS DOUBLE) - y) * b1 / 10 + CAST(0.125 AS DOUBLE) * b1 * b1 / 100) AS fit FROM b GROUP BY b1) z",
+        "leaf_weights_mo": w + "SELECT bin, round(-g / (h + 1), 9) + 0 AS w0, round(g / (h + 1), 9) + 0 AS w1 FROM c WHERE fid = 1",
+        "quantisation_error": "SELECT round(max(x - floor(x * 1048576) / 1048576), 12) AS largest, round(avg(x - floor(x * 1048576) / 1048576), 12) AS mean FROM (SELECT o_totalprice / 500000 AS x FROM orders) z",
+        "brute_split_root": w + "SELECT fid, bin, round(gain, 6) AS gain FROM gain ORDER BY gain DESC, fid, bin LIMIT 1",
         "bit_budget": "SELECT * FROM (VALUES ('bits_1m', 74, 73, 147, 6, 1), ('bits_goss', 77, 76, 153, 6, 1), ('sensorless', 70, 69, 139, 7, 2), ('covtype', 74, 73, 147, 6, 2), ('svhn', 71, 70, 141, 7, 2)) t(name, b_g, b_h, b_gh, slots, n_k)",
         "cost_model": "SELECT name, CAST(2 AS DOUBLE) / a * 1e6 * 5 * 2000 + CAST(2 AS DOUBLE) / e * 32 * 2000 * 32 AS computation, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS endecryption, CAST(2 AS DOUBLE) / e * 1e6 + CAST(2 AS DOUBLE) / s * 32 * 2000 * 32 AS communication FROM (VALUES ('base', 1, 1, 1), ('lean', 4, 2, 12)) t(name, a, e, s)",
         "goss_survivors": GOSS_SQL + "SELECT inst_id, amp FROM kept",
