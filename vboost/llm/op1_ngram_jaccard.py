@@ -181,16 +181,17 @@ def set_classes(docs: DataFrame, id_col: str, text_col: str, width: int, percent
     counted = sampled.where("n > 0 AND doc_id IS NOT NULL").select("node", "n", F.explode("h").alias("h"))
     lone = materialise(_without_partners(counted, percent))
     release(sampled)
+    # one row for each set from here on: copies are folded into their smallest id before any join
+    reps = materialise(named.groupBy("node").agg(F.min("doc_id").alias("least")))
     # one text of each set that may have partners; joined alike at every size, so no broadcast
-    stay = materialise(named.join(lone, "node", "left_anti").groupBy("node").agg(F.min("doc_id").alias(id_col)))
+    stay = materialise(reps.join(lone, "node", "left_anti").select(F.col("least").alias(id_col)))
     kept = docs.select(id_col, text_col).where(F.col(id_col).isNotNull()).join(stay.select(id_col).hint("merge"), id_col, "left_semi")
     whole = materialise(shingle_table(kept, id_col, text_col, width).where("n > 0").dropDuplicates(["node"]).select("node", "n", "h"))
     lone = materialise(_without_partners(whole.select("node", "n", F.explode("h").alias("h")), percent))
     sets = materialise(whole.join(lone.hint("merge"), "node", "left_anti"))
     release(whole)
     roots = connected_components(jaccard_links(sets, percent, block))
-    # one row for each set from here on: copies have been folded into their smallest id
-    grouped = materialise(named.groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root")))
+    grouped = materialise(reps.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root")))
     first = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
     classes = materialise(grouped.select("node", "root").join(first, "root").select("node", "component_id"))
     return sig, classes
