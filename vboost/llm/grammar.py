@@ -28,41 +28,46 @@ class Grammar:
 
     def __init__(self, ids: np.ndarray, last: np.ndarray, terminals: int, least: int = 2, most: int | None = None):
         n = self.end = len(ids)
-        self.seq = np.append(ids, 0).astype(np.int32)
+        self.seq = np.append(ids.astype(np.int32), np.int32(-1))  # -1: no symbol, behind the last and where one was taken
         self.after = np.arange(1, n + 2, dtype=np.int32)
         self.after[last] = n
         self.before = np.arange(-1, n, dtype=np.int32)
         self.before[0] = n
         self.before[last + 1] = n
-        self.alive = np.ones(n, dtype=bool)
         self.claim = np.zeros(n + 1, dtype=np.int32)
         self.terminals, self.least, self.most = terminals, max(2, least), n if most is None else most
         self.wide, self.deep = int(terminals + min(self.most, n)).bit_length(), int(n).bit_length()
         self.parts, self.made = [np.zeros((0, 2), np.uint32)], 0
         #: By the power of four that their counts reach: keys of pairs, counts, and places, pair after pair.
         self.listed: list[list[tuple[np.ndarray, np.ndarray, np.ndarray]]] = [[] for _ in range(self.deep // 2 + 2)]
-        place, had = np.arange(n), -1
+        had = -1
+        place = np.flatnonzero(self.after[:n] != n)
+        self._list(place, self.seq[place], self.seq[np.minimum(place + 1, n)])
         while len(place) and had < self.made < self.most:
+            if had >= 0:
+                self._list_at(place)
             had = self.made
-            self._list(place)
             while self.made < self.most and any(self.listed):
                 self._turn()
             # of runs such as x x x some places were passed over; places of other pairs were all kept
-            place = np.flatnonzero(self.alive)
+            place = np.flatnonzero(self.seq >= 0)
             place = place[self.seq[place] == self.seq[self.after[place]]]
         self.rules = np.concatenate(self.parts)
-        place = np.flatnonzero(self.alive)
+        place = np.flatnonzero(self.seq >= 0)
         self.symbols = self.seq[place].astype(np.uint32)
         self.last = np.flatnonzero(self.after[place] == n)
 
-    def _list(self, place: np.ndarray) -> None:
+    def _list_at(self, place: np.ndarray) -> None:
         """List the pairs that begin at these places (ascending)."""
-        after = self.after.take(place)
-        inner = after != self.end
-        place, after = place[inner], after[inner]
+        right = self.seq.take(self.after.take(place))
+        inner = right >= 0
+        place = place[inner]
+        self._list(place, self.seq.take(place), right[inner])
+
+    def _list(self, place: np.ndarray, left: np.ndarray, right: np.ndarray) -> None:
         if not len(place):
             return
-        key = (self.seq.take(place).astype(np.int64) << self.wide) | self.seq.take(after)
+        key = (left.astype(np.int64) << self.wide) | right
         if 2 * self.wide + self.deep < 64:
             both = key << self.deep | place
             both.sort()
@@ -91,10 +96,8 @@ class Grammar:
     def _stand(self, place: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """Which places still hold their pair, and of a run such as x x x every other one."""
         after = self.after.take(place)
-        ok = self.alive.take(place)
-        ok &= self.seq.take(place) == left
+        ok = self.seq.take(place) == left
         ok &= self.seq.take(after) == right
-        ok &= after != self.end
         twin = np.flatnonzero(ok & (left == right))
         if len(twin):
             follows = np.zeros(len(twin), dtype=bool)
@@ -156,11 +159,12 @@ class Grammar:
             if 16 * len(new) < self.end:
                 new.sort()
                 new = new[np.diff(new, append=self.end) > 0]
-                self._list(new[self.alive[new]])
+                self._list_at(new[self.seq[new] >= 0])
             else:
                 fresh = np.zeros(self.end + 1, dtype=bool)
                 fresh[new] = True
-                self._list(np.flatnonzero(fresh[: self.end] & self.alive))
+                fresh &= self.seq >= 0
+                self._list_at(np.flatnonzero(fresh))
 
     def _claim(self, place: np.ndarray) -> np.ndarray:
         """Which places overlap with no later place of the list."""
@@ -174,7 +178,7 @@ class Grammar:
     def _replace(self, place: np.ndarray, symbol: np.ndarray) -> None:
         gone = self.after.take(place)
         self.seq[place] = symbol
-        self.alive[gone] = False
+        self.seq[gone] = -1
         beyond = self.after.take(gone)
         self.after[place] = beyond
         self.before[beyond] = place
