@@ -489,6 +489,19 @@ def test_op8_ids_equal_the_librarys(monkeypatch):
             assert ids.tolist() == sum(want[at : at + 1000], []) and size.tolist() == [len(x) for x in want[at : at + 1000]]
 
 
+def test_op8_ranges_and_shuffled_places(spark, docs, monkeypatch):
+    """More ranges than documents, ties in the key, and the ways for very many ranges and shards: the same files' rows."""
+    want = sorted(tuple(r) for r in op8.token_digests(docs).collect() if r["doc_id"] is not None)
+    for ranges, rows in ((4096, 0), (1, 0), (1, 1_000_000)):
+        monkeypatch.setattr(op8, "MOST_RANGES", ranges)
+        monkeypatch.setattr(op8, "BROADCAST_ROWS", rows)
+        assert sorted(tuple(r) for r in op8.token_digests(docs).collect() if r["doc_id"] is not None) == want
+    many = spark.createDataFrame([(i // 7, f"text {i}") for i in range(300)], "doc_id long, text string")
+    cut = op8.by_ranges(many, "doc_id", 200)
+    found = [x for x in cut.select("doc_id", F.spark_partition_id().alias("p")).groupBy("doc_id").agg(F.countDistinct("p").alias("n"), F.min("p").alias("p")).orderBy("doc_id").collect()]
+    assert all(x["n"] == 1 for x in found) and [x["p"] for x in found] == sorted(x["p"] for x in found)
+
+
 def test_op8_random_access(spark, docs):
     path, t = byte_bpe()
     folder = f"{op8.shared_dir(spark)}/test-{uuid.uuid4().hex}"

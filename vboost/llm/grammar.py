@@ -10,8 +10,9 @@ def gather(pool: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
     ends = np.cumsum(size, dtype=np.int64)
     if not len(ends) or not ends[-1]:
         return pool[:0]
-    kind = np.int32 if ends[-1] < 1 << 31 and len(pool) < 1 << 31 else np.int64
-    return pool[np.arange(ends[-1], dtype=kind) + np.repeat((start - (ends - size)).astype(kind), size)]
+    at = np.repeat(start - (ends - size), size)
+    at += np.arange(ends[-1])
+    return pool.take(at)
 
 
 class Grammar:
@@ -113,7 +114,7 @@ class Grammar:
         level = max(self.least, 1 << 2 * power)
         keys, counts, place = (np.concatenate(x) for x in zip(*self.listed[power]))
         self.listed[power] = []
-        left, right = keys >> self.wide, keys & ((1 << self.wide) - 1)
+        left, right = (keys >> self.wide).astype(np.int32), (keys & ((1 << self.wide) - 1)).astype(np.int32)
         ok = self._stand(place, np.repeat(left, counts), np.repeat(right, counts))
         place = place[ok]
         counts = np.add.reduceat(ok, np.cumsum(counts) - counts, dtype=np.int64)
@@ -126,11 +127,11 @@ class Grammar:
         if not len(chosen):
             return
         place = gather(place, begin[chosen], counts[chosen])
-        owner = np.repeat(np.arange(len(chosen)), counts[chosen])
+        owner = np.repeat(np.arange(len(chosen), dtype=np.int32), counts[chosen])
         keys, left, right = keys[chosen], left[chosen], right[chosen]
         won = self._claim(place)
         good = np.bincount(owner[won], minlength=len(keys)) >= self.least
-        symbol = np.full(len(keys), -1)
+        symbol = np.full(len(keys), -1, dtype=np.int32)
         symbol[good] = self.terminals + self.made + np.arange(good.sum())
         self.parts.append(np.stack([left[good], right[good]], axis=1).astype(np.uint32))
         self.made += int(good.sum())

@@ -39,6 +39,10 @@ LEAST = 4
 #: Distinct pre-tokens that a worker remembers while it runs a task (half as many between tasks), their bytes, and
 #: pre-tokens in one call of the library.
 CACHE_PIECES, CACHE_BYTES, JOINED = 400_000, 1 << 24, 4096
+#: Ranges that are looked up one by one; more are left to a range exchange.
+MOST_RANGES = 4096
+#: More shards than this are joined with their places by a shuffle, not by a broadcast.
+BROADCAST_ROWS = 1_000_000
 #: Text that is cut at once.
 CHUNK_BYTES = 1 << 22
 _SPACE, _LETTER, _DIGIT, _MARK = 0, 1, 2, 3
@@ -288,11 +292,21 @@ def _writer(path: str, terminals: int, shard_tokens: int, least: int, most: int
     return run
 
 
+def by_ranges(rows: DataFrame, key: str, n: int) -> DataFrame:
+    """The rows in n ranges of a key, in order. The ranges come from a sketch of the key's column alone: a range exchange
+    would read the texts a second time to sample it."""
+    if n > MOST_RANGES:
+        return rows.repartitionByRange(n, key)
+    cuts = rows.agg(F.percentile_approx(key, [k / n for k in range(1, n)] or [0.5], max(10_000, 20 * n))).first()[0] or []
+    edges = F.array(*map(F.lit, sorted(set(cuts)))) if cuts else F.array().cast("array<bigint>")
+    return rows.repartitionById(n, F.size(F.filter(edges, lambda c: c < F.col(key))))
+
+
 def write_tokens(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int = SHARD_TOKENS, partitions: int | None = None, least: int = LEAST, most_rules: int | None = None) -> None:
-    """Encode doc_id, text in ascending doc_id order (nulls first, ties by the text's hash and the text) and write the shards to `folder`.
+    """Encode doc_id, text in ascending doc_id order (nulls first, ties by the text) and write the shards to `folder`.
 
-    Null or empty texts are the end id alone. Repeated rows stay; equal texts of one doc_id meet in one task. An empty
-    table writes no shard. An id must fit 16 bits; a longer document is a shard of its own. least: how often a pair
+    Null or empty texts are the end id alone. Repeated rows stay; rows of one doc_id meet in one task. An empty table
+    writes no shard. An id must fit 16 bits; a longer document is a shard of its own. least: how often a pair
     must stand to become a rule; most_rules: rules of a shard at most (None: as many as there are).
     """
     from tokenizers import Tokenizer
@@ -300,8 +314,7 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int
     small_batches(docs.sparkSession)
     terminals = Tokenizer.from_file(tokenizer).get_vocab_size()
     n = partitions or shuffle_partitions(docs.sparkSession)
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("tie", F.xxhash64("text"))
-    rows = rows.repartitionByRange(n, "doc_id", "tie").sortWithinPartitions("doc_id", "tie", "text").select("doc_id", "text")
+    rows = by_ranges(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), "doc_id", n).sortWithinPartitions("doc_id", "text")
     rows.mapInArrow(_writer(tokenizer, terminals, shard_tokens, least, most_rules), FILE).write.parquet(folder)
 
 
@@ -332,7 +345,8 @@ def read_digests(spark: SparkSession, folder: str) -> DataFrame:
     running = F.sum("n_tokens").over(Window.partitionBy("part").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1))
     bases = sizes.select("part", "seq", F.coalesce(running, F.lit(0)).alias("within")).join(F.broadcast(offsets), "part")
     bases = bases.select("part", "seq", (F.col("within") + F.col("before")).alias("base"))
-    return shards.join(bases, ["part", "seq"]).mapInArrow(_decode, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    few = sizes.count() <= BROADCAST_ROWS
+    return shards.join(F.broadcast(bases) if few else bases, ["part", "seq"]).mapInArrow(_decode, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def read_document(spark: SparkSession, folder: str, doc_id: int) -> list[list[int]]:
