@@ -330,13 +330,14 @@ NAMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     **{f"{n}_features": partial(features, name=n) for n in ("w1", "w2", "w3", "w5", "w6", "w8", "w9", "w10")},
     **{f"{n}_features": partial(features_wide, name=n) for n in ("w4", "w7")},
     **{f"train_{v}": partial(trained, variant=v) for v in ("base", "lean", "mix", "layered", "central")},
-    "train_mo": partial(trained, variant="multi_output", name="w7"),
+    "train_mo": partial(trained, variant="multi_output", name="w5"),
     "sink_model_store": sink_model_store,
     **{n: partial(around_query, name=n) for n in around.STATEMENTS},
     **jobs.QUERIES,
     **ciphered.QUERIES,
     **surface.QUERIES,
     **experiments.QUERIES,
+    "pack_unpack_roundtrip": surface.udf_unpack,
 }
 
 
@@ -394,4 +395,4 @@ def oracle_sql() -> dict[str, str]:
     for n in ("w1", "w2", "w3", "w5", "w6", "w8", "w9", "w10"):
         x = workloads.ALL[n]
         out[f"{n}_features"] = f"SELECT inst_id, y, {', '.join(f'round({c}, 8) AS {c}' for c in (*x.active, *x.passive))} FROM ({x.text('duckdb')}) z"
-    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES | surface.ORACLES | experiments.ORACLES
+    return out | {n: around.statement(n, "duckdb") for n in around.STATEMENTS} | jobs.ORACLES | ciphered.ORACLES | surface.ORACLES | experiments.ORACLES | {"pack_unpack_roundtrip": surface.ORACLES["udf_unpack"]}
