@@ -33,7 +33,7 @@ from .components import connected_components
 from .signature_tree import dual_join
 
 #: Shingles of a block or of a task: bounds a task's memory whatever the lengths of the texts.
-BLOCK = 1 << 20
+BLOCK = 1 << 18
 SAMPLE = 3
 
 
