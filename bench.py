@@ -10,7 +10,7 @@ import time
 from pyspark.sql import SparkSession
 
 sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
-QUERIES = ("hist_scalar", "hist_mo", "tree1_joint_depth2", "goss_sums", "auc_rank", "w2_features", "align_orders_lineitem", "hist_mock_cipher", "compress_roundtrip", "agg_hash_partial", "win_running_sum")
+QUERIES = ("hist_scalar", "hist_mo", "tree1_joint_depth2", "goss_sums", "auc_rank", "w2_features", "align_orders_lineitem", "hist_mock_cipher", "agg_hash_partial", "win_running_sum")
 
 
 def main() -> None:
