@@ -23,7 +23,7 @@ from .sources.io import cut
 
 BINARY, MULTI = ("w1", "w2", "w3", "w4"), ("w5", "w6", "w7")
 #: Trees of the registered binary queries, and epochs of the multi-class ones.
-TREES = 8
+TREES = 4
 EPOCHS = {"w5": 2, "w6": 2, "w7": 1}
 _DATA: dict = {}
 _RUNS: dict = {}
