@@ -10,7 +10,7 @@ def read(spark):
     return sum(found.apply(i).totalInputBytes() for i in range(found.size()))
 
 
-@pytest.mark.parametrize("name", ["bit_budget", "cost_model", "cost_reduction", "eta_nk_table"])
+@pytest.mark.parametrize("name", ["bit_budget", "cost_model", "cost_reduction", "eta_nk_table", "x8_cost_table"])
 def test_spark_reads_the_tables(spark, name):
     spark.conf.set("parquet.hadoop.vectored.io.enabled", "false")  # vectored reads are not counted
     try:
