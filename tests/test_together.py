@@ -78,3 +78,11 @@ def test_missing_coordinates_go_to_bin_0(spark, tmp_path):
     b = w.matrix(spark, str(tmp_path))
     got = {r["inst_id"]: list(r["x"]) for r in binning.apply(b, w.spec.columns, binning.fit(b, w.spec.columns), ["inst_id"], packed=True).collect()}
     assert len(got) == 22 and got[20] == [0, 0, 0] and got[21][2] == 0 and max(got[19]) > 10
+
+
+def test_small_files_are_dealt_over_the_cores(spark):
+    w = workloads.ALL["w2"]
+    rows = w.matrix(spark, DIR)
+    assert rows.select("inst_id").rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+    value = lambda df: sorted(map(tuple, df.select("inst_id", "y", *w.spec.columns).collect()))
+    assert value(rows) == value(w.load(spark, DIR))
