@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from vboost import experiments
 from vboost.functions import objective
-from vboost.operators import chunks, sampling
+from vboost.operators import binning, chunks, sampling
 from vboost.sources import workloads
 
 DIR = "/root/testdata/sf0.001"
@@ -48,3 +48,42 @@ def test_draws_are_goss(spark, levels):
     (draw,) = chunks.settle(frame.drop("x"), [sampling.Draw(5, 0, 1.0, (0.2, 0.1))], [])
     amp = draw.amounts(ids % 1_000_003, np.abs(g[:, 0]))
     assert {int(i): (a, v * a) for i, a, v in zip(ids, amp, g[:, 0]) if a > 0} == want
+
+
+def test_summaries_are_quantiles(spark, monkeypatch):
+    x = np.random.default_rng(1).normal(size=200_000).round(3)
+    steps = [i / 32 for i in range(1, 32)]
+    whole, s = np.sort(x), binning.Summary()
+    for part in np.array_split(x, 50):
+        s.add(part, np.ones(len(part), np.int64))
+    assert s.quantiles(steps) == np.unique(whole[np.ceil(np.array(steps) * len(x)).astype(int) - 1]).tolist()  # exact while all distinct values are kept
+    monkeypatch.setattr(binning.Summary, "KEPT", 1000)
+    s = binning.Summary()
+    for part in np.array_split(x, 50):
+        s.add(part, np.ones(len(part), np.int64))
+    assert sum(s.whole()[1]) == len(x)
+    for q, e in zip(steps, s.quantiles(steps)):
+        lo, hi = np.searchsorted(whole, e, "left"), np.searchsorted(whole, e, "right")
+        assert lo - 0.008 * len(x) <= q * len(x) <= hi + 0.008 * len(x)
+    df = spark.createDataFrame([(float(i % 97), None if i % 5 else float(i), float("nan") if i % 2 else -0.0) for i in range(5000)], "a double, b double, c double")
+    assert binning.fit(df, ["a", "b", "c"], method="summaries") == binning.fit(df, ["a", "b", "c"])
+
+
+def test_quality_runs_share_the_cores_and_time_is_taken_alone(spark, monkeypatch):
+    at_once, most, train = [], [], experiments.train_packed
+
+    def watched(*args, **kwargs):
+        at_once.append(1)
+        most.append(len(at_once))
+        try:
+            return train(*args, **kwargs)
+        finally:
+            at_once.pop()
+
+    monkeypatch.setattr(experiments, "train_packed", watched)
+    got = experiments.quality(spark, DIR, ("base", "lean"), 1, ("w1",)).collect()
+    assert [r["variant"] for r in got] == ["base", "lean"] and max(most) == 2  # one after the other before
+    made = len(most)
+    timed = experiments.tree_time(spark, DIR, ("base", "lean"), 1, ("w1",)).collect()
+    assert len(most) == made + 2 and set(most[made:]) == {1} and all(r["tree_seconds"] > 0 for r in timed)
+    assert experiments.quality(spark, DIR, ("base", "lean"), 1, ("w1",)).collect() == got and len(most) == made + 2
